@@ -30,8 +30,9 @@ def text_to_bases(text: Column) -> Column:
 
 def bases_to_text(bases: Column) -> Column:
     """Inverse of ``text_to_bases``."""
-    digits = F.translate(bases, "ACGT", "0123")
-    pairs = F.transform(F.sequence(F.lit(1), F.length(bases), F.lit(2)), lambda i: F.conv(digits.substr(i, F.lit(2)), 4, 16))
+    # a lambda evaluates what it captures for each element, so it only gets the pair itself
+    digits = F.regexp_extract_all(F.translate(bases, "ACGT", "0123"), F.lit("(..)"), 1)
+    pairs = F.transform(digits, lambda pair: F.conv(pair, 4, 16))
     return F.when(F.length(bases) == 0, F.lit("")).otherwise(F.decode(F.unhex(F.array_join(pairs, "")), "UTF-8"))
 
 

@@ -9,11 +9,13 @@ from pyspark.sql import functions as F
 
 from seqcount.llm import bpe, exact_dedup, mixing, quality_knn, simhash
 from seqcount.llm.common import fresh, shared_folder
+from seqcount.session import shipped
 
 #: A document goes if its score is below this: label 0 is then the likelier by the vote.
 REJECT_BELOW = 0.5
 
 
+@shipped
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Rows that the classifier doesn't reject. It's fitted on labelled rows of what comes in."""
     model = quality_knn.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
@@ -21,21 +23,25 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_knn.with_scores(docs, model, name=score).where(F.col(score) >= REJECT_BELOW).drop(score)
 
 
+@shipped
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts, the row with the largest id."""
     return exact_dedup.drop_exact_copies(docs, keep="largest")
 
 
+@shipped
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies, the row with the smallest id."""
     return simhash.drop_near_copies(docs)
 
 
+@shipped
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each row as often as its source's rate says."""
     return mixing.mix_sources(docs)
 
 
+@shipped
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token counts and digests of ids and of the decoded bytes, one row for each copy."""
     return bpe.token_digests(docs)

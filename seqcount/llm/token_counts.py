@@ -6,13 +6,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seqcount.llm.bpe import VOCABULARY, token_lengths
+from seqcount.llm.common import checkpointed
 
 BLOCK = 1024
 
 
 def length_histogram(docs: DataFrame, text_col: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:
-    """(n_tokens, docs): documents of each encoded length; a null text has length 0."""
-    return token_lengths(docs, text_col, vocabulary).groupBy("n_tokens").agg(F.count("*").alias("docs"))
+    """(n_tokens, docs): documents of each encoded length; a null text has length 0. Materialised: texts are encoded once."""
+    return checkpointed(token_lengths(docs, text_col, vocabulary).groupBy("n_tokens").agg(F.count("*").alias("docs")))
 
 
 def suffix_sums(histogram: DataFrame) -> DataFrame:

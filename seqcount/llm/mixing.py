@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seqcount.llm.common import whole_text
+from seqcount.llm.common import checkpointed, whole_text
 
 WEIGHTS = (5, 2, 1)
 SHARE_PERCENT = 150
@@ -58,44 +58,43 @@ def source_targets(docs: DataFrame, source_col: str, size: Column, weights=WEIGH
     return docs.sparkSession.createDataFrame(rows, "m_source string, m_none boolean, source_size long, target double")
 
 
-def mixed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> DataFrame:
-    """``docs`` with m_size, source_size, target and m_copies; all rows, those with no copy too.
+def _with_copies(rows: DataFrame, targets: DataFrame, source: Column, u: Column) -> DataFrame:
+    """``rows`` with source_size, target and m_copies: floor(rate), and one more if u is below the fraction."""
+    on = (F.coalesce(source, F.lit("")) == F.coalesce("m_source", F.lit(""))) & (source.isNull() == F.col("m_none"))
+    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
+    return rows.join(F.broadcast(targets), on, "left").withColumn("m_copies", (F.floor(rate) + (u < rate - F.floor(rate)).cast("long")).cast("int"))
+
+
+def mix_sizes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> DataFrame:
+    """(rid, m_size, source_size, target, m_copies) of every row, those without a copy too.
 
     rate = target / source size; a row has floor(rate) copies and one more if its hash
     number is below the fraction. So no row has more than MOST copies, and each
     source's words come near its target. A source of no words has rate 0. Rows that
-    repeat an id and a text share their hash number. Reads the texts once for the
-    sizes of the sources and once for the rows; nothing is shuffled but source sums.
+    repeat an id and a text share their hash number. Texts are read once; nothing is
+    shuffled but the sums of the sources.
     """
-    size = n_words(text_col)
-    targets = source_targets(docs, source_col, size)
-    source = F.col(source_col).cast("string")
-    clash = [c for c in docs.columns if c.lower() in ("m_source", "m_none", "source_size", "target", "m_size", "m_copies")]
-    if clash:
-        raise ValueError(f"columns reserved by the mix: {clash}")
-    on = (F.coalesce(source, F.lit("")) == F.coalesce("m_source", F.lit(""))) & (source.isNull() == F.col("m_none"))
-    rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     u = uniform(F.col(id_col), F.md5(whole_text(text_col)), seed)
-    return (
-        docs.join(F.broadcast(targets), on, "left")
-        .withColumn("m_size", size)
-        .withColumn("m_copies", (F.floor(rate) + (u < rate - F.floor(rate)).cast("long")).cast("int"))
-    )
+    rows = checkpointed(docs.select(F.col(id_col).cast("long").alias("rid"), F.col(source_col).cast("string").alias("source"), n_words(text_col).alias("m_size"), u.alias("u")))
+    targets = source_targets(rows, "source", F.col("m_size"))
+    return _with_copies(rows, targets, F.col("source"), F.col("u")).select("rid", "m_size", "source_size", "target", "m_copies")
 
 
 def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", seed: int = SEED) -> DataFrame:
     """The mix itself: each row of ``docs``, with its own columns, as many times as it has copies."""
     names = {c: f"c{i}" for i, c in enumerate(docs.columns)}
     plain = docs.toDF(*names.values())
-    rows = mixed(plain, names[id_col], names[text_col], names[source_col], seed).where("m_copies > 0")
+    text, source = names[text_col], F.col(names[source_col]).cast("string")
+    targets = source_targets(plain, names[source_col], n_words(text))
+    rows = _with_copies(plain, targets, source, uniform(F.col(names[id_col]), F.md5(whole_text(text)), seed)).where("m_copies > 0")
     copies = rows.withColumn("m_copy", F.explode(F.array_repeat(F.lit(True), F.col("m_copies"))))
     return copies.select(*[F.col(n).alias(c) for c, n in names.items()])
 
 
 def op10_mixing(spark, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return mixed(docs).select(
-        "doc_id", F.col("m_size").alias("size"), "source_size", "target", (F.col("m_size") * F.col("m_copies")).alias("taken")
+    found = mix_sizes(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+    return found.select(
+        F.col("rid").alias("doc_id"), F.col("m_size").alias("size"), "source_size", "target", (F.col("m_size") * F.col("m_copies")).alias("taken")
     )
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -43,19 +44,19 @@ class Coder:
             self.bytes_of[rank] = token
         self.leaf_chars, self.leaf_bytes = leaf_chars, leaf_bytes
 
-    def encode(self, text: str) -> list[int]:
+    def encode(self, text: str) -> list[int] | array:
         if len(text) <= self.leaf_chars and len(text) <= 8 * self.leaf_bytes:
             return self.encoding.encode_ordinary(text)
         return self._span(text)
 
-    def _span(self, text: str) -> list[int]:
+    def _span(self, text: str) -> array:
         if len(text) <= self.leaf_chars:
-            return self._leaf(text)
+            return array("I", self._leaf(text))
         cut = len(text) // 2
         left, right = self._span(text[:cut]), self._span(text[cut:])
         return self._join(text, cut, left, right)
 
-    def _join(self, text: str, cut: int, left: list[int], right: list[int]) -> list[int]:
+    def _join(self, text: str, cut: int, left: array, right: array) -> array:
         reach, lo, hi = 32, None, None
         while lo is None or hi is None:
             if lo is None:
@@ -71,16 +72,16 @@ class Coder:
         before = self._dropped_from_end(left, len(text[lo:cut].encode()))
         after = self._dropped_from_start(right, len(text[cut:hi].encode()))
         middle = self._leaf(window) if len(window) < len(text) else self._pieces(window)
-        return left[:before] + middle + right[after:]
+        return left[:before] + array("I", middle) + right[after:]
 
-    def _dropped_from_end(self, tokens: list[int], n: int) -> int:
+    def _dropped_from_end(self, tokens: array, n: int) -> int:
         at = len(tokens)
         while n > 0:
             at -= 1
             n -= len(self.bytes_of[tokens[at]])
         return at
 
-    def _dropped_from_start(self, tokens: list[int], n: int) -> int:
+    def _dropped_from_start(self, tokens: array, n: int) -> int:
         at = 0
         while n > 0:
             n -= len(self.bytes_of[tokens[at]])
@@ -126,7 +127,7 @@ class Coder:
     def _agree(self, one: int, two: int) -> bool:
         return self.encoding._encode_single_piece(self.bytes_of[one] + self.bytes_of[two]) == [one, two]
 
-    def decode(self, tokens: list[int]) -> bytes:
+    def decode(self, tokens: list[int] | array) -> bytes:
         """Bytes of the halves, concatenated up the tree."""
         if len(tokens) <= self.leaf_chars:
             table = self.bytes_of

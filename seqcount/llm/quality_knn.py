@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from seqcount.llm.textkernel import counted, groups_of_words, mix
+from seqcount.llm.textkernel import Words, groups_of_words, mix, whole_counts
 
 #: Labelled rows of each label that the model is fitted on, at most; taken by a hash of the id.
 SAMPLE_PER_LABEL = 1200
@@ -18,19 +18,23 @@ _STYLE = np.uint64(0xA11CE)
 _RUN_TERMS = 16  # the first terms count words that repeat the word before, by their place in the run
 
 
+def _terms(g: Words) -> tuple[np.ndarray, np.ndarray]:
+    """(text, term) of hashed words, word styles and word repeats."""
+    again = np.zeros(len(g.doc), bool)
+    again[1:] = (g.word[1:] == g.word[:-1]) & (g.doc[1:] == g.doc[:-1])
+    since = np.arange(len(again))
+    place = since - np.maximum.accumulate(np.where(again, 0, since)) if len(again) else since
+    again[: g.lead] = False
+    runs = np.minimum(place[again], _RUN_TERMS).astype(np.uint64) - np.uint64(1)
+    word = g.word[g.lead :] % np.uint64(N_TERMS // 2 - _RUN_TERMS) + np.uint64(_RUN_TERMS)
+    style = mix(g.style[g.lead :] + _STYLE) % np.uint64(N_TERMS // 2) + np.uint64(N_TERMS // 2)
+    doc = g.doc[g.lead :]
+    return np.concatenate([doc, doc, g.doc[again]]), np.concatenate([word, style, runs])
+
+
 def term_counts(texts: pa.Array):
-    """Groups of (first text, texts, text, term, count): hashed words, word styles and word repeats."""
-    for g in groups_of_words(texts, style=True):
-        again = np.zeros(len(g.doc), bool)
-        again[1:] = (g.word[1:] == g.word[:-1]) & (g.doc[1:] == g.doc[:-1])
-        since = np.arange(len(again))
-        place = since - np.maximum.accumulate(np.where(again, 0, since)) if len(again) else since
-        runs = np.minimum(place[again], _RUN_TERMS).astype(np.uint64) - np.uint64(1)
-        word = g.word % np.uint64(N_TERMS // 2 - _RUN_TERMS) + np.uint64(_RUN_TERMS)
-        style = mix(g.style + _STYLE) % np.uint64(N_TERMS // 2) + np.uint64(N_TERMS // 2)
-        doc = np.concatenate([g.doc, g.doc, g.doc[again]])
-        term = np.concatenate([word, style, runs])
-        yield (g.first, g.n_docs, *counted(doc, term, N_TERMS))
+    """(first text, texts, text, term, count, words) of groups of texts."""
+    return whole_counts(groups_of_words(texts, style=True), _terms, N_TERMS)
 
 
 def _weighted(doc, term, n, idf):
@@ -76,7 +80,7 @@ def scores(model: dict[str, np.ndarray], texts: pa.Array) -> np.ndarray:
     known, k = model["vectors"], min(NEIGHBOURS, len(model["vectors"]))
     if not k:
         return out
-    for first, n_docs, doc, term, n in term_counts(texts):
+    for first, _, doc, term, n, _ in term_counts(texts):
         if not len(doc):
             continue
         w = _weighted(doc, term, n, model["idf"]).astype(np.float32)

@@ -15,5 +15,5 @@ QUERIES = {
     "op10_mixing": mixing.op10_mixing,
 }
 SQL = {
-    "op1_exact_dedup": exact_dedup.OP1_SQL, "op4_topk": topk_nra.OP4_SQL, "op10_mixing": mixing.OP10_SQL,
+    "op1_exact_dedup": exact_dedup.OP1_SQL, "op4_topk": topk_nra.OP4_SQL, "op6_warc": warc.OP6_SQL, "op10_mixing": mixing.OP10_SQL,
 }

@@ -103,7 +103,7 @@ def shard_by_bytes(docs: DataFrame, n_shards: int, id_col: str = "doc_id", text_
     the histogram {group size: groups}. Different sizes number at most sqrt(2 x total
     bytes), whatever the number of rows. Groups of one size are told apart by their rank
     in digest order; a group's copies follow it by a join in which heavy groups are
-    broadcast. Slots count from 0 in each shard by (hash block, id, row).
+    broadcast. Slots count from 0 in each shard by (hash block, id, text).
     A null text has no bytes; a null id is an id like others; an empty table gives no rows.
     """
     if n_shards < 1:
@@ -135,12 +135,12 @@ def shard_by_bytes(docs: DataFrame, n_shards: int, id_col: str = "doc_id", text_
     homes = checkpointed(where.select("digest", "n", "shard"))
     placed = checkpointed(
         join_by_weight(rows, homes, ["digest"], "n", total).select(
-            "rid", "uid", "size", "crc", "shard", F.pmod(F.xxhash64("rid", "uid"), F.lit(SLOT_BLOCKS)).alias("cell")
+            "rid", "uid", "digest", "size", "crc", "shard", F.pmod(F.xxhash64("rid", "digest"), F.lit(SLOT_BLOCKS)).alias("cell")
         )
     )
     counts = placed.groupBy("shard", "cell").agg(F.count("*").alias("c"))
     starts = counts.selectExpr("shard", "cell", "sum(c) over (partition by shard order by cell) - c as start")
-    numbered = placed.selectExpr("*", "row_number() over (partition by shard, cell order by rid, uid) - 1 as at")
+    numbered = placed.selectExpr("*", "row_number() over (partition by shard, cell order by rid, digest, uid) - 1 as at")
     return numbered.join(starts, ["shard", "cell"]).select("rid", "size", "crc", "shard", (F.col("start") + F.col("at")).cast("long").alias("slot"))
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -14,13 +16,13 @@ SHINGLE_WORDS, BITS, SEGMENTS, RADIUS = 3, 64, 4, 2
 SEED = 42
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 _PART = 1 << 15
+_BLANK = re.compile(rb"[\x20\x09-\x0d]")
+#: Bytes of a text that are split into words at once.
+BLOCK_BYTES = 1 << 22
 
 
-def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
-    """64 bits: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words."""
-    tokens = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()
-    if not tokens:
-        return 0
+def _ones(tokens: list[bytes], words: int) -> tuple[np.ndarray, int]:
+    """(hashes with each bit set, hashes) of the shingles of at least ``words`` tokens, or of the whole of fewer."""
     line = b" ".join(tokens)
     ends = np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
@@ -32,7 +34,26 @@ def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
         spans = zip(starts[at : min(at + _PART, n)].tolist(), last[at : at + _PART].tolist(), strict=True)
         h = np.array([digest(line[a:b], SEED) for a, b in spans], np.uint64)
         ones += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little", signed=True)
+    return ones, n
+
+
+def fingerprint(text: str | None, words: int = SHINGLE_WORDS, block: int = BLOCK_BYTES) -> int:
+    """64 bits: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words.
+
+    Long texts are taken in blocks that end at blanks; shingles over the ends are kept.
+    """
+    data = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER)
+    ones, n, tail, at = np.zeros(BITS, np.int64), 0, [], 0
+    while at < len(data):
+        found = _BLANK.search(data, at + block)
+        end = found.end() if found else len(data)
+        tokens = tail + data[at:end].split()
+        if len(tokens) >= words or (end == len(data) and tokens and not n):
+            more, m = _ones(tokens, words)
+            ones, n = ones + more, n + m
+        tail = (tokens[1 - words :] if words > 1 else []) if len(tokens) >= words else tokens
+        at = end
+    return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little", signed=True) if n else 0
 
 
 def fingerprints(docs: DataFrame, id_col: str, text_col: str, words: int = SHINGLE_WORDS) -> DataFrame:

@@ -7,8 +7,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-#: Texts are taken in groups of about this many bytes, so memory doesn't follow the batch.
+#: Texts are taken in groups of about this many bytes, and longer ones in blocks, so memory follows neither batch nor text.
 GROUP_BYTES = 1 << 20
+#: Bytes in which a block's last blank, and the words that it repeats from the block before, are sought.
+_LOOK = 1 << 14
 
 _CLASS = np.full(256, 4, np.uint8)  # 4: beyond ASCII, counted as a small letter
 _CLASS[:128] = 0
@@ -53,18 +55,21 @@ class Words:
     """Words of a group of texts: ``doc`` of each word, ``word`` hash in lower case, ``style`` and ``stems`` hashes.
 
     ``stems``: for each asked length, (indexes of the words with more bytes, hash of their first bytes).
+    ``lead``: words at the start that the block before had already; ``more``: the text goes on in the next block.
     """
 
-    def __init__(self, first: int, n_docs: int, doc: np.ndarray, word: np.ndarray, style: np.ndarray | None, stems: list):
-        self.first, self.n_docs, self.doc, self.word, self.style, self.stems = first, n_docs, doc, word, style, stems
+    def __init__(self, doc: np.ndarray, word: np.ndarray, style: np.ndarray | None, stems: list):
+        self.doc, self.word, self.style, self.stems = doc, word, style, stems
+        self.first, self.n_docs, self.lead, self.more = 0, 1, 0, False
 
 
 def groups_of_words(texts: pa.Array, style: bool = False, stems: tuple[int, ...] = ()) -> Iterator[Words]:
-    """Words of all texts, in groups of whole texts; null is the empty text.
+    """Words of all texts, in groups of whole texts, or blocks of a long one; null is the empty text.
 
-    A word is a run of bytes other than space and tab to carriage return. The style
-    hash sees, in order, each change of character class within the word, symbols by
-    themselves: it tells capitals, digits and trailing marks but no letters.
+    A word is a run of bytes other than space and tab to carriage return; one of over
+    GROUP_BYTES counts as several. The style hash sees, in order, each change of
+    character class within the word, symbols by themselves: it tells capitals, digits
+    and trailing marks but no letters.
     """
     data = texts.cast(pa.large_string()).cast(pa.large_binary())
     if data.null_count:
@@ -76,15 +81,52 @@ def groups_of_words(texts: pa.Array, style: bool = False, stems: tuple[int, ...]
         last = max(first + 1, int(np.searchsorted(offsets, offsets[first] + GROUP_BYTES, "right")) - 1)
         last = min(last, len(data))
         at = offsets[first : last + 1] - offsets[first]
-        yield _group(first, body[offsets[first] : offsets[last]], at, style, stems)
+        if last == first + 1 and at[-1] > GROUP_BYTES:
+            blocks = _blocks(body[offsets[first] : offsets[last]])
+        else:
+            blocks = [(body[offsets[first] : offsets[last]], at, 0, False)]
+        for part, ends, lead, more in blocks:
+            g = _group(part, ends, style, stems)
+            g.first, g.n_docs, g.lead, g.more = first, last - first, lead, more
+            yield g
         first = last
 
 
-def _group(first: int, body: np.ndarray, at: np.ndarray, style: bool, stems: tuple[int, ...]) -> Words:
-    n_docs = len(at) - 1
+def _blocks(body: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, int, bool]]:
+    """A long text in blocks that end at blanks, each with up to two words of the one before at its start."""
+    at = 0
+    while at < len(body):
+        end = min(at + GROUP_BYTES, len(body))
+        if end < len(body):
+            blanks = np.flatnonzero(_BLANK[body[max(at, end - _LOOK) : end]])
+            end = max(at, end - _LOOK) + int(blanks[-1]) + 1 if len(blanks) else end
+        full = ~_BLANK[body[max(0, at - _LOOK) : at]]
+        starts = np.flatnonzero(full & np.r_[True, ~full[:-1]])[-2:] if at else np.zeros(0, np.int64)
+        begin = max(0, at - _LOOK) + int(starts[0]) if len(starts) else at
+        part = body[begin:end]
+        yield part, np.array([0, len(part)]), len(starts), end < len(body)
+        at = end
+
+
+def whole_counts(groups: Iterator[Words], terms_of, n_terms: int):
+    """(first text, texts, text, term, count, words of each text): counts of whole texts, of blocks put together."""
+    held = None
+    for g in groups:
+        doc, term, n = counted(*terms_of(g), n_terms)
+        words = np.bincount(g.doc[g.lead :], minlength=g.n_docs)
+        if held:
+            term, where = np.unique(np.concatenate([held[0], term]), return_inverse=True)
+            n = np.bincount(where, np.concatenate([held[1], n])).astype(np.int64)
+            doc, words = np.zeros(len(term), np.int64), words + held[2]
+        held = (term, n, words) if g.more else None
+        if not g.more:
+            yield g.first, g.n_docs, doc, term, n, words
+
+
+def _group(body: np.ndarray, at: np.ndarray, style: bool, stems: tuple[int, ...]) -> Words:
     if not len(body):
         none = np.zeros(0, np.uint64)
-        return Words(first, n_docs, np.zeros(0, np.int64), none, none, [(np.zeros(0, np.int64), none) for _ in stems])
+        return Words(np.zeros(0, np.int64), none, none, [(np.zeros(0, np.int64), none) for _ in stems])
     edge = np.zeros(len(body) + 1, bool)
     edge[at] = True
     full = ~_BLANK[body]
@@ -101,7 +143,7 @@ def _group(first: int, body: np.ndarray, at: np.ndarray, style: bool, stems: tup
         longer = np.flatnonzero(ends - starts > n)
         heads.append((longer, mix(hashes(starts[longer], starts[longer] + n) - np.uint64(n))))
     if not style:
-        return Words(first, n_docs, doc, word, None, heads)
+        return Words(doc, word, None, heads)
     kind = _CLASS[body]
     kind = np.where(kind == 0, body.astype(np.uint16) + 8, kind)
     fresh = np.ones(len(body), bool)
@@ -109,7 +151,7 @@ def _group(first: int, body: np.ndarray, at: np.ndarray, style: bool, stems: tup
     keep = np.flatnonzero(fresh & full)
     lo, hi = np.searchsorted(keep, starts), np.searchsorted(keep, ends)
     shape = mix(_polynomial(kind[keep])(lo, hi) + np.uint64(0x5EED))
-    return Words(first, n_docs, doc, word, shape, heads)
+    return Words(doc, word, shape, heads)
 
 
 def counted(doc: np.ndarray, term: np.ndarray, n_terms: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

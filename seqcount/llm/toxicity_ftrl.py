@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
 from seqcount.llm.quality_knn import labelled_sample
-from seqcount.llm.textkernel import counted, groups_of_words, mix
+from seqcount.llm.textkernel import Words, groups_of_words, mix, whole_counts
 
 #: Labelled rows of each label that the model is fitted on, at most; taken by a hash of the id.
 SAMPLE_PER_LABEL = 4000
@@ -23,17 +23,23 @@ STEMS = (5, 6, 7)
 PER_WORDS = 100
 
 
+def _features_of(g: Words) -> tuple[np.ndarray, np.ndarray]:
+    """(text, feature) of words, stems, pairs of neighbours and pairs with one word between."""
+    w, doc, lead = g.word, g.doc, g.lead
+    one, two = doc[1:] == doc[:-1], doc[2:] == doc[:-2]
+    one[: max(0, lead - 1)] = False
+    two[: max(0, lead - 2)] = False
+    pair = mix(w[:-1] * _PAIR + w[1:])[one]
+    skip = mix(w[:-2] * _SKIP + (w[2:] ^ _PAIR))[two]
+    stems = [(at[at >= lead], h[at >= lead]) for at, h in g.stems]
+    where = np.concatenate([doc[lead:], doc[:-1][one], doc[:-2][two], *(doc[at] for at, _ in stems)])
+    return where, np.concatenate([w[lead:], pair, skip, *(h for _, h in stems)]) & _MASK
+
+
 def features(texts: pa.Array):
-    """Groups of (first text, texts, text, feature, value): words, stems, pairs of neighbours, pairs with one word between."""
-    for g in groups_of_words(texts, stems=STEMS):
-        w, doc = g.word, g.doc
-        one, two = doc[1:] == doc[:-1], doc[2:] == doc[:-2]
-        pair = mix(w[:-1] * _PAIR + w[1:])[one]
-        skip = mix(w[:-2] * _SKIP + (w[2:] ^ _PAIR))[two]
-        where = np.concatenate([doc, doc[:-1][one], doc[:-2][two], *(doc[at] for at, _ in g.stems)])
-        at, feature, n = counted(where, np.concatenate([w, pair, skip, *(h for _, h in g.stems)]) & _MASK, 1 << BITS)
-        words = np.bincount(doc, minlength=g.n_docs)
-        yield g.first, g.n_docs, at, feature, np.log1p(n * (PER_WORDS / words[at]))
+    """(first text, texts, text, feature, value) of groups of texts."""
+    for first, n_docs, at, feature, n, words in whole_counts(groups_of_words(texts, stems=STEMS), _features_of, 1 << BITS):
+        yield first, n_docs, at, feature, np.log1p(n * (PER_WORDS / words[at]))
 
 
 def rows_of_features(texts: pa.Array) -> list[tuple[np.ndarray, np.ndarray]]:

@@ -339,3 +339,13 @@ def op6_warc(spark, sf_dir: str) -> DataFrame:
     page = lambda c: F.regexp_extract(c, r"^<urn:x-page:(-?\d+)>$", 1)
     number = lambda c: F.when(page(c) != "", page(c).cast("long"))
     return found.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", F.col("type").alias("record_type"), number("refers_to_id").alias("refers_to"))
+
+
+#: Base 32 by the digest's bits, five at a time.
+OP6_SQL = """
+WITH d AS (SELECT page_id, coalesce(html, '') AS h, CAST(CAST(unhex(sha1(coalesce(html, ''))) AS BIT) AS VARCHAR) AS bits, min(page_id) OVER (PARTITION BY coalesce(html, '')) AS first FROM pages)
+SELECT page_id, CAST(strlen(h) AS BIGINT) AS payload_bytes,
+       array_to_string(list_transform(range(0, 160, 5), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567', 1 + CAST(CAST(lpad(substr(bits, CAST(i + 1 AS BIGINT), 5), 8, '0') AS BIT) AS INTEGER), 1)), '') AS payload_digest,
+       CASE WHEN first = page_id THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN first <> page_id THEN first END AS refers_to
+FROM d
+"""

@@ -518,7 +518,7 @@ def _(spark, d):
     """Hits of benchmark k-mers by spans of 4096 bases: an interval join as an equi join on the span's number."""
     known = extract_kmers(src.reads_small(spark, d), K31).distinct()
     hits = extract_kmers(src.reads_docs(spark, d), K31, ext=True).join(known, "kmer", "left_semi").withColumn("span", F.floor(F.col("pos") / 4096))
-    spans = src.reads_docs(spark, d).select("read_id", F.explode(F.sequence(F.lit(0), F.floor(F.length("seq") / 4096))).cast("long").alias("span"))
+    spans = src.reads_docs(spark, d).select("read_id", F.explode(F.sequence(F.lit(0).cast("long"), F.floor(F.length("seq") / 4096))).alias("span"))
     return hits.join(spans, ["read_id", "span"]).groupBy("read_id", "span").agg(F.count("*").alias("hits"), F.min("pos").alias("first"))
 
 

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from seqcount.llm.bpe import VOCABULARY, token_lengths
 from seqcount.llm.common import checkpointed
 
-BLOCK = 1024
+BLOCK = 64
 
 
 def length_histogram(docs: DataFrame, text_col: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:

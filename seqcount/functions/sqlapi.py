@@ -7,6 +7,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from seqcount.functions import kernel
 from seqcount.spec import CountSpec
@@ -36,7 +37,7 @@ class SupermersOf:
                 yield t, at, n, seq[at : at + n]
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(ArrayType(LongType()))
 def pack_kmers(seq: pd.Series, k: pd.Series) -> pd.Series:
     """Packed k-mers of each sequence, in order, without those that hold other symbols."""
     out = []
@@ -46,7 +47,7 @@ def pack_kmers(seq: pd.Series, k: pd.Series) -> pd.Series:
     return pd.Series(out)
 
 
-@pandas_udf("array<bigint>")
+@pandas_udf(ArrayType(LongType()))
 def mmer_scores(seq: pd.Series, m: pd.Series) -> pd.Series:
     """Murmur3 scores of each sequence's m-mers; those that hold other symbols are left out."""
     out = []
@@ -57,7 +58,7 @@ def mmer_scores(seq: pd.Series, m: pd.Series) -> pd.Series:
     return pd.Series(out)
 
 
-@pandas_udf("array<struct<cnt: bigint, n_kmers: bigint>>")
+@pandas_udf(ArrayType(StructType([StructField("cnt", LongType()), StructField("n_kmers", LongType())])))
 def spectrum_of(kmer: pd.Series) -> list:
     """Grouped aggregate: spectrum of the packed k-mers of a group; for groups that fit a task."""
     _, n = kernel.count_runs([kmer.dropna().to_numpy(np.int64)])

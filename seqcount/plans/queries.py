@@ -482,10 +482,10 @@ def _(spark, d):
     return last.select("event_id", F.col("v.event_id").alias("view_id"), F.col("v.ts").alias("view_ts"))
 
 
-@query("json_props", "SELECT CAST(props->>'$.k' AS BIGINT) AS k, count(*) AS n, round(avg(value), 4) AS mean FROM events GROUP BY k")
+@query("json_props", "SELECT CAST(props->>'$.k' AS BIGINT) AS k, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY k")
 def _(spark, d):
     k = F.get_json_object("props", "$.k").cast("long").alias("k")
-    return src.table(spark, d, "events").groupBy(k).agg(F.count("*").alias("n"), F.round(F.avg("value"), 4).alias("mean"))
+    return src.table(spark, d, "events").groupBy(k).agg(F.count("*").alias("n"), F.sum(F.round(F.col("value") * 100).cast("long")).alias("cents"))
 
 
 for _how in ("sort", "range", "hash", "precount"):

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from bisect import bisect_left, insort
+import random
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -14,31 +14,112 @@ SLOT_BLOCKS = 4096
 BROADCAST_SPANS = 500_000
 
 
+class _Node:
+    __slots__ = ("key", "heap", "left", "right")
+
+    def __init__(self, key, heap):
+        self.key, self.heap, self.left, self.right = key, heap, None, None
+
+
+class Tree:
+    """Ordered set of keys as a treap: a search tree kept balanced by random heap order."""
+
+    def __init__(self, seed: int = 42):
+        self.root, self.random = None, random.Random(seed).random
+
+    def ceiling(self, key):
+        """The least key that isn't below ``key``, or None."""
+        at, found = self.root, None
+        while at:
+            if at.key < key:
+                at = at.right
+            else:
+                found, at = at.key, at.left
+        return found
+
+    def add(self, key) -> None:
+        new, path, at = _Node(key, self.random()), [], self.root
+        while at and at.heap >= new.heap:
+            path.append(at)
+            at = at.left if key < at.key else at.right
+        # what hangs below is parted by the key into the new node's two subtrees
+        low, high = [], []
+        rest = at
+        while rest:
+            if rest.key < key:
+                low.append(rest)
+                rest = rest.right
+            else:
+                high.append(rest)
+                rest = rest.left
+        new.left, new.right = self._joined(low, "right"), self._joined(high, "left")
+        self._hang(path, key, new)
+
+    def remove(self, key) -> None:
+        path, at = [], self.root
+        while at.key != key:
+            path.append(at)
+            at = at.left if key < at.key else at.right
+        self._hang(path, key, self._merged(at.left, at.right))
+
+    def _joined(self, spine: list, side: str):
+        """Nodes of a spine linked anew on one side; what lay beyond has gone to the other spine."""
+        for i, node in enumerate(spine):
+            setattr(node, side, spine[i + 1] if i + 1 < len(spine) else None)
+        return spine[0] if spine else None
+
+    def _merged(self, low, high):
+        """One tree of two, all keys of the first being below those of the second."""
+        top, hang = None, None
+        while low or high:
+            if not high or (low and low.heap >= high.heap):
+                node, side, low = low, "right", low.right
+            else:
+                node, side, high = high, "left", high.left
+            if hang:
+                setattr(hang[0], hang[1], node)
+            else:
+                top = node
+            hang = (node, side)
+        if hang:
+            setattr(hang[0], hang[1], None)
+        return top
+
+    def _hang(self, path: list, key, node) -> None:
+        if not path:
+            self.root = node
+        elif key < path[-1].key:
+            path[-1].left = node
+        else:
+            path[-1].right = node
+
+
 class Bins:
-    """Open bins in order of (remaining capacity, bin): the leftmost that still fits is the tightest.
+    """Open bins in a balanced tree by (remaining capacity, bin): the least that still fits is the tightest.
 
-    The order is kept in a balanced form (a sorted sequence searched by bisection); a
-    run of c equal items enters a bin together, as the tightest bin stays the tightest
-    while it fills, so packing costs a search for each bin touched, not for each item.
+    A run of c equal items enters a bin together, as the tightest bin stays the
+    tightest while it fills, so packing costs a search for each bin touched, not for
+    each item.
     """
 
     def __init__(self, capacity: int, n_bins: int | None):
         self.capacity, self.n_bins, self.used = capacity, n_bins, 0
-        self.left: list[tuple[int, int]] = []
+        self.left = Tree()
 
     def place(self, size: int, count: int) -> list[tuple[int, int]] | None:
         """[(bin, items)] for ``count`` items of one size, or None if the bins don't suffice."""
         out = []
         while count:
-            at = bisect_left(self.left, (size, -1))
-            if at < len(self.left):
-                rest, b = self.left.pop(at)
+            found = self.left.ceiling((size, -1))
+            if found:
+                self.left.remove(found)
+                rest, b = found
             elif self.n_bins is not None and self.used >= self.n_bins:
                 return None
             else:
                 rest, b, self.used = max(self.capacity, size), self.used, self.used + 1
             n = min(count, rest // size) if size else count
-            insort(self.left, (rest - n * size, b))
+            self.left.add((rest - n * size, b))
             out.append((b, n))
             count -= n
         return out

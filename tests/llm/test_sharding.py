@@ -19,6 +19,25 @@ def brute_best_fit(sizes, capacity):
     return sorted(left)
 
 
+def test_tree_is_an_ordered_set():
+    rng, tree, keys = random.Random(8), sharding.Tree(), set()
+    for _ in range(4000):
+        key = (rng.randint(0, 300), rng.randint(0, 3))
+        if key in keys and rng.random() < 0.7:
+            tree.remove(key)
+            keys.discard(key)
+        elif key not in keys:
+            tree.add(key)
+            keys.add(key)
+        ask = (rng.randint(-5, 310), -1)
+        assert tree.ceiling(ask) == min((k for k in keys if k >= ask), default=None)
+
+    def depth(node):
+        return 0 if not node else 1 + max(depth(node.left), depth(node.right))
+
+    assert depth(tree.root) < 40
+
+
 def test_runs_of_equal_sizes_pack_like_single_items():
     rng = random.Random(5)
     for _ in range(200):

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqcount.functions.alphabet import bases_to_text, gc, pack, revcomp, text_to_bases, unpack
+from seqcount.functions.scores import score_column
 from seqcount.operators import baselines, counting, exchange, index, metrics, sketches
 from seqcount.operators import supermers as sm
 from seqcount.operators.prepare import extract_kmers, extract_kmers_native
@@ -96,10 +97,11 @@ def _(spark, d):
 # --- scores and minimizers
 
 
-@query("mmer_murmur_scores", f"SELECT DISTINCT code AS mmer, score FROM ({sql.mmer_scores(K31)})")
+@query("mmer_murmur_scores", f"SELECT score % 1024 AS part, count(*) AS mmers, CAST(sum(score) AS BIGINT) AS scores, bit_xor(code) AS words FROM (SELECT DISTINCT code, score FROM ({sql.mmer_scores(K31)})) GROUP BY part")
 def _(spark, d):
     base = extract_kmers(src.reads_docs(spark, d), CountSpec(k=K31.m, m=11)).select("kmer").distinct()
-    return base.select(F.col("kmer").alias("mmer"), F.hash("kmer").cast("long").bitwiseAND(F.lit(0xFFFFFFFF)).alias("score"))
+    scored = base.withColumn("score", score_column(F.col("kmer"), K31.m))
+    return scored.groupBy(F.pmod("score", F.lit(1024)).alias("part")).agg(F.count("*").alias("mmers"), F.sum("score").alias("scores"), F.bit_xor("kmer").alias("words"))
 
 
 _BY_TASK = "SELECT task, count(*) AS n_kmers, CAST(sum(score) AS BIGINT) AS scores FROM ({}) GROUP BY task"

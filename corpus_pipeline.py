@@ -31,7 +31,7 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 @shipped
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies, the row with the smallest id."""
+    """Of each group of near copies (2 bits of SimHash, or similarity 0.8 on five words), the row with the smallest id."""
     return simhash.drop_near_copies(docs)
 
 

@@ -10,11 +10,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqcount.llm.common import checkpointed, discard, join_by_weight, text_fingerprint, without_rows, written
+from seqcount.llm.common import BROADCAST_ROWS, checkpointed, discard, join_by_weight, text_fingerprint, without_rows, written
 
 SHINGLE_WORDS, BITS, SEGMENTS, RADIUS = 3, 64, 4, 2
 SEED = 42
 _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
+#: Near copies that are dropped: shingles of so many words, with this Jaccard similarity or more.
+COPY_WORDS, COPY_SIMILARITY = 5, 0.8
+#: Keys of a sketch, and shingles that each is made of: at similarity 0.8 all but 2 pairs in 1,000 share a key.
+SKETCH_PARTS, SKETCH_LEAST = 12, 4
+_ODD = np.uint64(0x9E3779B97F4A7C15)
 _PART = 1 << 15
 _BLANK = re.compile(rb"[\x20\x09-\x0d]")
 #: Bytes of a text that are split into words at once.
@@ -92,24 +97,26 @@ def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> Dat
 
 
 def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
-    """(fp, least): the least id of each node's component, for nodes that have a link.
+    """(fp, least, root): the least id of each node's component and the node that has it, for nodes with a link.
 
-    Rounds of taking the least label among a node and its neighbours, then of the
-    node that the label names. A node has few links, as links lie within balls; that
-    many nodes share a label is met by joining on labels by weight.
+    ``nodes`` are (fp, least), ``edges`` (one, two) among their fp. Rounds of taking the
+    least label among a node and its neighbours, then of the node that the label
+    names. A node with many links, and a label that many nodes share, are met by
+    joining by weight.
     """
+    spark = nodes.sparkSession
     both = checkpointed(edges.unionByName(edges.select(F.col("two").alias("one"), F.col("one").alias("two"))))
+    degrees = both.groupBy(F.col("one").alias("fp")).agg(F.count("*").alias("degree"))
     label = F.struct(F.col("least").isNull().alias("none"), F.col("least"), F.col("fp"))
-    touched = both.select(F.col("one").alias("fp")).distinct()
-    spark = nodes.sparkSession
-    state, path = written(nodes.join(touched, "fp", "left_semi").select("fp", label.alias("label")))
-    total = state.count()
+    state, path = written(nodes.join(degrees, "fp").select("fp", "degree", label.alias("label")))
+    total, n_both = state.count(), both.count()
     while total:
-        near = both.join(state.select(F.col("fp").alias("two"), "label"), "two").groupBy(F.col("one").alias("fp")).agg(F.min("label").alias("near"))
+        around = join_by_weight(both, state.select(F.col("fp").alias("two"), "label", "degree"), ["two"], "degree", n_both)
+        near = around.groupBy(F.col("one").alias("fp")).agg(F.min("label").alias("near"))
         least = F.least("label", F.coalesce("near", "label"))
-        lower, middle = written(state.join(near, "fp", "left").select("fp", F.col("label").alias("was"), least.alias("label"), least.getField("fp").alias("root")))
+        lower, middle = written(state.join(near, "fp", "left").select("fp", "degree", F.col("label").alias("was"), least.alias("label"), least.getField("fp").alias("root")))
         named = lower.groupBy("root").agg(F.count("*").alias("n")).join(lower.select(F.col("fp").alias("root"), F.col("label").alias("up")), "root")
-        jumped = join_by_weight(lower, named, ["root"], "n", total).select("fp", "was", F.least("label", F.coalesce("up", "label")).alias("label"))
+        jumped = join_by_weight(lower, named, ["root"], "n", total).select("fp", "degree", "was", F.least("label", F.coalesce("up", "label")).alias("label"))
         state, fresh_path = written(jumped)
         discard(spark, path)
         discard(spark, middle)
@@ -117,7 +124,15 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
         if not state.where(F.col("was") != F.col("label")).limit(1).count():
             break
         state = state.drop("was")
-    return state.select("fp", F.col("label.least").alias("least"))
+    return state.select("fp", F.col("label.least").alias("least"), F.col("label.fp").alias("root"))
+
+
+def _grouped(rows: DataFrame, radius: int) -> DataFrame:
+    """(fp, n, least, root) of the fingerprints whose group has several rows; root is the group's own fingerprint."""
+    nodes = checkpointed(rows.groupBy("fp").agg(F.min("rid").alias("least"), F.count("*").alias("n")))
+    found = components(links(nodes.select("fp"), radius), nodes).withColumnRenamed("least", "reached")
+    known = nodes.join(found, "fp", "left").where("n > 1 or reached is not null or root is not null")
+    return checkpointed(known.select("fp", "n", F.coalesce("reached", "least").alias("least"), F.coalesce("root", "fp").alias("root")))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SHINGLE_WORDS, radius: int = RADIUS) -> DataFrame:
@@ -127,19 +142,121 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     fingerprints are one node, whatever their number, before any links are sought.
     """
     rows = fingerprints(docs, id_col, text_col, words)
-    nodes = checkpointed(rows.groupBy("fp").agg(F.min("rid").alias("least"), F.count("*").alias("n")))
-    found = components(links(nodes.select("fp"), radius), nodes)
-    known = nodes.join(found.withColumnRenamed("least", "reached"), "fp", "left").where("n > 1 or reached is not null")
-    groups = checkpointed(known.select("fp", "n", F.coalesce("reached", "least").alias("least")))
-    return join_by_weight(rows, groups, ["fp"], "n", rows.count()).select("rid", "fp", "tfp", F.coalesce("least", "rid").alias("least"))
+    return join_by_weight(rows, _grouped(rows, radius), ["fp"], "n", rows.count()).select("rid", "fp", "tfp", F.coalesce("least", "rid").alias("least"))
+
+
+# --- near copies by the similarity of their shingles
+
+
+def shingle_hashes(text: str | None, words: int) -> np.ndarray:
+    """Different XXH64 of the shingles of ``words`` words, ascending; of a shorter text the whole; of none nothing."""
+    tokens = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()
+    if not tokens:
+        return np.zeros(0, np.uint64)
+    line = b" ".join(tokens)
+    ends = (np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1).tolist()
+    starts = [0, *(e + 1 for e in ends[:-1])]
+    last = ends[words - 1 :] if len(tokens) >= words else ends[-1:]
+    digest = xxhash.xxh64_intdigest
+    return np.unique(np.array([digest(line[a:b], SEED) for a, b in zip(starts, last, strict=False)], np.uint64))
+
+
+def sketch(hashes: np.ndarray, parts: int = SKETCH_PARTS, least: int = SKETCH_LEAST) -> np.ndarray:
+    """A key for each part of the hash space that has shingles: its ``least`` smallest, hashed together.
+
+    Texts that share a part's smallest shingles share its key; with a similarity of s
+    that has about the chance s^least for each part.
+    """
+    part = (hashes % np.uint64(parts)).astype(np.int64)
+    order = np.argsort(part, kind="stable")  # within a part the hashes ascend
+    part, value = part[order], hashes[order]
+    heads = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, np.int64)
+    place = np.arange(len(part)) - np.repeat(heads, np.diff(np.append(heads, len(part))))
+    value = np.where(place < least, (value + place.astype(np.uint64)) * _ODD, np.uint64(0))
+    value ^= value >> np.uint64(29)
+    return (np.add.reduceat(value, heads) * _ODD + part[heads].astype(np.uint64)).view(np.int64) if len(heads) else np.zeros(0, np.int64)
+
+
+def similar_pairs(rows: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
+    """(one, two): pairs of rows (uid, keys) that share a key, with a Jaccard similarity of shingles of ``similarity`` or more.
+
+    Of the rows of a key, each is paired with the first and the last, not with all:
+    pairs grow with the rows, and groups of near copies hang together over their
+    keys. Similarities are exact, over whole texts (rid, tfp, text), which only rows
+    with a partner need; they're found by id and fingerprint, which a second reading of
+    the texts gives again, as it needn't a number of the row.
+    """
+    keyed = rows.select("uid", F.explode("keys").alias("key"))
+    shared = checkpointed(keyed.groupBy("key").agg(F.min("uid").alias("first"), F.max("uid").alias("last"), F.count("*").alias("n")).where("n > 1"))
+    ends = join_by_weight(keyed, shared, ["key"], "n", rows.count() * SKETCH_PARTS).where("n is not null")
+    both = ends.select("uid", F.explode(F.array("first", "last")).alias("end")).where("uid <> end")
+    pairs = checkpointed(both.select(F.least("uid", "end").alias("one"), F.greatest("uid", "end").alias("two")).distinct())
+    involved = pairs.select(F.col("one").alias("uid")).unionAll(pairs.select(F.col("two").alias("uid"))).distinct()
+    wanted = checkpointed(rows.join(involved, "uid", "left_semi").select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")))
+    few = F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted
+
+    def run(batches):
+        for batch in batches:
+            sets = [shingle_hashes(t.as_py(), words) for t in batch.column(1)]
+            sizes = np.concatenate([[0], np.cumsum([len(x) for x in sets])])
+            flat = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))], names=["uid", "shingles"])
+
+    found = texts.join(few, F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp")))
+    sets = checkpointed(found.select("uid", "text").mapInArrow(run, "uid long, shingles array<long>").dropDuplicates(["uid"]))
+    degree = pairs.select(F.col("one").alias("two")).unionAll(pairs.select("two")).groupBy("two").agg(F.count("*").alias("n"))
+    total = pairs.count()
+    named = sets.join(degree, sets["uid"] == degree["two"]).select("two", "n", F.col("shingles").alias("b"))
+    left = join_by_weight(pairs, named.select(F.col("two").alias("one"), "n", F.col("b").alias("a")), ["one"], "n", total).drop("n")
+    full = join_by_weight(checkpointed(left), named, ["two"], "n", total)
+    common = F.size(F.array_intersect("a", "b"))
+    return full.where(common >= similarity * (F.size("a") + F.size("b") - common)).select("one", "two")
+
+
+def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = COPY_WORDS, similarity: float = COPY_SIMILARITY, radius: int = RADIUS) -> DataFrame:
+    """(rid, tfp, spare) of the rows that go: of each group of near copies the row with the least id stays.
+
+    Rows are linked if their SimHash fingerprints (as in ``near_duplicates``) are within
+    ``radius`` bits, or if their shingles of ``words`` words have a Jaccard similarity of
+    ``similarity`` or more: 64 bits can't tell 0.8 from less, so such pairs are sought
+    by sketch keys and verified exactly. Rows without words form one group. A null id
+    stays if no row of its group has one; of repeats of one row, one stays (the others
+    are ``spare``).
+    """
+    plain = docs.select(F.col(id_col).cast("long").alias("rid"), F.monotonically_increasing_id().alias("uid"), F.col(text_col).cast("string").alias("text"), text_fingerprint(text_col).alias("tfp"))
+
+    def run(batches):
+        for batch in batches:
+            fps, keys = [], []
+            for t in batch.column(2):
+                text = t.as_py()
+                fps.append(fingerprint(text))
+                keys.append(sketch(shingle_hashes(text, words)))
+            sizes = np.concatenate([[0], np.cumsum([len(x) for x in keys])])
+            flat = np.concatenate(keys) if keys else np.zeros(0, np.int64)
+            lists = pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(3), pa.array(fps, pa.int64()), lists], names=["rid", "uid", "tfp", "fp", "keys"])
+
+    rows = checkpointed(plain.mapInArrow(run, "rid long, uid long, tfp long, fp long, keys array<long>"))
+    total = rows.count()
+    # a group of fingerprints hangs on its first row
+    groups = _grouped(rows, radius)
+    placed = checkpointed(join_by_weight(rows.select("uid", "fp"), groups.select("fp", "n", "root"), ["fp"], "n", total).where("root is not null").select("uid", "root"))
+    firsts = placed.groupBy("root").agg(F.min("uid").alias("two"), F.count("*").alias("n"))
+    hung = join_by_weight(placed, firsts, ["root"], "n", total).select(F.col("uid").alias("one"), "two").where("one <> two")
+    alike = similar_pairs(rows, plain.select("rid", "tfp", "text"), words, similarity)
+    found = components(checkpointed(hung.unionByName(alike)), rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least")))
+    gone = found.where("fp <> root").select(F.col("fp").alias("uid"), "root")
+    winners = gone.select(F.col("root").alias("uid")).distinct().join(rows.select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")), "uid").withColumnRenamed("uid", "root")
+    named = checkpointed(gone.join(rows.select("uid", "rid", "tfp"), "uid"))
+    sizes = named.groupBy("root").agg(F.count("*").alias("n")).join(winners, "root")
+    spare = F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp"))
+    return join_by_weight(named, sizes, ["root"], "n", total).select("rid", "tfp", spare.alias("spare"))
 
 
 def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` whose id is the least of their component, with all their columns."""
-    found = near_duplicates(docs, id_col, text_col)
-    gone = found.where("rid is null or rid <> least").select("rid", "tfp", F.lit(False).alias("spare"))
-    again = found.where("rid = least").groupBy("rid", "tfp").agg(F.count("*").alias("n")).where("n > 1").select("rid", "tfp", F.lit(True).alias("spare"))
-    return without_rows(docs, gone.unionByName(again), id_col, text_col)
+    """One row of each group of ``near_copies``, with all its columns."""
+    return without_rows(docs, near_copies(docs, id_col, text_col), id_col, text_col)
 
 
 def op9_simhash(spark, sf_dir: str) -> DataFrame:

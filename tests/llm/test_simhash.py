@@ -75,3 +75,50 @@ def test_given_table_against_all_pairs(spark):
     fps = [brute_fingerprint(r["text"]) for r in rows]
     want = {(r["doc_id"], f"{f:016x}", c) for r, f, c in zip(rows, fps, brute_components([r["doc_id"] for r in rows], fps))}
     assert {tuple(r) for r in simhash.op9_simhash(spark, sf).collect()} == want
+
+
+def jaccard(a, b, words=5):
+    def shingles(t):
+        w = t.lower().split()
+        return {tuple(w[i : i + words]) for i in range(max(1, len(w) - words + 1))}
+
+    x, y = shingles(a), shingles(b)
+    return len(x & y) / len(x | y)
+
+
+def test_stage_finds_similar_texts_and_spares_others(spark):
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 7)))
+    texts, sources = [], []
+    for g in range(60):
+        base = [word() for _ in range(rng.randint(60, 400))]
+        for c in range(rng.randint(1, 4)):
+            copy = list(base)
+            for _ in range(0 if c == 0 else max(1, int(rng.uniform(0.002, 0.03) * len(copy)))):
+                copy[rng.randrange(len(copy))] = word()
+            texts.append(" ".join(copy))
+            sources.append(g)
+    hub = [word() for _ in range(120)]
+    for _ in range(150):  # a large group
+        copy = list(hub)
+        copy[rng.randrange(120)] = word()
+        texts.append(" ".join(copy))
+        sources.append(-1)
+    ids = list(range(100, 100 + len(texts)))
+    rng.shuffle(ids)
+    docs = spark.createDataFrame(list(zip(ids, texts)), "doc_id long, text string").repartition(7)
+    kept = {r["doc_id"] for r in simhash.drop_near_copies(docs).collect()}
+    for g in set(sources):
+        group = [(i, t) for i, t, s in zip(ids, texts, sources) if s == g]
+        stay = [x for x in group if x[0] in kept]
+        assert stay and min(group)[0] in kept
+        for a in range(len(stay)):
+            for b in range(a):
+                assert jaccard(stay[a][1], stay[b][1]) < 0.8 or len(group) > 100
+    assert sum(1 for i, s in zip(ids, sources) if s == -1 and i in kept) <= 3
+
+
+def test_sketches_of_equal_sets_agree():
+    h = simhash.shingle_hashes("a b c d e f g h i j k l m n o p", 5)
+    assert len(h) == 12 and (simhash.sketch(h) == simhash.sketch(h.copy())).all() and len(simhash.sketch(h[:0])) == 0
+    assert len(simhash.shingle_hashes("only three words", 5)) == 1 and len(simhash.shingle_hashes(None, 5)) == 0

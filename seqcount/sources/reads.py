@@ -12,23 +12,40 @@ EVENT_BASES = {"view": "A", "click": "C", "signup": "G", "purchase": "T"}
 SHORT_BASES = 150
 
 
+#: Scans below this many bytes are dealt to all cores; above, files have row groups enough.
+SMALL_SCAN = 256 << 20
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(rows: DataFrame) -> DataFrame:
+    """Rows of a small scan over all cores: a small file may be one row group, which one task reads.
+
+    The size is that of the files, as the planner knows it, so no job runs; large
+    scans stay as they are and are not shuffled.
+    """
+    size = int(str(rows._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return rows.repartition(rows.sparkSession.sparkContext.defaultParallelism) if size < SMALL_SCAN else rows
+
+
 def reads_docs(spark, sf_dir) -> DataFrame:
     """Long reads: one base for each character of a document."""
-    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("read_id"), fold_text(F.col("text")).alias("seq"))
+    docs = spread(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return docs.select(F.col("doc_id").alias("read_id"), fold_text(F.col("text")).alias("seq"))
 
 
 def reads_docs_exact(spark, sf_dir) -> DataFrame:
     """Documents without loss: four bases to a byte."""
-    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("read_id"), text_to_bases(F.col("text")).alias("seq"))
+    docs = spread(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return docs.select(F.col("doc_id").alias("read_id"), text_to_bases(F.col("text")).alias("seq"))
 
 
 def reads_pages(spark, sf_dir) -> DataFrame:
     """Repetitive reads of markup."""
-    return table(spark, sf_dir, "pages").select(F.col("page_id").alias("read_id"), fold_text(F.col("html")).alias("seq"))
+    pages = spread(table(spark, sf_dir, "pages").select("page_id", "html"))
+    return pages.select(F.col("page_id").alias("read_id"), fold_text(F.col("html")).alias("seq"))
 
 
 def reads_small(spark, sf_dir) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import os
+import threading
 import time
 from collections.abc import Callable
 
@@ -17,6 +19,55 @@ def timed(make: Callable[[], DataFrame]) -> float:
     return time.monotonic() - began
 
 
+def stage_times(reads: DataFrame, spec, partitions: int) -> dict[str, float]:
+    """Seconds of preparation, exchange, and counting, each as what it adds to the stages before."""
+    from seqcount.operators import counting, exchange
+    from seqcount.plans.flagship import make_plan
+
+    plan = make_plan(reads, spec, partitions)
+    blocks = exchange.make_blocks(reads, spec, plan.placed, plan.heavy, partitions)
+    a = timed(lambda: blocks)
+    b = timed(lambda: exchange.exchange(blocks, partitions))
+    c = timed(lambda: counting.count_blocks(exchange.exchange(blocks, partitions), spec, as_spectrum=True))
+    return {"preparation": a, "exchange": max(0.0, b - a), "counting": max(0.0, c - b)}
+
+
+def peak_memory(make: Callable[[], DataFrame], every: float = 0.05) -> int:
+    """Most bytes that this process, its JVM and its workers hold while a frame is made; for local sessions."""
+    stop, most = threading.Event(), [0]
+
+    def watch():
+        while not stop.is_set():
+            most[0] = max(most[0], _resident(os.getpid()))
+            stop.wait(every)
+
+    thread = threading.Thread(target=watch, daemon=True)
+    thread.start()
+    try:
+        timed(make)
+    finally:
+        stop.set()
+        thread.join()
+    return most[0]
+
+
+def _resident(top: int) -> int:
+    """Resident bytes of a process and all below it, from /proc."""
+    parent, pages = {}, {}
+    for name in filter(str.isdigit, os.listdir("/proc")):
+        try:
+            with open(f"/proc/{name}/stat") as f:
+                parent[int(name)] = int(f.read().rpartition(")")[2].split()[1])
+            with open(f"/proc/{name}/statm") as f:
+                pages[int(name)] = int(f.read().split()[1])
+        except OSError:
+            continue
+    own = {top}
+    while more := {p for p, q in parent.items() if q in own and p not in own}:
+        own |= more
+    return sum(pages.get(p, 0) for p in own) * os.sysconf("SC_PAGE_SIZE")
+
+
 def speedup(base: float, new: float) -> float:
     return base / new
 

@@ -524,6 +524,68 @@ def _(spark, d):
     return hits.join(spans, ["read_id", "span"]).groupBy("read_id", "span").agg(F.count("*").alias("hits"), F.min("pos").alias("first"))
 
 
+# --- further aggregates, windows and uses
+
+
+@query("supermer_length_percentiles", f"SELECT round(quantile_cont(n_bases, 0.5), 6) AS p50, round(quantile_cont(n_bases, 0.9), 6) AS p90, round(quantile_cont(n_bases, 0.99), 6) AS p99 FROM ({sql.supermers(K31)})")
+def _(spark, d):
+    rows = sm.build_supermers(src.reads_docs(spark, d), K31.but(chunk=WHOLE))
+    return rows.agg(*[F.round(F.percentile("n_bases", F.lit(q)), 6).alias(n) for n, q in (("p50", 0.5), ("p90", 0.9), ("p99", 0.99))])
+
+
+@query("bases_by_cube", f"SELECT lang, source, count(*) AS reads, CAST(sum(length(seq)) AS BIGINT) AS bases FROM (SELECT lang, source, {sql.fold('text')} AS seq FROM documents) GROUP BY CUBE (lang, source)")
+def _(spark, d):
+    docs = src.table(spark, d, "documents").select(F.col("doc_id").alias("read_id"), "lang", "source")
+    return src.reads_docs(spark, d).join(docs, "read_id").cube("lang", "source").agg(F.count("*").alias("reads"), F.sum(F.length("seq")).cast("long").alias("bases"))
+
+
+@query("spectrum_ranks", f"""WITH s AS ({_ONE}) SELECT cnt, n_kmers, CAST(rank() OVER (ORDER BY n_kmers DESC) AS INTEGER) AS place, CAST(dense_rank() OVER (ORDER BY n_kmers DESC) AS INTEGER) AS dense,
+CAST(ntile(4) OVER (ORDER BY cnt) AS INTEGER) AS quarter, round(percent_rank() OVER (ORDER BY cnt), 6) AS below, round(cume_dist() OVER (ORDER BY cnt), 6) AS upto FROM s""")
+def _(spark, d):
+    many, few = Window.orderBy(F.desc("n_kmers")), Window.orderBy("cnt")  # a spectrum has few rows
+    rows = flagship.count_kmers(src.reads_docs(spark, d), K31, as_spectrum=True)
+    return rows.select("cnt", "n_kmers", F.rank().over(many).alias("place"), F.dense_rank().over(many).alias("dense"), F.ntile(4).over(few).alias("quarter"), F.round(F.percent_rank().over(few), 6).alias("below"), F.round(F.cume_dist().over(few), 6).alias("upto"))
+
+
+@query("kmer_neighbours_small", f"""WITH k AS (SELECT DISTINCT kmer FROM ({sql.kmers(15, sql.reads('small'))})), n AS (SELECT kmer, substr(kmer, 1, CAST(i - 1 AS BIGINT)) || b || substr(kmer, CAST(i + 1 AS BIGINT)) AS near
+FROM k, unnest(range(1, 16)) AS p(i), unnest(['A', 'C', 'G', 'T']) AS l(b) WHERE substr(kmer, CAST(i AS BIGINT), 1) <> b) SELECT kmer, count(*) AS neighbours FROM n WHERE near IN (SELECT kmer FROM k) GROUP BY kmer""")
+def _(spark, d):
+    """K-mers that occur with one base changed: 45 flips of the packed word and a join, not a comparison of all pairs."""
+    kmers = extract_kmers(src.reads_small(spark, d), CountSpec(k=15, m=7)).distinct()
+    flips = F.explode(F.array(*[F.lit(x << 2 * i) for i in range(15) for x in (1, 2, 3)])).alias("flip")
+    near = kmers.select("kmer", flips).select("kmer", F.col("kmer").bitwiseXOR(F.col("flip")).alias("near"))
+    found = near.join(kmers.withColumnRenamed("kmer", "near"), "near", "left_semi").groupBy("kmer").agg(F.count("*").alias("neighbours"))
+    return decoded(found, 15)
+
+
+@query("read_profiles_small", f"SELECT read_id, kmer, count(*) AS n FROM ({sql.kmers(3, sql.reads('small'))}) GROUP BY ALL")
+def _(spark, d):
+    """Each read's k-mers as a map, opened again."""
+    rows = extract_kmers_native(src.reads_small(spark, d), 3).groupBy("read_id", "kmer").agg(F.count("*").alias("n"))
+    maps = rows.groupBy("read_id").agg(F.map_from_entries(F.collect_list(F.struct("kmer", "n"))).alias("profile"))
+    return maps.select("read_id", F.explode("profile").alias("kmer", "n"))
+
+
+@query("read_jaccard_small", f"""WITH m AS (SELECT DISTINCT read_id, score FROM ({sql.minimizers(K31, sql.reads('small'))})), c AS (SELECT read_id, count(*) AS n FROM m GROUP BY read_id),
+p AS (SELECT a.read_id AS read_a, b.read_id AS read_b, count(*) AS common FROM m a JOIN m b ON a.score = b.score AND a.read_id < b.read_id GROUP BY ALL)
+SELECT read_a, read_b, common, round(common / (x.n + y.n - common), 6) AS jaccard FROM p JOIN c x ON x.read_id = read_a JOIN c y ON y.read_id = read_b""")
+def _(spark, d):
+    """Similarity of reads by their sets of minimizers."""
+    sets = sm.minimizers_arrow(src.reads_small(spark, d), K31).select("read_id", "score").distinct()
+    sizes = sets.groupBy("read_id").agg(F.count("*").alias("n"))
+    a, b = sets.withColumnRenamed("read_id", "read_a"), sets.withColumnRenamed("read_id", "read_b")
+    pairs = a.join(b, "score").where("read_a < read_b").groupBy("read_a", "read_b").agg(F.count("*").alias("common"))
+    named = pairs.join(sizes.toDF("read_a", "x"), "read_a").join(sizes.toDF("read_b", "y"), "read_b")
+    return named.select("read_a", "read_b", "common", F.round(F.col("common") / (F.col("x") + F.col("y") - F.col("common")), 6).alias("jaccard"))
+
+
+@query("kmers_by_prefix", f"SELECT left(kmer, 4) AS prefix, count(*) AS kmers, CAST(sum(cnt) AS BIGINT) AS occurrences FROM ({sql.counts(31)}) GROUP BY prefix")
+def _(spark, d):
+    counts = flagship.count_kmers(src.reads_docs(spark, d), K31)
+    by = counts.groupBy(F.shiftright("kmer", 54).alias("prefix")).agg(F.count("*").alias("kmers"), F.sum("cnt").alias("occurrences"))
+    return by.withColumn("prefix", unpack(F.col("prefix"), 4))
+
+
 def flagship_entry(spark, d) -> DataFrame:
     """The spectrum of all documents at k = 31 by the whole method."""
     return QUERIES["kmer_spectrum_k31"](spark, d)

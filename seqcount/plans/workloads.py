@@ -134,7 +134,7 @@ def w9_distributed_hash(spark, sf):
     out = []
     for name, reads in (("docs", _cached(src.reads_docs(spark, sf))), ("cov5", _large(spark, sf))):
         for how, make in (("method", partial(flagship.count_kmers, reads, K31)), ("dist_hash", partial(baselines.count_dist_hash, reads, K31)), ("dist_hash_partial", partial(baselines.count_dist_hash, reads, K31, partial=True)), ("range_sort", partial(baselines.count_range_sort, reads, K31))):
-            out.append({"reads": name, "how": how, "s": round(_spectrum(make), 2), "shuffle_mb": round(metrics.shuffle_bytes(spark, make) / 1e6, 1)})
+            out.append({"reads": name, "how": how, "s": round(_spectrum(make), 2), "peak_mb": round(metrics.peak_memory(lambda m=make: counting.spectrum(m())) / 1e6), "shuffle_mb": round(metrics.shuffle_bytes(spark, make) / 1e6, 1)})
     return out
 
 
@@ -171,6 +171,11 @@ def w12_balance(spark, sf):
     return [{"score": s} | metrics.balance(flagship.kmers_per_task(reads, K31.but(score=s))) for s in ("murmur3", "universal", "arith", "lex_mod", "lex")]
 
 
+def w7_stages(spark, sf):
+    """Seconds of the stages of one run."""
+    return [{k: round(v, 2) for k, v in metrics.stage_times(_cached(src.reads_short(spark, sf)), K31, _parts(spark)).items()}]
+
+
 def w13_volume(spark, sf):
     reads = src.reads_docs(spark, sf)
     return [{"k": k} | exchange.exchange_bytes(sm.build_supermers(reads, CountSpec(k=k)), CountSpec(k=k)).first().asDict() for k in (17, 31, 55)]

@@ -261,6 +261,12 @@ def test_measures():
     assert counting.choose_sort(10, 100) == "aux_radix" and counting.choose_sort(40, 100) == "inplace" and counting.choose_sort(70, 100) == "spark_radix"
 
 
+def test_stage_times_and_memory(reads):
+    times = metrics.stage_times(reads, SMALL, 3)
+    assert set(times) == {"preparation", "exchange", "counting"} and all(t >= 0 for t in times.values())
+    assert metrics.peak_memory(lambda: flagship.count_kmers(reads, SMALL, 3)) > 50 << 20
+
+
 def test_plan_has_one_exchange_by_place(spark):
     from seqcount.functions.alphabet import fold_text
 

@@ -55,7 +55,8 @@ def fit(texts: pa.Array, labels: np.ndarray) -> dict[str, np.ndarray]:
     idf = np.log((1.0 + len(labels)) / (1.0 + np.bincount(term, minlength=N_TERMS))) + 0.1
     a = np.zeros((len(labels), N_TERMS), np.float32)
     a[doc, term] = _weighted(doc, term, n, idf)
-    a = _unit(a)
+    norm = np.linalg.norm(a, axis=1, keepdims=True)
+    a /= np.where(norm > 0, norm, 1).astype(np.float32)  # in place: the matrix is the driver's largest
     rank = min(RANK, *a.shape) if len(labels) else 0
     rng = np.random.default_rng(SEED)
     y = a @ rng.standard_normal((N_TERMS, min(rank + 16, max(1, len(labels))))).astype(np.float32) if rank else np.zeros((0, 0), np.float32)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -26,38 +27,43 @@ _BLANK = re.compile(rb"[\x20\x09-\x0d]")
 BLOCK_BYTES = 1 << 22
 
 
-def _ones(tokens: list[bytes], words: int) -> tuple[np.ndarray, int]:
-    """(hashes with each bit set, hashes) of the shingles of at least ``words`` tokens, or of the whole of fewer."""
-    line = b" ".join(tokens)
-    ends = np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1
-    starts = np.concatenate([[0], ends[:-1] + 1])
-    n = max(1, len(tokens) - words + 1)
-    last = ends[words - 1 :] if len(tokens) >= words else ends[-1:]
-    digest = xxhash.xxh64_intdigest
-    ones = np.zeros(BITS, np.int64)
-    for at in range(0, n, _PART):
-        spans = zip(starts[at : min(at + _PART, n)].tolist(), last[at : at + _PART].tolist(), strict=True)
-        h = np.array([digest(line[a:b], SEED) for a, b in spans], np.uint64)
-        ones += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return ones, n
-
-
-def fingerprint(text: str | None, words: int = SHINGLE_WORDS, block: int = BLOCK_BYTES) -> int:
-    """64 bits: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words.
+def _token_lists(text: str | None, words: int, block: int) -> Iterator[list[bytes]]:
+    """Words of a text, in lists that hold each shingle of ``words`` words once; a shorter text is one list.
 
-    Long texts are taken in blocks that end at blanks; shingles over the ends are kept.
+    Long texts are cut at blanks after ``block`` bytes, so their words aren't all held at once.
     """
     data = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER)
-    ones, n, tail, at = np.zeros(BITS, np.int64), 0, [], 0
+    tail: list[bytes] = []
+    at, some = 0, False
     while at < len(data):
         found = _BLANK.search(data, at + block)
         end = found.end() if found else len(data)
         tokens = tail + data[at:end].split()
-        if len(tokens) >= words or (end == len(data) and tokens and not n):
-            more, m = _ones(tokens, words)
-            ones, n = ones + more, n + m
+        if len(tokens) >= words or (end == len(data) and tokens and not some):
+            yield tokens
+            some = True
         tail = (tokens[1 - words :] if words > 1 else []) if len(tokens) >= words else tokens
         at = end
+
+
+def _hashes(tokens: list[bytes], words: int) -> np.ndarray:
+    """XXH64 of the shingles of a list of words, of fewer of the whole list."""
+    line = b" ".join(tokens)
+    ends = (np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1).tolist()
+    starts = [0, *(e + 1 for e in ends[:-1])]
+    last = ends[words - 1 :] if len(tokens) >= words else ends[-1:]
+    digest = xxhash.xxh64_intdigest
+    return np.array([digest(line[a:b], SEED) for a, b in zip(starts, last, strict=False)], np.uint64)
+
+
+def fingerprint(text: str | None, words: int = SHINGLE_WORDS, block: int = BLOCK_BYTES) -> int:
+    """64 bits: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words."""
+    ones, n = np.zeros(BITS, np.int64), 0
+    for tokens in _token_lists(text, words, block):
+        h = _hashes(tokens, words)
+        n += len(h)
+        for at in range(0, len(h), _PART):
+            ones += np.unpackbits(h[at : at + _PART].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little", signed=True) if n else 0
 
 
@@ -148,17 +154,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 # --- near copies by the similarity of their shingles
 
 
-def shingle_hashes(text: str | None, words: int) -> np.ndarray:
+def shingle_hashes(text: str | None, words: int, block: int = BLOCK_BYTES) -> np.ndarray:
     """Different XXH64 of the shingles of ``words`` words, ascending; of a shorter text the whole; of none nothing."""
-    tokens = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER).split()
-    if not tokens:
-        return np.zeros(0, np.uint64)
-    line = b" ".join(tokens)
-    ends = (np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1).tolist()
-    starts = [0, *(e + 1 for e in ends[:-1])]
-    last = ends[words - 1 :] if len(tokens) >= words else ends[-1:]
-    digest = xxhash.xxh64_intdigest
-    return np.unique(np.array([digest(line[a:b], SEED) for a, b in zip(starts, last, strict=False)], np.uint64))
+    parts = [np.unique(_hashes(tokens, words)) for tokens in _token_lists(text, words, block)]
+    return np.zeros(0, np.uint64) if not parts else parts[0] if len(parts) == 1 else np.unique(np.concatenate(parts))
 
 
 def sketch(hashes: np.ndarray, parts: int = SKETCH_PARTS, least: int = SKETCH_LEAST) -> np.ndarray:
@@ -239,13 +238,13 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     rows = checkpointed(plain.mapInArrow(run, "rid long, uid long, tfp long, fp long, keys array<long>"))
     total = rows.count()
-    # a group of fingerprints hangs on its first row
-    groups = _grouped(rows, radius)
-    placed = checkpointed(join_by_weight(rows.select("uid", "fp"), groups.select("fp", "n", "root"), ["fp"], "n", total).where("root is not null").select("uid", "root"))
-    firsts = placed.groupBy("root").agg(F.min("uid").alias("two"), F.count("*").alias("n"))
-    hung = join_by_weight(placed, firsts, ["root"], "n", total).select(F.col("uid").alias("one"), "two").where("one <> two")
+    # equal fingerprints hang on their first row, and so do links between fingerprints
+    firsts = checkpointed(rows.groupBy("fp").agg(F.min("uid").alias("first"), F.count("*").alias("n")))
+    hung = join_by_weight(rows.select("uid", "fp"), firsts.where("n > 1"), ["fp"], "n", total).where("uid <> first").select(F.col("uid").alias("one"), F.col("first").alias("two"))
+    ends = firsts.select("fp", "first")
+    close = links(ends.select("fp"), radius).join(ends.toDF("one", "a"), "one").join(ends.toDF("two", "b"), "two").select(F.col("a").alias("one"), F.col("b").alias("two"))
     alike = similar_pairs(rows, plain.select("rid", "tfp", "text"), words, similarity)
-    found = components(checkpointed(hung.unionByName(alike)), rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least")))
+    found = components(checkpointed(hung.unionByName(close).unionByName(alike)), rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least")))
     gone = found.where("fp <> root").select(F.col("fp").alias("uid"), "root")
     winners = gone.select(F.col("root").alias("uid")).distinct().join(rows.select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")), "uid").withColumnRenamed("uid", "root")
     named = checkpointed(gone.join(rows.select("uid", "rid", "tfp"), "uid"))

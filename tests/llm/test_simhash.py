@@ -20,6 +20,16 @@ def test_fingerprint_is_the_majority_of_shingles(text):
     assert simhash.fingerprint(text) % (1 << 64) == brute_fingerprint(text)
 
 
+def test_blocks_give_the_whole_texts_hashes():
+    rng = random.Random(6)
+    for words in (1, 3, 5):
+        for n in (0, 1, 2, 4, 5, 90):
+            text = " \n".join("".join(rng.choice("abC") for _ in range(rng.randint(1, 9))) for _ in range(n))
+            for block in (1, 7, 40):
+                assert simhash.fingerprint(text, words, block) == simhash.fingerprint(text, words)
+                assert simhash.shingle_hashes(text, words, block).tolist() == simhash.shingle_hashes(text, words).tolist()
+
+
 def brute_components(ids, fps):
     parent = list(range(len(ids)))
 

@@ -21,6 +21,8 @@ from seqcount.sources import reads as src
 from seqcount.spec import CountSpec
 
 K31 = CountSpec(k=31)
+#: Repeats of the unit in the tandem repeat: 2 million bases, a twelfth of the documents at sf0.1.
+REPEATS = 400_000
 
 
 def _cached(frame):
@@ -39,7 +41,7 @@ def _parts(spark) -> int:
 
 
 def _large(spark, sf):
-    return _cached(src.reads_cov(spark, sf, 5, 0.005).unionByName(src.heavy_reads(spark, sf).where("read_id = -1")))
+    return _cached(src.reads_cov(spark, sf, 5, 0.005).unionByName(src.heavy_reads(spark, sf, times=REPEATS).where("read_id = -1")))
 
 
 def w1_ablation(spark, sf):
@@ -224,7 +226,7 @@ def w16_sort_or_hash(spark, sf):
 
 def w18_heavy(spark, sf):
     """A tandem repeat: keys that one partition sorts with and without pre-counting."""
-    reads = _cached(src.heavy_reads(spark, sf))
+    reads = _cached(src.heavy_reads(spark, sf, times=REPEATS))
     sizes = flagship.kmers_per_task(reads, K31)
     from seqcount.operators.tasks import heavy_tasks
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 import re
 from collections.abc import Iterator
 
@@ -20,6 +21,11 @@ _LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
 COPY_WORDS, COPY_SIMILARITY = 5, 0.8
 #: Keys of a sketch, and shingles that each is made of: at similarity 0.8 all but 2 pairs in 1,000 share a key.
 SKETCH_PARTS, SKETCH_LEAST = 12, 4
+#: Rows of one shingle that are compared with one another at once; buckets that shingles are counted in; pairs verified in a first turn.
+TOKEN_BLOCK, BUCKETS, PAIRS_AT_ONCE = 512, 1 << 16, 1 << 16
+_BUCKET_SHIFT, _SLACK = np.uint64(48), 1e-6
+#: Rows of sets that a Python worker holds besides the batch it reads.
+_SLICE = 1 << 9
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 _PART = 1 << 15
 _BLANK = re.compile(rb"[\x20\x09-\x0d]")
@@ -176,22 +182,9 @@ def sketch(hashes: np.ndarray, parts: int = SKETCH_PARTS, least: int = SKETCH_LE
     return (np.add.reduceat(value, heads) * _ODD + part[heads].astype(np.uint64)).view(np.int64) if len(heads) else np.zeros(0, np.int64)
 
 
-def similar_pairs(rows: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
-    """(one, two): pairs of rows (uid, keys) that share a key, with a Jaccard similarity of shingles of ``similarity`` or more.
-
-    Of the rows of a key, each is paired with the first and the last, not with all:
-    pairs grow with the rows, and groups of near copies hang together over their
-    keys. Similarities are exact, over whole texts (rid, tfp, text), which only rows
-    with a partner need; they're found by id and fingerprint, which a second reading of
-    the texts gives again, as it needn't a number of the row.
-    """
-    keyed = rows.select("uid", F.explode("keys").alias("key"))
-    shared = checkpointed(keyed.groupBy("key").agg(F.min("uid").alias("first"), F.max("uid").alias("last"), F.count("*").alias("n")).where("n > 1"))
-    ends = join_by_weight(keyed, shared, ["key"], "n", rows.count() * SKETCH_PARTS).where("n is not null")
-    both = ends.select("uid", F.explode(F.array("first", "last")).alias("end")).where("uid <> end")
-    pairs = checkpointed(both.select(F.least("uid", "end").alias("one"), F.greatest("uid", "end").alias("two")).distinct())
-    involved = pairs.select(F.col("one").alias("uid")).unionAll(pairs.select(F.col("two").alias("uid"))).distinct()
-    wanted = checkpointed(rows.join(involved, "uid", "left_semi").select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")))
+def shingle_sets(rows: DataFrame, uids: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """(uid, shingles) of those rows, from a second reading of the texts (rid, tfp, text), which needn't number rows as the first did."""
+    wanted = checkpointed(rows.join(uids, "uid", "left_semi").select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")))
     few = F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted
 
     def run(batches):
@@ -202,16 +195,140 @@ def similar_pairs(rows: DataFrame, texts: DataFrame, words: int, similarity: flo
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))], names=["uid", "shingles"])
 
     found = texts.join(few, F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp")))
-    sets = checkpointed(found.select("uid", "text").mapInArrow(run, "uid long, shingles array<long>").dropDuplicates(["uid"]))
-    degree = pairs.select(F.col("one").alias("two")).unionAll(pairs.select("two")).groupBy("two").agg(F.count("*").alias("n"))
+    return checkpointed(found.select("uid", "text").mapInArrow(run, "uid long, shingles array<long>").dropDuplicates(["uid"]))
+
+
+def _with_degree(pairs: DataFrame) -> DataFrame:
+    """(uid, n): in how many pairs (one, two) a row is."""
+    return pairs.select(F.col("one").alias("uid")).unionAll(pairs.select("two")).groupBy("uid").agg(F.count("*").alias("n"))
+
+
+def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (one, two), checkpointed and distinct, whose sets have that Jaccard similarity or more."""
     total = pairs.count()
-    named = sets.join(degree, sets["uid"] == degree["two"]).select("two", "n", F.col("shingles").alias("b"))
+    named = sets.join(_with_degree(pairs), "uid").select(F.col("uid").alias("two"), "n", F.col("shingles").alias("b"))
     left = join_by_weight(pairs, named.select(F.col("two").alias("one"), "n", F.col("b").alias("a")), ["one"], "n", total).drop("n")
     full = join_by_weight(checkpointed(left), named, ["two"], "n", total)
     common = F.size(F.array_intersect("a", "b"))
     return full.where(common >= similarity * (F.size("a") + F.size("b") - common)).select("one", "two")
 
 
+def similar_pairs(rows: DataFrame, texts: DataFrame, words: int, similarity: float) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Links (one, two) of rows (uid, keys) to the ends of their keys; (uid, key) of crowded keys; (uid, shingles).
+
+    Of the rows of a key, each is paired with the first and the last: that is all there
+    is to a key of two rows. Keys of more rows are crowded; ``crossing_links`` does the
+    rest of them. Similarities are exact, over whole texts, which only rows with a
+    partner need.
+    """
+    keyed = rows.select("uid", F.explode("keys").alias("key"))
+    shared = checkpointed(keyed.groupBy("key").agg(F.min("uid").alias("first"), F.max("uid").alias("last"), F.count("*").alias("n")).where("n > 1"))
+    ends = checkpointed(join_by_weight(keyed, shared, ["key"], "n", rows.count() * SKETCH_PARTS).where("n is not null"))
+    both = ends.select("uid", F.explode(F.array("first", "last")).alias("end")).where("uid <> end")
+    pairs = checkpointed(both.select(F.least("uid", "end").alias("one"), F.greatest("uid", "end").alias("two")).distinct())
+    sets = shingle_sets(rows, _with_degree(pairs).select("uid"), texts, words)
+    return verified(pairs, sets, similarity), ends.where("n > 2").select("uid", "key"), sets
+
+
+def _labelled(rows: DataFrame, found: DataFrame, column: str, name: str) -> DataFrame:
+    """``rows`` with the label of the row that ``column`` names: the root that it hangs on, else itself."""
+    roots = found.where("fp <> root").select(F.col("fp").alias(column), F.col("root").alias("__root"))
+    n = rows.groupBy(column).agg(F.count("*").alias("__n"))
+    met = join_by_weight(rows, roots.join(n, column), [column], "__n", rows.count())
+    return met.withColumn(name, F.coalesce("__root", column)).drop("__root", "__n")
+
+
+def candidates(hot: DataFrame, similarity: float, block: int) -> DataFrame:
+    """(one, two): every pair of rows (uid, label, shingles) of different labels that can reach the similarity.
+
+    Prefix filter: with shingles in one order, the rarest first, a pair of similarity s
+    has its first common shingle among the 1 - s first of the larger set and the
+    1 - 2s/(1+s) first of the smaller, with enough shingles behind it in both. Any
+    order is right; rarity, counted by ``BUCKETS`` of the hash, makes it selective. The rows of
+    a shingle are dealt into blocks and the blocks compared two by two, so that no key
+    of the join holds more than about two blocks of rows, however many share the shingle.
+    """
+
+    def tally(batches):
+        total = np.zeros(BUCKETS, np.int64)
+        for batch in (b.slice(at, _SLICE) for b in batches for at in range(0, len(b), _SLICE)):
+            total += np.bincount(batch.column(0).flatten().to_numpy(zero_copy_only=False).view(np.uint64) >> _BUCKET_SHIFT, minlength=BUCKETS)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["bucket", "n"])
+
+    table = hot.select("shingles").mapInArrow(tally, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    often = np.zeros(BUCKETS, np.int64)
+    often[table["bucket"].to_numpy()] = table["n"].to_numpy()
+    shared = hot.sparkSession.sparkContext.broadcast(np.minimum(often, np.iinfo(np.int32).max).astype(np.int32))
+    part = similarity / (1 + similarity)
+
+    def prefixes(batches):
+        for batch in (b.slice(at, _SLICE) for b in batches for at in range(0, len(b), _SLICE)):
+            tokens, sizes, places, shorts = [], [], [], []
+            values = batch.column(2).flatten().to_numpy(zero_copy_only=False)
+            lengths = batch.column(2).value_lengths().to_numpy(zero_copy_only=False)
+            end = np.cumsum(lengths)
+            for b, n in zip(end.tolist(), lengths.tolist(), strict=True):
+                x = values[b - n : b]
+                count = shared.value[x.view(np.uint64) >> _BUCKET_SHIFT]
+                at = np.arange(n - math.ceil(similarity * n - _SLACK) + 1 if n else 0)
+                order = np.lexsort((x, count))[: len(at)]
+                at = at[: len(order)]
+                met = count[order] > 1  # a shingle alone in its bucket is in one row
+                tokens.append(x[order][met])
+                places.append(at[met])
+                shorts.append((at < n - math.ceil(2 * part * n - _SLACK) + 1)[met])
+                sizes.append(len(tokens[-1]))
+            row = np.repeat(np.arange(len(sizes)), sizes)
+            take = lambda c: batch.column(c).take(pa.array(row))  # noqa: E731,B023
+            join = lambda parts, kind: pa.array(np.concatenate([*parts, np.zeros(0, kind)]).astype(kind))
+            columns = [take(0), take(1), pa.array(lengths[row].astype(np.int32)), join(tokens, np.int64), join(places, np.int32), join(shorts, bool)]
+            yield pa.RecordBatch.from_arrays(columns, names=["uid", "label", "size", "token", "at", "short"])
+
+    tokens = checkpointed(hot.select("uid", "label", "shingles").mapInArrow(prefixes, "uid long, label long, size int, token long, at int, short boolean"))
+    crossed = tokens.groupBy("token").agg(F.count("*").alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi")
+    kept = join_by_weight(tokens, checkpointed(crossed.select("token", "n")), ["token"], "n", tokens.count()).where("n is not null")
+    dealt = checkpointed(kept.withColumn("blocks", F.ceil(F.col("n") / block).cast("int")).withColumn("mine", F.pmod(F.xxhash64("uid"), F.col("blocks")).cast("int")).drop("n"))
+    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
+    small = dealt.where("short").select("token", F.col("mine").alias("a"), other.alias("b"), F.col("uid").alias("s"), F.col("label").alias("s_label"), F.col("size").alias("s_size"), F.col("at").alias("s_at"))
+    large = dealt.select("token", other.alias("a"), F.col("mine").alias("b"), F.col("uid").alias("l"), F.col("label").alias("l_label"), F.col("size").alias("l_size"), F.col("at").alias("l_at"))
+    met = small.join(large, ["token", "a", "b"]).where("s_label <> l_label and (s_size < l_size or (s_size = l_size and s < l))")
+    met = met.where(F.col("s_size") >= similarity * F.col("l_size") - _SLACK)
+    met = met.where(F.least(F.col("s_size") - F.col("s_at"), F.col("l_size") - F.col("l_at")) >= part * (F.col("s_size") + F.col("l_size")) - _SLACK)
+    return met.select(F.least("s", "l").alias("one"), F.greatest("s", "l").alias("two")).distinct()
+
+
+def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, nodes: DataFrame, similarity: float, at_once: int) -> DataFrame:
+    """``found`` (components) after all pairs among the rows of crowded keys (uid, key) that it leaves apart.
+
+    A key whose rows are one component needs nothing more. The rows of the others give
+    ``candidates``, and each of these is verified or its two rows have come together:
+    they're taken by a hash, about ``at_once`` and then twice as many a turn, for in a
+    dense group some of the pairs join nearly all rows, and the other pairs need no test.
+    """
+    labelled = checkpointed(_labelled(crowded, found, "uid", "label"))
+    split = labelled.groupBy("key").agg(F.count("*").alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", "n")
+    hot = checkpointed(join_by_weight(labelled, checkpointed(split), ["key"], "n", labelled.count()).where("n is not null").select("uid", "label").distinct())
+    n_hot = hot.count()
+    if not n_hot:
+        return found
+    left = checkpointed(candidates(sets.join(F.broadcast(hot) if n_hot <= BROADCAST_ROWS else hot, "uid"), similarity, TOKEN_BLOCK))
+    n = left.count()
+    while n:
+        all_now = n <= at_once
+        mark = F.pmod(F.xxhash64("one", "two", F.lit(at_once)), F.lit(1 << 20)) < max(1, (at_once << 20) // n)
+        links_now = checkpointed(verified(left if all_now else checkpointed(left.where(mark)), sets, similarity))
+        if links_now.limit(1).count():
+            stars = found.where("fp <> root").select(F.col("fp").alias("one"), F.col("root").alias("two"))
+            found = components(checkpointed(stars.unionByName(links_now)), nodes)
+        if all_now:
+            break
+        rest = checkpointed(_labelled(checkpointed(left.where(~mark)), found, "one", "a"))
+        left = checkpointed(_labelled(rest, found, "two", "b").where("a <> b").select("one", "two"))
+        n, at_once = left.count(), 2 * at_once
+    return found
+
+
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = COPY_WORDS, similarity: float = COPY_SIMILARITY, radius: int = RADIUS) -> DataFrame:
     """(rid, tfp, spare) of the rows that go: of each group of near copies the row with the least id stays.
 
@@ -243,8 +360,10 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     hung = join_by_weight(rows.select("uid", "fp"), firsts.where("n > 1"), ["fp"], "n", total).where("uid <> first").select(F.col("uid").alias("one"), F.col("first").alias("two"))
     ends = firsts.select("fp", "first")
     close = links(ends.select("fp"), radius).join(ends.toDF("one", "a"), "one").join(ends.toDF("two", "b"), "two").select(F.col("a").alias("one"), F.col("b").alias("two"))
-    alike = similar_pairs(rows, plain.select("rid", "tfp", "text"), words, similarity)
-    found = components(checkpointed(hung.unionByName(close).unionByName(alike)), rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least")))
+    alike, crowded, sets = similar_pairs(rows, plain.select("rid", "tfp", "text"), words, similarity)
+    nodes = rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least"))
+    found = components(checkpointed(hung.unionByName(close).unionByName(alike)), nodes)
+    found = crossing_links(crowded, sets, found, nodes, similarity, PAIRS_AT_ONCE)
     gone = found.where("fp <> root").select(F.col("fp").alias("uid"), "root")
     winners = gone.select(F.col("root").alias("uid")).distinct().join(rows.select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")), "uid").withColumnRenamed("uid", "root")
     named = checkpointed(gone.join(rows.select("uid", "rid", "tfp"), "uid"))

@@ -132,3 +132,71 @@ def test_sketches_of_equal_sets_agree():
     h = simhash.shingle_hashes("a b c d e f g h i j k l m n o p", 5)
     assert len(h) == 12 and (simhash.sketch(h) == simhash.sketch(h.copy())).all() and len(simhash.sketch(h[:0])) == 0
     assert len(simhash.shingle_hashes("only three words", 5)) == 1 and len(simhash.shingle_hashes(None, 5)) == 0
+
+
+def similar_components(texts, ids):
+    """Least ids of the components of all pairs within 2 bits, or with a similarity of 0.8 or more."""
+    fps = [simhash.fingerprint(t) % (1 << 64) for t in texts]
+    sets = [set(simhash.shingle_hashes(t, 5).tolist()) for t in texts]
+    parent = list(range(len(texts)))
+
+    def root(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            common = len(sets[i] & sets[j])
+            if bin(fps[i] ^ fps[j]).count("1") <= 2 or common >= 0.8 * (len(sets[i]) + len(sets[j]) - common):
+                parent[root(i)] = root(j)
+    least = {}
+    for i, d in enumerate(ids):
+        least[root(i)] = min(d, least.get(root(i), d))
+    return sorted(least.values())
+
+
+def template_texts(rng):
+    """Forms that share most of a passage, pairs of near copies among them, and a group that drifts."""
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randint(3, 8)))
+    passage, texts = [word() for _ in range(340)], []
+    for pair in range(90):
+        own = [word() for _ in range(60)]
+        texts.append(passage + own)
+        if pair < 45:  # similarity 0.82, but 0.74 to the other forms
+            texts.append(passage + own[:20] + [word() for _ in range(40)])
+    drift = [word() for _ in range(150)]
+    for _ in range(60):
+        texts.append(drift[:])
+        for _ in range(2):
+            drift[rng.randrange(150)] = word()
+    return [" ".join(t) for t in texts]
+
+
+@pytest.mark.parametrize("at_once", [1 << 16, 40])
+def test_near_copies_in_a_passage_that_many_share(spark, monkeypatch, at_once):
+    monkeypatch.setattr(simhash, "PAIRS_AT_ONCE", at_once)
+    monkeypatch.setattr(simhash, "TOKEN_BLOCK", 16)
+    rng = random.Random(31)
+    texts = template_texts(rng)
+    rng.shuffle(texts)
+    ids = list(range(500, 500 + len(texts)))
+    docs = spark.createDataFrame(list(zip(ids, texts)), "doc_id long, text string").repartition(5)
+    want = similar_components(texts, ids)
+    assert len(want) < 110
+    assert sorted(r["doc_id"] for r in simhash.drop_near_copies(docs).collect()) == want
+
+
+def test_candidates_miss_no_pair(spark):
+    rng = random.Random(8)
+    sets = []
+    for _ in range(40):
+        base = [rng.randrange(-(1 << 63), 1 << 63) for _ in range(rng.randint(1, 60))] + list(range(30)) * rng.randint(0, 1)
+        for _ in range(3):
+            sets.append([x for x in base if rng.random() > 0.1] + [rng.randrange(1 << 60)])
+    sets = [sorted(set(x)) for x in sets]
+    rows = spark.createDataFrame([(i, i, x) for i, x in enumerate(sets)], "uid long, label long, shingles array<long>")
+    want = {(i, j) for j in range(len(sets)) for i in range(j) if len({*sets[i]} & {*sets[j]}) >= 0.8 * len({*sets[i]} | {*sets[j]})}
+    got = {tuple(r) for r in simhash.candidates(rows, 0.8, 7).collect()}
+    assert len(want) > 20 and want <= got
+    assert {tuple(r) for r in simhash.verified(spark.createDataFrame(sorted(got), "one long, two long"), rows.select("uid", "shingles"), 0.8).collect()} == want

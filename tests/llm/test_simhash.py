@@ -200,3 +200,17 @@ def test_candidates_miss_no_pair(spark):
     got = {tuple(r) for r in simhash.candidates(rows, 0.8, 7).collect()}
     assert len(want) > 20 and want <= got
     assert {tuple(r) for r in simhash.verified(spark.createDataFrame(sorted(got), "one long, two long"), rows.select("uid", "shingles"), 0.8).collect()} == want
+
+
+def test_large_group_keeps_one_row_of_each_component(spark):
+    rng = random.Random(12)
+    word = lambda: "".join(rng.choice("abcdefghij") for _ in range(rng.randint(2, 7)))
+    hub, texts = [word() for _ in range(120)], []
+    for _ in range(150):
+        copy = list(hub)
+        copy[rng.randrange(120)] = word()
+        texts.append(" ".join(copy))
+    ids = list(range(100, 250))
+    rng.shuffle(ids)
+    docs = spark.createDataFrame(list(zip(ids, texts)), "doc_id long, text string").repartition(7)
+    assert sorted(r["doc_id"] for r in simhash.drop_near_copies(docs).collect()) == similar_components(texts, ids)

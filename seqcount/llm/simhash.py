@@ -3,20 +3,19 @@
 from __future__ import annotations
 
 import math
-import re
-from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seqcount.llm.common import BROADCAST_ROWS, checkpointed, discard, join_by_weight, text_fingerprint, without_rows, written
+from seqcount.llm.shingles import BITS, bit_counts, majority, parts_of
 
-SHINGLE_WORDS, BITS, SEGMENTS, RADIUS = 3, 64, 4, 2
-SEED = 42
-_LOWER = bytes(c + 32 if 65 <= c <= 90 else c for c in range(256))
+SHINGLE_WORDS, SEGMENTS, RADIUS = 3, 2, 2
+#: Fingerprints under one key of a table beyond which the key is split by the bits that it leaves open.
+KEY_ROWS = 64
 #: Near copies that are dropped: shingles of so many words, with this Jaccard similarity or more.
 COPY_WORDS, COPY_SIMILARITY = 5, 0.8
 #: Keys of a sketch, and shingles that each is made of: at similarity 0.8 all but 2 pairs in 1,000 share a key.
@@ -27,50 +26,29 @@ _BUCKET_SHIFT, _SLACK = np.uint64(48), 1e-6
 #: Rows of sets that a Python worker holds besides the batch it reads.
 _SLICE = 1 << 9
 _ODD = np.uint64(0x9E3779B97F4A7C15)
-_PART = 1 << 15
-_BLANK = re.compile(rb"[\x20\x09-\x0d]")
-#: Bytes of a text that are split into words at once.
-BLOCK_BYTES = 1 << 22
 
 
-def _token_lists(text: str | None, words: int, block: int) -> Iterator[list[bytes]]:
-    """Words of a text, in lists that hold each shingle of ``words`` words once; a shorter text is one list.
+def fingerprint_array(texts: pa.Array, words: int = SHINGLE_WORDS) -> np.ndarray:
+    """64 bits of each text: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words."""
+    out, held = np.zeros(len(texts), np.int64), None
+    for part in parts_of(texts, words):
+        hashes, before = part.shingles(words)
+        held = _added(held, hashes, before)
+        if not part.more:
+            out[part.first : part.first + part.texts] = majority(*held)
+            held = None
+    return out
 
-    Long texts are cut at blanks after ``block`` bytes, so their words aren't all held at once.
-    """
-    data = (text or "").encode("utf-8", "surrogatepass").translate(_LOWER)
-    tail: list[bytes] = []
-    at, some = 0, False
-    while at < len(data):
-        found = _BLANK.search(data, at + block)
-        end = found.end() if found else len(data)
-        tokens = tail + data[at:end].split()
-        if len(tokens) >= words or (end == len(data) and tokens and not some):
-            yield tokens
-            some = True
-        tail = (tokens[1 - words :] if words > 1 else []) if len(tokens) >= words else tokens
-        at = end
-
-
-def _hashes(tokens: list[bytes], words: int) -> np.ndarray:
-    """XXH64 of the shingles of a list of words, of fewer of the whole list."""
-    line = b" ".join(tokens)
-    ends = (np.cumsum(np.fromiter(map(len, tokens), np.int64, len(tokens)) + 1) - 1).tolist()
-    starts = [0, *(e + 1 for e in ends[:-1])]
-    last = ends[words - 1 :] if len(tokens) >= words else ends[-1:]
-    digest = xxhash.xxh64_intdigest
-    return np.array([digest(line[a:b], SEED) for a, b in zip(starts, last, strict=False)], np.uint64)
-
-
-def fingerprint(text: str | None, words: int = SHINGLE_WORDS, block: int = BLOCK_BYTES) -> int:
-    """64 bits: each is set if it's set in over half of the shingles' XXH64; 0 for a text without words."""
-    ones, n = np.zeros(BITS, np.int64), 0
-    for tokens in _token_lists(text, words, block):
-        h = _hashes(tokens, words)
-        n += len(h)
-        for at in range(0, len(h), _PART):
-            ones += np.unpackbits(h[at : at + _PART].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int.from_bytes(np.packbits(2 * ones > n, bitorder="little").tobytes(), "little", signed=True) if n else 0
+
+def _added(held: tuple | None, hashes: np.ndarray, before: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(set bits, hashes) of each text, with what earlier blocks of a long text had."""
+    ones, n = bit_counts(hashes, before), np.diff(before)
+    return (ones + held[0], n + held[1]) if held else (ones, n)
+
+
+def fingerprint(text: str | None, words: int = SHINGLE_WORDS) -> int:
+    """The fingerprint of one text, as a signed number."""
+    return int(fingerprint_array(pa.array([text], pa.string()), words)[0])
 
 
 def fingerprints(docs: DataFrame, id_col: str, text_col: str, words: int = SHINGLE_WORDS) -> DataFrame:
@@ -79,33 +57,106 @@ def fingerprints(docs: DataFrame, id_col: str, text_col: str, words: int = SHING
 
     def run(batches):
         for batch in batches:
-            fp = pa.array([fingerprint(t.as_py(), words) for t in batch.column(1)], pa.int64())
+            fp = pa.array(fingerprint_array(batch.column(1), words))
             yield pa.RecordBatch.from_arrays([batch.column(0), fp, batch.column(2)], names=["rid", "fp", "tfp"])
 
     return checkpointed(rows.mapInArrow(run, "rid long, fp long, tfp long"))
 
 
+# --- links within a radius: tables keyed by segments, probed with Hamming balls
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def segments_of(width: int, parts: int) -> list[tuple[int, int]]:
+    """(lowest bit, bits) of near equal parts of a word."""
+    sizes = [width // parts + (i < width % parts) for i in range(parts)]
+    return [(sum(sizes[:i]), n) for i, n in enumerate(sizes) if n]
+
+
+def reach(left: int, parts: int) -> list[int]:
+    """Radius of each part's ball, -1 for none: of two words within ``left`` bits, some part is within its own.
+
+    If the first left % parts + 1 parts differed by more than left // parts bits, and the
+    others by as many at least, there would be more than ``left`` in all.
+    """
+    return [left // parts if i <= left % parts else left // parts - 1 for i in range(parts)]
+
+
+def _masks(width: int, parts: int) -> list[tuple]:
+    """(width, part, shift, value mask, masks of the bits above and below) of each part."""
+    whole = (1 << width) - 1
+    return [(width, i, at, _signed((1 << n) - 1), _signed(whole & ~((1 << (at + n)) - 1)), (1 << at) - 1, n) for i, (at, n) in enumerate(segments_of(width, parts))]
+
+
+def _balls(width: int, parts: int, radius: int) -> list[tuple]:
+    """(width, part, left, flip, cost): the points of every part's ball for each radius that can be left."""
+    out = []
+    for left in range(radius + 1):
+        cuts = segments_of(width, parts)
+        for i, ((_, n), near) in enumerate(zip(cuts, reach(left, len(cuts)), strict=True)):
+            for cost in range(min(near, n) + 1):
+                out += [(width, i, left, _signed(sum(1 << b for b in bits)), cost) for bits in combinations(range(n), cost)]
+    return out
+
+
+_VALUE = "(shiftrightunsigned(rest, shift) & ones)"
+_OPEN = "(shiftrightunsigned(rest & above, size) | (rest & below))"
+
+
+def _split(rows: DataFrame, widths: list[int], parts: int, radius: int | None) -> DataFrame:
+    """Rows (node, fp, rest, width) by each part of their open bits: the part's value joins the key, the others stay open.
+
+    With a radius they are probes with ``left`` bits to spend, and come once for each point of the part's ball.
+    """
+    spark = rows.sparkSession
+    masks = spark.createDataFrame([m for w in widths for m in _masks(w, parts)], "width int, part int, shift int, ones long, above long, below long, size int")
+    cut = rows.join(F.broadcast(masks), "width")
+    key, rest = f"xxhash64(node, part, {_VALUE})", f"{_OPEN} as rest, width - size as width"
+    if radius is None:
+        return cut.selectExpr(f"{key} as node", "fp", rest.split(", width")[0], "width - size as width")
+    balls = spark.createDataFrame([b for w in widths for b in _balls(w, parts, radius)], "width int, part int, left int, flip long, cost int")
+    key = f"xxhash64(node, part, {_VALUE} ^ flip)"
+    return cut.join(F.broadcast(balls), ["width", "part", "left"]).selectExpr(f"{key} as node", "fp", f"{_OPEN} as rest", "width - size as width", "left - cost as left")
+
+
 def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> DataFrame:
-    """(one, two): links among different fingerprints whose components are those of all pairs within ``radius`` bits.
-
-    Each segment's Hamming ball of radius 1 is enumerated: the fingerprint with one of
-    the segment's bits flipped, and the fingerprint itself once. Two fingerprints are
-    within 2 bits if and only if their balls share a point, whichever segments the
-    bits lie in, so the whole flipped word is the table key, and the members of a
-    key, 65 at most, are linked in a chain instead of in pairs. Complete distances are
-    verified. The work is 65 rows for each different fingerprint, at any density.
+    """(one, two): every pair of different fingerprints (fp) within ``radius`` bits, checkpointed.
+
+    Each fingerprint is in one table for each segment, under the segment's value. It
+    asks for the values in a small Hamming ball around its own: by the pigeonhole
+    principle a ball of radius // segments bits, or one bit less in later segments, meets
+    every partner in some segment. What a key returns is verified by the complete distance.
+    A key with more than ``KEY_ROWS`` fingerprints is split: its open bits, those outside
+    the segment, are halves of a word again, to be met within the bits that the ball has
+    not spent; and so on until keys are small or no bits are open. So no key pairs more
+    than KEY_ROWS rows with a probe, however dense the fingerprints lie, and no
+    pair is left out. Null fingerprints have no links.
     """
-    if radius == 0:
-        return fps.select(F.col("fp").alias("one"), F.col("fp").alias("two")).where(F.lit(False))
-    if radius != 2 or BITS % segments:
-        raise ValueError("balls of radius 1 find links of 2 bits; segments must divide the word")
-    size = BITS // segments
-    flips = [0] + [1 << (s * size + b) for s in range(segments) for b in range(size)]
-    signed = [x - (1 << 64) if x >= 1 << 63 else x for x in flips]
-    probes = fps.select("fp", F.explode(F.array(*[F.lit(x).cast("long") for x in signed])).alias("flip"))
-    table = probes.select(F.col("fp").bitwiseXOR(F.col("flip")).alias("point"), "fp")
-    chained = table.selectExpr("fp as one", "lag(fp) over (partition by point order by fp) as two")
-    return chained.where("two is not null").where(F.bit_count(F.col("one").bitwiseXOR(F.col("two"))) <= radius).distinct()
+    if radius < 0 or not 1 <= segments <= BITS:
+        raise ValueError("radius must not be negative, segments must be 1 to 64")
+    start = fps.where("fp is not null").selectExpr("0L as node", "fp", "fp as rest", f"{BITS} as width").distinct()
+    table, probes = start, start.withColumn("left", F.lit(radius))
+    widths, parts, found = [BITS], segments, None
+    while widths:
+        table, probes = _split(table, widths, parts, None), _split(probes, widths, parts, radius)
+        widths = sorted({w - n for w in widths for _, n in segments_of(w, parts)} - {0})
+        if found is None:
+            table = checkpointed(table)
+        crowded = checkpointed(table.groupBy("node").agg(F.count("*").alias("n"), F.max("width").alias("w")).where((F.col("n") > KEY_ROWS) & (F.col("w") > 0)).select("node"))
+        n_crowded = crowded.count()
+        few = F.broadcast(crowded) if n_crowded <= BROADCAST_ROWS else crowded
+        calm = (lambda d: d.join(few, "node", "left_anti")) if n_crowded else (lambda d: d)  # noqa: B023
+        met = calm(probes).select("node", F.col("fp").alias("one")).join(calm(table).select("node", F.col("fp").alias("two")), "node")
+        near = met.where((F.col("one") < F.col("two")) & (F.bit_count(F.col("one").bitwiseXOR(F.col("two"))) <= radius)).select("one", "two")
+        found = near if found is None else found.unionByName(near)
+        if not n_crowded:
+            break
+        table, probes = checkpointed(table.join(few, "node", "left_semi")), checkpointed(probes.join(few, "node", "left_semi"))
+        parts = 2
+    return checkpointed(found.distinct())
 
 
 def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -160,26 +211,63 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 # --- near copies by the similarity of their shingles
 
 
-def shingle_hashes(text: str | None, words: int, block: int = BLOCK_BYTES) -> np.ndarray:
-    """Different XXH64 of the shingles of ``words`` words, ascending; of a shorter text the whole; of none nothing."""
-    parts = [np.unique(_hashes(tokens, words)) for tokens in _token_lists(text, words, block)]
-    return np.zeros(0, np.uint64) if not parts else parts[0] if len(parts) == 1 else np.unique(np.concatenate(parts))
+def shingle_lists(texts: pa.Array, words: int) -> list[np.ndarray]:
+    """Different XXH64 of each text's shingles of ``words`` words, ascending; of a shorter text the whole; of none nothing."""
+    out, held = [], []
+    for part in parts_of(texts, words):
+        hashes, before = part.shingles(words)
+        lists = [np.unique(x) for x in np.split(hashes, before[1:-1])]
+        held += lists if part.more or held else []
+        if not part.more:
+            out += [np.unique(np.concatenate([*held, *lists]))] if held else lists
+            held = []
+    return out
+
+
+def shingle_hashes(text: str | None, words: int) -> np.ndarray:
+    return shingle_lists(pa.array([text], pa.string()), words)[0]
 
 
-def sketch(hashes: np.ndarray, parts: int = SKETCH_PARTS, least: int = SKETCH_LEAST) -> np.ndarray:
-    """A key for each part of the hash space that has shingles: its ``least`` smallest, hashed together.
+def sketches(hashes: np.ndarray, text: np.ndarray, parts: int = SKETCH_PARTS, least: int = SKETCH_LEAST) -> tuple[np.ndarray, np.ndarray]:
+    """(text, key) for each part of the hash space in which a text has shingles: its ``least`` smallest, hashed together.
 
     Texts that share a part's smallest shingles share its key; with a similarity of s
-    that has about the chance s^least for each part.
+    that has about the chance s^least for each part. Repeated hashes of a text count once.
     """
-    part = (hashes % np.uint64(parts)).astype(np.int64)
-    order = np.argsort(part, kind="stable")  # within a part the hashes ascend
-    part, value = part[order], hashes[order]
-    heads = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, np.int64)
-    place = np.arange(len(part)) - np.repeat(heads, np.diff(np.append(heads, len(part))))
+    cell = text * parts + (hashes % np.uint64(parts)).astype(np.int64)
+    order = np.lexsort((hashes, cell))
+    cell, value = cell[order], hashes[order]
+    fresh = np.ones(len(cell), bool)
+    fresh[1:] = (cell[1:] != cell[:-1]) | (value[1:] != value[:-1])
+    cell, value = cell[fresh], value[fresh]
+    heads = np.flatnonzero(np.r_[True, cell[1:] != cell[:-1]]) if len(cell) else np.zeros(0, np.int64)
+    place = np.arange(len(cell)) - np.repeat(heads, np.diff(np.append(heads, len(cell))))
     value = np.where(place < least, (value + place.astype(np.uint64)) * _ODD, np.uint64(0))
     value ^= value >> np.uint64(29)
-    return (np.add.reduceat(value, heads) * _ODD + part[heads].astype(np.uint64)).view(np.int64) if len(heads) else np.zeros(0, np.int64)
+    keys = np.add.reduceat(value, heads) * _ODD + (cell[heads] % parts).astype(np.uint64) if len(heads) else value
+    return cell[heads] // parts, keys.view(np.int64)
+
+
+def _prints_and_keys(texts: pa.Array, words: int) -> tuple[np.ndarray, pa.Array]:
+    """Fingerprints and sketch keys of each text, read once."""
+    fps, sizes, keys, held, kept = np.zeros(len(texts), np.int64), np.zeros(len(texts), np.int64), [], None, []
+    for part in parts_of(texts, max(words, SHINGLE_WORDS)):
+        held = _added(held, *part.shingles(SHINGLE_WORDS))
+        hashes, before = part.shingles(words)
+        text = np.repeat(np.arange(part.texts), np.diff(before))
+        if part.more or kept:
+            kept.append(np.unique(hashes))
+        if not part.more:
+            fps[part.first : part.first + part.texts] = majority(*held)
+            if kept:
+                hashes = np.unique(np.concatenate(kept))
+                text = np.zeros(len(hashes), np.int64)
+            at, key = sketches(hashes, text)
+            sizes[part.first : part.first + part.texts] = np.bincount(at, minlength=part.texts)
+            keys.append(key)
+            held, kept = None, []
+    offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32())
+    return fps, pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([*keys, np.zeros(0, np.int64)])))
 
 
 def shingle_sets(rows: DataFrame, uids: DataFrame, texts: DataFrame, words: int) -> DataFrame:
@@ -189,7 +277,7 @@ def shingle_sets(rows: DataFrame, uids: DataFrame, texts: DataFrame, words: int)
 
     def run(batches):
         for batch in batches:
-            sets = [shingle_hashes(t.as_py(), words) for t in batch.column(1)]
+            sets = shingle_lists(batch.column(1), words)
             sizes = np.concatenate([[0], np.cumsum([len(x) for x in sets])])
             flat = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))], names=["uid", "shingles"])
@@ -343,15 +431,8 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     def run(batches):
         for batch in batches:
-            fps, keys = [], []
-            for t in batch.column(2):
-                text = t.as_py()
-                fps.append(fingerprint(text))
-                keys.append(sketch(shingle_hashes(text, words)))
-            sizes = np.concatenate([[0], np.cumsum([len(x) for x in keys])])
-            flat = np.concatenate(keys) if keys else np.zeros(0, np.int64)
-            lists = pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(3), pa.array(fps, pa.int64()), lists], names=["rid", "uid", "tfp", "fp", "keys"])
+            fps, lists = _prints_and_keys(batch.column(2), words)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(3), pa.array(fps), lists], names=["rid", "uid", "tfp", "fp", "keys"])
 
     rows = checkpointed(plain.mapInArrow(run, "rid long, uid long, tfp long, fp long, keys array<long>"))
     total = rows.count()

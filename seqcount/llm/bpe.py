@@ -4,22 +4,29 @@ from __future__ import annotations
 
 import base64
 import hashlib
-import re
-from array import array
 
 import numpy as np
 import pyarrow as pa
 import public_tokenizers
+import regex
 import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
 
+from seqcount.llm.common import fresh
+
 VOCABULARY = "byte_bpe_50k.tiktoken"
-#: Characters of a leaf, and bytes of a leaf within one unbroken piece.
-LEAF_CHARS, LEAF_BYTES = 1 << 15, 256
+#: Characters, or tokens when decoding, of a leaf; bytes of a leaf within one unbroken piece.
+LEAF_CHARS, LEAF_BYTES = 96, 256
+#: Longest run of characters without a seam that the library gets as a whole.
+_RUN = 2048
+#: A space after other text is the commonest seam; beyond so many characters another kind is sought.
+_NEAR = 64
 _coders: dict[str, "Coder"] = {}
-#: A character that isn't white space followed by one that is: no pattern match runs over it.
-_SEAM = re.compile(r"\S(?=\s)")
+#: The last character of a piece whatever follows: a character of another kind comes next, and no match of the
+#: pattern runs over that, for only blanks before a word and an apostrophe before a letter do.
+_SEAM = regex.compile(r"\p{L}(?=\P{L})|\p{N}(?=\P{N})|[^\s\p{L}\p{N}'](?=[\s\p{L}\p{N}])|'(?=[\s\p{N}])")
+_PIECE = regex.compile(public_tokenizers.PATTERN)
 
 
 class Coder:
@@ -27,12 +34,13 @@ class Coder:
 
     Encoding is a monoid over pieces of the text: a node holds the tokens of its span
     as if that were a text of its own, and two neighbours join by encoding a window
-    around their boundary afresh. The splitting pattern never matches across a seam,
-    where white space follows other text, and what it matches before and after a seam
-    doesn't depend on the other side. So tokens left of the last seam before the
-    boundary and right of the first seam after it are final; the window between them
-    grows until it reaches seams, or the ends. A window that is one long unbroken piece
-    is encoded as a tree over its bytes in turn, see ``piece``.
+    around their boundary afresh. Every text is halved down to leaves of ``leaf_chars``
+    characters, wherever the halves fall. The splitting pattern always ends a match at
+    a seam, and what it matches before and after a seam doesn't depend on the other
+    side. So tokens left of the last seam before the boundary and right of the first
+    seam after it are final; the window between them grows until it reaches seams, or
+    the ends of the node. A window that is one long unbroken piece is encoded as a tree
+    over its bytes in turn, see ``piece``. ``joins`` counts the joins of both trees.
     """
 
     def __init__(self, path: str, leaf_chars: int = LEAF_CHARS, leaf_bytes: int = LEAF_BYTES):
@@ -42,63 +50,66 @@ class Coder:
         self.bytes_of = [b""] * (max(ranks.values()) + 1)
         for token, rank in ranks.items():
             self.bytes_of[rank] = token
-        self.leaf_chars, self.leaf_bytes = leaf_chars, leaf_bytes
-
-    def encode(self, text: str) -> list[int] | array:
-        if len(text) <= self.leaf_chars and len(text) <= 8 * self.leaf_bytes:
-            return self.encoding.encode_ordinary(text)
-        return self._span(text)
-
-    def _span(self, text: str) -> array:
-        if len(text) <= self.leaf_chars:
-            return array("I", self._leaf(text))
-        cut = len(text) // 2
-        left, right = self._span(text[:cut]), self._span(text[cut:])
-        return self._join(text, cut, left, right)
-
-    def _join(self, text: str, cut: int, left: array, right: array) -> array:
-        reach, lo, hi = 32, None, None
-        while lo is None or hi is None:
-            if lo is None:
-                found = None
-                for found in _SEAM.finditer(text, max(0, cut - reach), cut):  # the white space too lies left of the cut
-                    pass
-                lo = found.end() if found and found.end() < cut else 0 if reach >= cut else None
-            if hi is None:
-                found = _SEAM.search(text, cut, min(len(text), cut + reach))
-                hi = found.end() if found else len(text) if cut + reach >= len(text) else None
-            reach *= 2
-        window = text[lo:hi]
-        before = self._dropped_from_end(left, len(text[lo:cut].encode()))
-        after = self._dropped_from_start(right, len(text[cut:hi].encode()))
-        middle = self._leaf(window) if len(window) < len(text) else self._pieces(window)
-        return left[:before] + array("I", middle) + right[after:]
-
-    def _dropped_from_end(self, tokens: array, n: int) -> int:
-        at = len(tokens)
+        self.size_of = [len(x) for x in self.bytes_of]
+        self.leaf_chars, self.leaf_bytes = max(1, leaf_chars), max(1, leaf_bytes)
+        self._plain = self.encoding._core_bpe.encode_ordinary
+        self.joins = 0
+
+    def encode(self, text: str) -> list[int]:
+        return self._span(text, 0, len(text))
+
+    def _span(self, text: str, lo: int, hi: int) -> list[int]:
+        if hi - lo <= self.leaf_chars:
+            return self._plain(text[lo:hi])
+        cut = (lo + hi) // 2
+        return self._join(text, lo, cut, hi, self._span(text, lo, cut), self._span(text, cut, hi))
+
+    def _join(self, text: str, lo: int, cut: int, hi: int, left: list[int], right: list[int]) -> list[int]:
+        """Tokens of [lo, hi) from those of its halves."""
+        self.joins += 1
+        begin, end = text.rfind(" ", lo, cut), text.find(" ", cut, hi)
+        if end == cut and not text[cut - 1].isspace():  # the halves meet at a seam: nothing to encode afresh
+            return left + right
+        if begin <= lo or cut - begin > _NEAR or text[begin - 1].isspace():
+            begin = self._seam_before(text, lo, cut)
+        if end < 0 or end - cut > _NEAR or text[end - 1].isspace():
+            end = self._seam_after(text, cut, hi)
+        middle = self._plain(text[begin:end]) if end - begin <= _RUN else self._pieces(text[begin:end])
+        size_of = self.size_of
+        a, n = len(left), len(text[begin:cut].encode())
         while n > 0:
-            at -= 1
-            n -= len(self.bytes_of[tokens[at]])
-        return at
-
-    def _dropped_from_start(self, tokens: array, n: int) -> int:
-        at = 0
+            a -= 1
+            n -= size_of[left[a]]
+        b, n = 0, len(text[cut:end].encode())
         while n > 0:
-            n -= len(self.bytes_of[tokens[at]])
-            at += 1
-        return at
+            n -= size_of[right[b]]
+            b += 1
+        return left[:a] + middle + right[b:]
 
-    def _leaf(self, text: str) -> list[int]:
-        if len(text) <= 8 * self.leaf_bytes or max(map(len, text.split()), default=0) <= 8 * self.leaf_bytes > len(text) - sum(map(len, text.split())):
-            return self.encoding.encode_ordinary(text)
-        return self._pieces(text)
+    def _seam_before(self, text: str, lo: int, cut: int) -> int:
+        reach = 16
+        while True:
+            found, near = None, max(lo, cut - reach)
+            for found in _SEAM.finditer(text, near, cut):  # a seam shows only if the next character lies left of the cut too
+                pass
+            if found or near == lo:
+                return found.end() if found else lo
+            reach *= 2
+
+    def _seam_after(self, text: str, cut: int, hi: int) -> int:
+        reach = 16
+        while True:
+            near = min(hi, cut + reach)
+            found = _SEAM.search(text, cut, near)
+            if found or near == hi:
+                return found.end() if found else hi
+            reach *= 2
 
     def _pieces(self, text: str) -> list[int]:
-        """Each match of the pattern by itself; long ones as trees."""
+        """Each match of the pattern by itself, as a tree."""
         out: list[int] = []
-        for match in _pattern().finditer(text):
-            piece = match.group().encode()
-            out += self.piece(piece)
+        for match in _PIECE.finditer(text):
+            out += self.piece(match.group().encode())
         return out
 
     def piece(self, data: bytes) -> list[int]:
@@ -111,6 +122,7 @@ class Coder:
         """
         if len(data) <= self.leaf_bytes:
             return self.encoding._encode_single_piece(data)
+        self.joins += 1
         cut = len(data) // 2
         left, right = self.piece(data[:cut]), self.piece(data[cut:])
         a, b = min(4, len(left)), min(4, len(right))
@@ -127,24 +139,16 @@ class Coder:
     def _agree(self, one: int, two: int) -> bool:
         return self.encoding._encode_single_piece(self.bytes_of[one] + self.bytes_of[two]) == [one, two]
 
-    def decode(self, tokens: list[int] | array) -> bytes:
+    def decode(self, tokens: list[int]) -> bytes:
         """Bytes of the halves, concatenated up the tree."""
-        if len(tokens) <= self.leaf_chars:
-            table = self.bytes_of
-            return b"".join([table[t] for t in tokens])
-        cut = len(tokens) // 2
-        return self.decode(tokens[:cut]) + self.decode(tokens[cut:])
+        return self._decoded(tokens, 0, len(tokens))
 
-
-_compiled = []
-
-
-def _pattern():
-    import regex
-
-    if not _compiled:
-        _compiled.append(regex.compile(public_tokenizers.PATTERN))
-    return _compiled[0]
+    def _decoded(self, tokens: list[int], lo: int, hi: int) -> bytes:
+        if hi - lo <= self.leaf_chars:
+            table = self.bytes_of
+            return b"".join([table[t] for t in tokens[lo:hi]])
+        cut = (lo + hi) // 2
+        return self._decoded(tokens, lo, cut) + self._decoded(tokens, cut, hi)
 
 
 def coder(vocabulary: str = VOCABULARY) -> Coder:
@@ -156,9 +160,15 @@ def coder(vocabulary: str = VOCABULARY) -> Coder:
 
 
 def encoded_frame(docs: DataFrame, text_col: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:
-    """``docs`` with n_tokens and ids (array of int); a null text is encoded as the empty text, to no ids."""
+    """``docs`` with n_tokens and ids (array of int); names that the table has already get two underscores in front.
+
+    A null text is encoded as the empty text, to no ids; equal rows give equal ids; an
+    empty table gives no rows.
+    """
     at = docs.columns.index(text_col)
-    schema = StructType([*docs.schema.fields, StructField("n_tokens", LongType()), StructField("ids", ArrayType(IntegerType()))])
+    taken = {c.lower() for c in docs.columns}
+    n_name, ids_name = (c if c not in taken else fresh(docs, c)[0] for c in ("n_tokens", "ids"))
+    schema = StructType([*docs.schema.fields, StructField(n_name, LongType()), StructField(ids_name, ArrayType(IntegerType()))])
 
     def run(batches):
         c = coder(vocabulary)
@@ -168,7 +178,7 @@ def encoded_frame(docs: DataFrame, text_col: str = "text", vocabulary: str = VOC
                 flat = np.concatenate(ids) if ids else np.zeros(0, np.int32)
                 sizes = np.array([len(x) for x in ids], np.int64)
                 lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]), pa.int32()), pa.array(flat))
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(sizes), lists], names=[*part.schema.names, "n_tokens", "ids"])
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(sizes), lists], names=schema.names)
 
     return docs.mapInArrow(run, schema)
 
@@ -179,7 +189,11 @@ def _pieces_of(batch: pa.RecordBatch, rows: int = 256):
 
 
 def token_digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str = VOCABULARY) -> DataFrame:
-    """Per row: the id, n_tokens, and SHA-256 of the ids and of the bytes decoded from them."""
+    """Per row: the id, n_tokens, and SHA-256 of the ids and of the bytes decoded from them.
+
+    A null text counts as empty: no tokens, and the digests of nothing. Null ids and
+    repeated rows are kept as they are; an empty table gives no rows.
+    """
     rows = docs.select(id_col, text_col)
     schema = StructType(docs.select(id_col).schema.fields).add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
 
@@ -209,4 +223,5 @@ def token_lengths(docs: DataFrame, text_col: str = "text", vocabulary: str = VOC
 
 
 def op7_bpe(spark, sf_dir: str) -> DataFrame:
+    """Digests of every document's tokens; see ``token_digests`` for null and empty texts and repeated rows."""
     return token_digests(spark.read.parquet(f"{sf_dir}/documents.parquet"))

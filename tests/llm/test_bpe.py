@@ -7,7 +7,7 @@ import pytest
 
 from seqcount.llm import bpe, token_counts
 
-PIECES = ["a", "the ", "éç", " ", "\n", "  ", "1", "42", "!", "日本語", "　", "'s", "'re", "ab", " x", "\t", "ing", "🙂", "A", "\x00"]
+PIECES = ["a", "the ", "éç", " ", "\n", "  ", "1", "42", "!", "日本語", "　", "'s", "'re", "ab", " x", "\t", "ing", "🙂", "A", "\x00", "\x1c", "\x85", "'", "''", "²", "ª", "\u0301", "\u200b", "--"]
 
 
 @pytest.fixture(scope="module")
@@ -15,13 +15,30 @@ def small():
     return bpe.Coder(public_tokenizers.path(bpe.VOCABULARY), leaf_chars=64, leaf_bytes=16)
 
 
-def test_tree_equals_the_library_on_random_texts(small):
+@pytest.mark.parametrize("leaf", [1, 2, 7, 64])
+def test_tree_equals_the_library_on_random_texts(leaf):
+    coder = bpe.Coder(public_tokenizers.path(bpe.VOCABULARY), leaf_chars=leaf, leaf_bytes=16)
     rng = random.Random(9)
-    for i in range(1500):
-        text = "".join(rng.choice(PIECES if i % 3 else "aab bé") for _ in range(rng.randint(0, 500)))
-        ids = list(small.encode(text))
-        assert ids == small.encoding.encode_ordinary(text), repr(text)
-        assert small.decode(ids) == text.encode()
+    for i in range(700):
+        text = "".join(rng.choice(PIECES if i % 3 else ["a", "b", " ", "'", "s", "1", "\x1c", "!", "é"]) for _ in range(rng.randint(0, 150)))
+        ids = coder.encode(text)
+        assert ids == coder.encoding.encode_ordinary(text), repr(text)
+        assert coder.decode(ids) == text.encode()
+
+
+def test_every_text_above_a_leaf_is_joined():
+    coder = bpe.Coder(public_tokenizers.path(bpe.VOCABULARY))
+    for n in (0, 1, 95, 96, 97, 192, 193, 5000, 40_000):
+        text, before = ("some words, and more " * (n // 20 + 1))[:n], coder.joins
+        assert coder.encode(text) == coder.encoding.encode_ordinary(text)
+        leaves, spans = 0, [n]
+        while spans:
+            x = spans.pop()
+            if x <= bpe.LEAF_CHARS:
+                leaves += 1
+            else:
+                spans += [x // 2, x - x // 2]
+        assert coder.joins - before == leaves - 1
 
 
 @pytest.mark.parametrize("text", ["", "a" * 5000, " " * 5000, "ab" * 3000, "\n" * 700 + "x", "日本" * 2000, "=-" * 3000, "x" + " " * 3000 + "y", ("word " * 30 + "b" * 900) * 5])
@@ -36,15 +53,18 @@ def test_production_leaves_on_a_long_text():
 
 
 def test_rows(spark):
-    docs = spark.createDataFrame([(1, None), (2, ""), (3, "Hello, wörld"), (3, "Hello, wörld"), (None, "x")], "doc_id long, text string").selectExpr("doc_id", "text", "1 as n_tokens2")
+    docs = spark.createDataFrame([(1, None), (2, ""), (3, "Hello, wörld"), (3, "Hello, wörld"), (None, "x")], "doc_id long, text string").selectExpr("doc_id", "text", "1 as n_tokens", "2 as IDS")
     plain = bpe.coder().encoding
     want = []
     for d, t in [(1, ""), (2, ""), (3, "Hello, wörld"), (3, "Hello, wörld"), (None, "x")]:
         ids = plain.encode_ordinary(t)
         want.append((d, len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256(t.encode()).hexdigest()))
     assert sorted(map(tuple, bpe.token_digests(docs).collect()), key=repr) == sorted(want, key=repr)
-    ids = {r["doc_id"]: r["ids"] for r in bpe.encoded_frame(docs).collect()}
+    encoded = bpe.encoded_frame(docs)
+    assert encoded.columns == [*docs.columns, "__n_tokens", "__ids"]
+    ids = {r["doc_id"]: r["__ids"] for r in encoded.collect()}
     assert ids[3] == plain.encode_ordinary("Hello, wörld") and ids[1] == []
+    assert bpe.encoded_frame(docs.select("text")).columns == ["text", "n_tokens", "ids"] and bpe.encoded_frame(docs.limit(0)).count() == 0
     assert bpe.token_digests(docs.limit(0)).count() == 0
 
 

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 from itertools import combinations
 
 import numpy as np
@@ -20,11 +19,8 @@ KEY_ROWS = 64
 COPY_WORDS, COPY_SIMILARITY = 5, 0.8
 #: Keys of a sketch, and shingles that each is made of: at similarity 0.8 all but 2 pairs in 1,000 share a key.
 SKETCH_PARTS, SKETCH_LEAST = 12, 4
-#: Rows of one shingle that are compared with one another at once; buckets that shingles are counted in; pairs verified in a first turn.
-TOKEN_BLOCK, BUCKETS, PAIRS_AT_ONCE = 512, 1 << 16, 1 << 16
-_BUCKET_SHIFT, _SLACK = np.uint64(48), 1e-6
-#: Rows of sets that a Python worker holds besides the batch it reads.
-_SLICE = 1 << 9
+#: Shingles of the rows of one key that are compared with one another at once.
+CELL_SHINGLES = 1 << 16
 _ODD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -160,7 +156,7 @@ def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> Dat
 
 
 def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
-    """(fp, least, root): the least id of each node's component and the node that has it, for nodes with a link.
+    """(fp, least, root): the least id of each node's component and the node that has it, for nodes with a link; checkpointed.
 
     ``nodes`` are (fp, least), ``edges`` (one, two) among their fp. Rounds of taking the
     least label among a node and its neighbours, then of the node that the label
@@ -187,7 +183,9 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
         if not state.where(F.col("was") != F.col("label")).limit(1).count():
             break
         state = state.drop("was")
-    return state.select("fp", F.col("label.least").alias("least"), F.col("label.fp").alias("root"))
+    out = checkpointed(state.select("fp", F.col("label.least").alias("least"), F.col("label.fp").alias("root")))
+    discard(spark, path)
+    return out
 
 
 def _grouped(rows: DataFrame, radius: int) -> DataFrame:
@@ -326,95 +324,114 @@ def _labelled(rows: DataFrame, found: DataFrame, column: str, name: str) -> Data
     return met.withColumn(name, F.coalesce("__root", column)).drop("__root", "__n")
 
 
-def candidates(hot: DataFrame, similarity: float, block: int) -> DataFrame:
-    """(one, two): every pair of rows (uid, label, shingles) of different labels that can reach the similarity.
+def cell_links(uid: np.ndarray, label: np.ndarray, offsets: np.ndarray, tokens: np.ndarray, similarity: float) -> list[tuple[int, int]]:
+    """Links that join rows of different labels wherever a pair of them has the similarity: a forest, not all pairs.
 
-    Prefix filter: with shingles in one order, the rarest first, a pair of similarity s
-    has its first common shingle among the 1 - s first of the larger set and the
-    1 - 2s/(1+s) first of the smaller, with enough shingles behind it in both. Any
-    order is right; rarity, counted by ``BUCKETS`` of the hash, makes it selective. The rows of
-    a shingle are dealt into blocks and the blocks compared two by two, so that no key
-    of the join holds more than about two blocks of rows, however many share the shingle.
+    Each row outside the commonest label is compared with all others at once, by marks
+    on its shingles. Labels that have been linked count as one from then on.
     """
+    place = np.unique(tokens, return_inverse=True)[1]
+    group = np.unique(label, return_inverse=True)[1]
+    size, mark, out = np.diff(offsets), np.zeros(int(place.max(initial=-1)) + 1, np.int32), []
+    for i in np.flatnonzero(group != np.bincount(group).argmax()).tolist():
+        other = group != group[i]
+        if not other.any():
+            break
+        mine = place[offsets[i] : offsets[i + 1]]
+        mark[mine] = 1
+        common = np.add.reduceat(mark[place], offsets[:-1])
+        mark[mine] = 0
+        met = np.flatnonzero(other & (common >= similarity * (size + size[i] - common)))
+        for j in met.tolist():
+            if group[j] != group[i]:
+                out.append((int(uid[i]), int(uid[j])))
+                group[group == group[j]] = group[i]
+    return out
 
-    def tally(batches):
-        total = np.zeros(BUCKETS, np.int64)
-        for batch in (b.slice(at, _SLICE) for b in batches for at in range(0, len(b), _SLICE)):
-            total += np.bincount(batch.column(0).flatten().to_numpy(zero_copy_only=False).view(np.uint64) >> _BUCKET_SHIFT, minlength=BUCKETS)
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["bucket", "n"])
-
-    table = hot.select("shingles").mapInArrow(tally, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
-    often = np.zeros(BUCKETS, np.int64)
-    often[table["bucket"].to_numpy()] = table["n"].to_numpy()
-    shared = hot.sparkSession.sparkContext.broadcast(np.minimum(often, np.iinfo(np.int32).max).astype(np.int32))
-    part = similarity / (1 + similarity)
-
-    def prefixes(batches):
-        for batch in (b.slice(at, _SLICE) for b in batches for at in range(0, len(b), _SLICE)):
-            tokens, sizes, places, shorts = [], [], [], []
-            values = batch.column(2).flatten().to_numpy(zero_copy_only=False)
-            lengths = batch.column(2).value_lengths().to_numpy(zero_copy_only=False)
-            end = np.cumsum(lengths)
-            for b, n in zip(end.tolist(), lengths.tolist(), strict=True):
-                x = values[b - n : b]
-                count = shared.value[x.view(np.uint64) >> _BUCKET_SHIFT]
-                at = np.arange(n - math.ceil(similarity * n - _SLACK) + 1 if n else 0)
-                order = np.lexsort((x, count))[: len(at)]
-                at = at[: len(order)]
-                met = count[order] > 1  # a shingle alone in its bucket is in one row
-                tokens.append(x[order][met])
-                places.append(at[met])
-                shorts.append((at < n - math.ceil(2 * part * n - _SLACK) + 1)[met])
-                sizes.append(len(tokens[-1]))
-            row = np.repeat(np.arange(len(sizes)), sizes)
-            take = lambda c: batch.column(c).take(pa.array(row))  # noqa: E731,B023
-            join = lambda parts, kind: pa.array(np.concatenate([*parts, np.zeros(0, kind)]).astype(kind))
-            columns = [take(0), take(1), pa.array(lengths[row].astype(np.int32)), join(tokens, np.int64), join(places, np.int32), join(shorts, bool)]
-            yield pa.RecordBatch.from_arrays(columns, names=["uid", "label", "size", "token", "at", "short"])
-
-    tokens = checkpointed(hot.select("uid", "label", "shingles").mapInArrow(prefixes, "uid long, label long, size int, token long, at int, short boolean"))
-    crossed = tokens.groupBy("token").agg(F.count("*").alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi")
-    kept = join_by_weight(tokens, checkpointed(crossed.select("token", "n")), ["token"], "n", tokens.count()).where("n is not null")
-    dealt = checkpointed(kept.withColumn("blocks", F.ceil(F.col("n") / block).cast("int")).withColumn("mine", F.pmod(F.xxhash64("uid"), F.col("blocks")).cast("int")).drop("n"))
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    small = dealt.where("short").select("token", F.col("mine").alias("a"), other.alias("b"), F.col("uid").alias("s"), F.col("label").alias("s_label"), F.col("size").alias("s_size"), F.col("at").alias("s_at"))
-    large = dealt.select("token", other.alias("a"), F.col("mine").alias("b"), F.col("uid").alias("l"), F.col("label").alias("l_label"), F.col("size").alias("l_size"), F.col("at").alias("l_at"))
-    met = small.join(large, ["token", "a", "b"]).where("s_label <> l_label and (s_size < l_size or (s_size = l_size and s < l))")
-    met = met.where(F.col("s_size") >= similarity * F.col("l_size") - _SLACK)
-    met = met.where(F.least(F.col("s_size") - F.col("s_at"), F.col("l_size") - F.col("l_at")) >= part * (F.col("s_size") + F.col("l_size")) - _SLACK)
-    return met.select(F.least("s", "l").alias("one"), F.greatest("s", "l").alias("two")).distinct()
-
-
-def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, nodes: DataFrame, similarity: float, at_once: int) -> DataFrame:
-    """``found`` (components) after all pairs among the rows of crowded keys (uid, key) that it leaves apart.
-
-    A key whose rows are one component needs nothing more. The rows of the others give
-    ``candidates``, and each of these is verified or its two rows have come together:
-    they're taken by a hash, about ``at_once`` and then twice as many a turn, for in a
-    dense group some of the pairs join nearly all rows, and the other pairs need no test.
-    """
+
+def compared(cells: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """(one, two), checkpointed: the ``cell_links`` of rows (cell, uid, label), of which each cell has a bounded number of shingles."""
+    full = cells.join(sets, "uid").select("cell", "uid", "label", "shingles").repartition("cell").sortWithinPartitions("cell", "uid")
+
+    def links_of(held):
+        uid, label = (np.concatenate([h[i] for h in held]) for i in (0, 1))
+        offsets = np.concatenate([[0], np.cumsum(np.concatenate([h[2] for h in held]))])
+        found = cell_links(uid, label, offsets, np.concatenate([h[3] for h in held]), similarity)
+        return pa.RecordBatch.from_arrays([pa.array([x[i] for x in found], pa.int64()) for i in (0, 1)], names=["one", "two"])
+
+    def run(batches):
+        now, held = None, []
+        for batch in batches:
+            cell, uid, label = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 1, 2))
+            sizes, values = batch.column(3).value_lengths().to_numpy(zero_copy_only=False), batch.column(3).flatten().to_numpy(zero_copy_only=False)
+            ends = np.concatenate([[0], np.cumsum(sizes)])
+            heads = np.flatnonzero(np.r_[True, cell[1:] != cell[:-1]]) if len(cell) else []
+            for a, b in zip(heads, [*heads[1:], len(cell)], strict=True):
+                if cell[a] != now:
+                    if held:
+                        yield links_of(held)
+                    now, held = cell[a], []
+                held.append((uid[a:b], label[a:b], sizes[a:b], values[ends[a] : ends[b]]))
+        if held:
+            yield links_of(held)
+
+    return checkpointed(full.mapInArrow(run, "one long, two long"))
+
+
+def _merged(found: DataFrame, fresh_links: DataFrame) -> DataFrame:
+    """``found`` (components) with links among its rows: components of the labels, of which few are met, then theirs of the rows."""
+    ends = _labelled(checkpointed(_labelled(fresh_links, found, "one", "a")), found, "two", "b").where("a <> b").select(F.col("a").alias("one"), F.col("b").alias("two"))
+    edges = checkpointed(ends.distinct())
+    if not edges.limit(1).count():
+        return found
+    met = edges.select(F.col("one").alias("fp")).union(edges.select("two")).distinct()
+    labels = found.where("fp = root").select("fp", "least").join(met, "fp", "left_semi")
+    moved = components(edges, labels).select(F.col("fp").alias("root"), F.col("least").alias("to_least"), F.col("root").alias("to_root"))
+    weights = found.groupBy("root").agg(F.count("*").alias("n"))
+    out = join_by_weight(found, moved.join(weights, "root"), ["root"], "n", found.count())
+    return checkpointed(out.select("fp", F.coalesce("to_least", "least").alias("least"), F.when(F.col("to_root").isNull(), F.col("root")).otherwise(F.col("to_root")).alias("root")))
+
+
+def _split_keys(crowded: DataFrame, found: DataFrame) -> DataFrame:
+    """Rows (key, uid, n, label) of the keys whose rows are in several components, checkpointed."""
     labelled = checkpointed(_labelled(crowded, found, "uid", "label"))
-    split = labelled.groupBy("key").agg(F.count("*").alias("n"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", "n")
-    hot = checkpointed(join_by_weight(labelled, checkpointed(split), ["key"], "n", labelled.count()).where("n is not null").select("uid", "label").distinct())
-    n_hot = hot.count()
-    if not n_hot:
+    split = labelled.groupBy("key").agg(F.count("*").alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", "m")
+    return checkpointed(join_by_weight(labelled, checkpointed(split), ["key"], "m", labelled.count()).where("m is not null").drop("m"))
+
+
+def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, similarity: float, cell: int) -> DataFrame:
+    """``found`` (components) after all pairs among the rows of each crowded key (key, uid) that it leaves apart.
+
+    A key whose rows are one component needs nothing more. The rows of the others are
+    dealt into blocks of about ``cell`` shingles, by a hash, and compared block by block,
+    which joins nearly all that belong together, in work that is linear in the rows. Of
+    keys that still hold several components, the rows outside the largest one meet
+    every other block of their key. No pair of a key is left out, none is emitted
+    but the links of a forest, and no task holds more than two blocks.
+    """
+    sized = checkpointed(crowded.join(sets.select("uid", F.size("shingles").alias("n")), "uid"))
+    blocks = F.ceil(F.col("total") / cell).cast("int")
+    turn = F.pmod(F.xxhash64("key", "uid"), F.greatest(blocks, F.lit(1))).cast("int")
+
+    rows = _split_keys(sized, found)
+    if not rows.limit(1).count():
         return found
-    left = checkpointed(candidates(sets.join(F.broadcast(hot) if n_hot <= BROADCAST_ROWS else hot, "uid"), similarity, TOKEN_BLOCK))
-    n = left.count()
-    while n:
-        all_now = n <= at_once
-        mark = F.pmod(F.xxhash64("one", "two", F.lit(at_once)), F.lit(1 << 20)) < max(1, (at_once << 20) // n)
-        links_now = checkpointed(verified(left if all_now else checkpointed(left.where(mark)), sets, similarity))
-        if links_now.limit(1).count():
-            stars = found.where("fp <> root").select(F.col("fp").alias("one"), F.col("root").alias("two"))
-            found = components(checkpointed(stars.unionByName(links_now)), nodes)
-        if all_now:
-            break
-        rest = checkpointed(_labelled(checkpointed(left.where(~mark)), found, "one", "a"))
-        left = checkpointed(_labelled(rest, found, "two", "b").where("a <> b").select("one", "two"))
-        n, at_once = left.count(), 2 * at_once
-    return found
+    totals = checkpointed(rows.groupBy("key").agg(F.sum("n").alias("total"), F.count("*").alias("m")))
+    dealt = join_by_weight(rows, totals, ["key"], "m", rows.count())
+    found = _merged(found, compared(dealt.select(F.xxhash64("key", turn).alias("cell"), "uid", "label"), sets, similarity))
+
+    rows = _split_keys(rows.drop("label"), found)
+    if not rows.limit(1).count():
+        return found
+    by_label = rows.groupBy("key", "label").agg(F.sum("n").alias("total"), F.count("*").alias("m"))
+    tops = checkpointed(by_label.groupBy("key").agg(F.max_by("label", F.struct("m", "label")).alias("top"), F.max_by("total", F.struct("m", "label")).alias("inside"), F.sum("total").alias("all"), F.sum("m").alias("m")))
+    named = join_by_weight(rows, tops, ["key"], "m", rows.count())
+    inside, outside = (F.greatest(F.lit(1), F.ceil(F.col(c) / cell)).cast("int") for c in ("inside", "outside"))
+    named = named.withColumn("outside", F.col("all") - F.col("inside")).withColumn("t", inside).withColumn("o", outside).withColumn("is_top", F.col("label") == F.col("top"))
+    spread = F.pmod(F.xxhash64("key", "uid"), F.when(F.col("is_top"), F.col("t")).otherwise(F.col("o"))).cast("int")
+    placed = named.withColumn("mine", F.when(F.col("is_top"), spread).otherwise(F.col("t") + spread))
+    others = placed.withColumn("other", F.explode(F.sequence(F.when(F.col("is_top"), F.col("t")).otherwise(F.lit(0)), F.col("t") + F.col("o") - 1))).where("other <> mine")
+    return _merged(found, compared(others.select(F.xxhash64("key", F.least("mine", "other"), F.greatest("mine", "other")).alias("cell"), "uid", "label"), sets, similarity))
 
 
 def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = COPY_WORDS, similarity: float = COPY_SIMILARITY, radius: int = RADIUS) -> DataFrame:
@@ -423,9 +440,9 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     Rows are linked if their SimHash fingerprints (as in ``near_duplicates``) are within
     ``radius`` bits, or if their shingles of ``words`` words have a Jaccard similarity of
     ``similarity`` or more: 64 bits can't tell 0.8 from less, so such pairs are sought
-    by sketch keys and verified exactly. Rows without words form one group. A null id
-    stays if no row of its group has one; of repeats of one row, one stays (the others
-    are ``spare``).
+    by sketch keys and verified exactly. Rows without words (null, empty or blank texts)
+    form one group. A null id stays if no row of its group has one; of repeats of one
+    row, one stays (the others are ``spare``). An empty table gives no rows.
     """
     plain = docs.select(F.col(id_col).cast("long").alias("rid"), F.monotonically_increasing_id().alias("uid"), F.col(text_col).cast("string").alias("text"), text_fingerprint(text_col).alias("tfp"))
 
@@ -444,7 +461,9 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     alike, crowded, sets = similar_pairs(rows, plain.select("rid", "tfp", "text"), words, similarity)
     nodes = rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least"))
     found = components(checkpointed(hung.unionByName(close).unionByName(alike)), nodes)
-    found = crossing_links(crowded, sets, found, nodes, similarity, PAIRS_AT_ONCE)
+    lone = crowded.select(F.col("uid").alias("fp")).distinct().join(found, "fp", "left_anti")
+    known = checkpointed(found.unionByName(nodes.join(lone, "fp", "left_semi").withColumn("root", F.col("fp"))))
+    found = crossing_links(crowded, sets, known, similarity, CELL_SHINGLES)
     gone = found.where("fp <> root").select(F.col("fp").alias("uid"), "root")
     winners = gone.select(F.col("root").alias("uid")).distinct().join(rows.select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")), "uid").withColumnRenamed("uid", "root")
     named = checkpointed(gone.join(rows.select("uid", "rid", "tfp"), "uid"))

@@ -225,10 +225,9 @@ def template_texts(rng):
     return [" ".join(t) for t in texts]
 
 
-@pytest.mark.parametrize("at_once", [1 << 16, 40])
-def test_near_copies_in_a_passage_that_many_share(spark, monkeypatch, at_once):
-    monkeypatch.setattr(simhash, "PAIRS_AT_ONCE", at_once)
-    monkeypatch.setattr(simhash, "TOKEN_BLOCK", 16)
+@pytest.mark.parametrize("cell", [1 << 16, 2000])
+def test_near_copies_in_a_passage_that_many_share(spark, monkeypatch, cell):
+    monkeypatch.setattr(simhash, "CELL_SHINGLES", cell)
     rng = random.Random(31)
     texts = template_texts(rng)
     rng.shuffle(texts)
@@ -239,19 +238,28 @@ def test_near_copies_in_a_passage_that_many_share(spark, monkeypatch, at_once):
     assert sorted(r["doc_id"] for r in simhash.drop_near_copies(docs).collect()) == want
 
 
-def test_candidates_miss_no_pair(spark):
+def test_cells_link_what_all_pairs_link():
     rng = random.Random(8)
-    sets = []
-    for _ in range(40):
-        base = [rng.randrange(-(1 << 63), 1 << 63) for _ in range(rng.randint(1, 60))] + list(range(30)) * rng.randint(0, 1)
-        for _ in range(3):
-            sets.append([x for x in base if rng.random() > 0.1] + [rng.randrange(1 << 60)])
-    sets = [sorted(set(x)) for x in sets]
-    rows = spark.createDataFrame([(i, i, x) for i, x in enumerate(sets)], "uid long, label long, shingles array<long>")
-    want = {(i, j) for j in range(len(sets)) for i in range(j) if len({*sets[i]} & {*sets[j]}) >= 0.8 * len({*sets[i]} | {*sets[j]})}
-    got = {tuple(r) for r in simhash.candidates(rows, 0.8, 7).collect()}
-    assert len(want) > 20 and want <= got
-    assert {tuple(r) for r in simhash.verified(spark.createDataFrame(sorted(got), "one long, two long"), rows.select("uid", "shingles"), 0.8).collect()} == want
+    for _ in range(20):
+        sets = []
+        for _ in range(rng.randint(1, 12)):
+            base = [rng.randrange(-(1 << 63), 1 << 63) for _ in range(rng.randint(1, 60))] + list(range(30)) * rng.randint(0, 1)
+            for _ in range(3):
+                sets.append(sorted({x for x in base if rng.random() > 0.1} | {rng.randrange(1 << 60)}))
+        label = np.array([rng.choice([i, i, 0, 1]) for i in range(len(sets))])
+        uid = np.arange(len(sets)) + 1000
+        want = [(i, j) for j in range(len(sets)) for i in range(j) if len({*sets[i]} & {*sets[j]}) >= 0.8 * len({*sets[i]} | {*sets[j]})]
+        got = simhash.cell_links(uid, label, np.cumsum([0, *map(len, sets)]), np.concatenate([np.array(x, np.int64) for x in sets]), 0.8)
+        assert {(min(a, b) - 1000, max(a, b) - 1000) for a, b in got} <= set(want)
+
+        def classes(links):
+            group = {i: int(x) for i, x in enumerate(label)}
+            for i, j in links:
+                a, b = group[i], group[j]
+                group = {k: a if g == b else g for k, g in group.items()}
+            return {frozenset(k for k in group if group[k] == g) for g in group.values()}
+
+        assert classes([(a - 1000, b - 1000) for a, b in got]) == classes(want) and len(got) < len(set(label.tolist()))
 
 
 def test_large_group_keeps_one_row_of_each_component(spark):

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import io
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -10,8 +12,9 @@ from pyspark.sql.types import DoubleType, StructField, StructType
 
 from seqcount.llm.textkernel import Words, groups_of_words, mix, whole_counts
 
-#: Labelled rows of each label that the model is fitted on, at most; taken by a hash of the id.
-SAMPLE_PER_LABEL = 1200
+#: Labelled rows of each label that the model is fitted on, at most, taken by a hash of the id; and bytes of a text
+#: above which it isn't taken. Every text is scored whole, however long.
+SAMPLE_PER_LABEL, SAMPLE_TEXT_BYTES = 1200, 1 << 15
 N_TERMS, RANK, NEIGHBOURS, SHARPNESS, THRESHOLD = 8192, 48, 15, 8, 0.7
 SEED = 42
 _STYLE = np.uint64(0xA11CE)
@@ -98,27 +101,52 @@ def scores(model: dict[str, np.ndarray], texts: pa.Array) -> np.ndarray:
 
 
 def held_out(id_col: str = "doc_id"):
-    return F.crc32(F.col(id_col).cast("string").cast("binary")) % 4 == 2
+    """Whether a row is kept from the fit; a row without an id isn't."""
+    return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 4 == 2, F.lit(False))
+
 
+def labelled_sample(docs: DataFrame, labels: DataFrame, label_col: str, per_label: int, usable, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(s_turn, s_id, s_label, text) of at most ``per_label`` labelled ids of either label, those of least id hash.
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label_col: str, per_label: int, usable, id_col: str = "doc_id", text_col: str = "text") -> pa.Table:
-    """(text, label) of at most ``per_label`` labelled rows of either label, those of least id hash; a bounded read."""
+    An id whose labels disagree, or a null id or label, isn't taken. An id has one row: of several texts
+    the least. Texts over SAMPLE_TEXT_BYTES are left out, so rows and bytes are bounded.
+    """
     flags = labels.select(F.col(id_col).alias("s_id"), F.col(label_col).cast("int").alias("s_label")).where(F.col("s_label").isin(0, 1) & F.col("s_id").isNotNull())
-    flags = flags.dropDuplicates(["s_id"]).where(usable("s_id")).withColumn("s_turn", F.xxhash64("s_id", F.lit(SEED)))
+    flags = flags.groupBy("s_id").agg(F.min("s_label").alias("s_label"), F.max("s_label").alias("s_most")).where("s_label = s_most").drop("s_most")
+    flags = flags.where(usable("s_id")).withColumn("s_turn", F.xxhash64("s_id", F.lit(SEED)))
     chosen = [flags.where(F.col("s_label") == y).orderBy("s_turn", "s_id").limit(per_label) for y in (0, 1)]
     few = F.broadcast(chosen[0].unionByName(chosen[1]))
-    texts = docs.select(F.col(id_col).alias("d_id"), F.col(text_col).cast("string").alias("text"))
-    found = texts.join(few, F.col("d_id") == F.col("s_id")).select("s_turn", "s_id", "text", "s_label")
-    return found.toArrow().sort_by([("s_turn", "ascending"), ("s_id", "ascending")])
+    texts = docs.select(F.col(id_col).alias("d_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= SAMPLE_TEXT_BYTES)
+    return texts.join(few, F.col("d_id") == F.col("s_id")).groupBy("s_turn", "s_id", "s_label").agg(F.min("text").alias("text"))
+
+
+def fitted(sample: DataFrame, fit) -> dict[str, np.ndarray]:
+    """``fit`` (texts, labels) of a bounded sample, in one task, so that the driver has the model alone in memory."""
+
+    def run(batches):
+        rows = pa.Table.from_batches(batches).sort_by([("s_turn", "ascending"), ("s_id", "ascending")])
+        with io.BytesIO() as out:
+            np.savez(out, **fit(rows["text"].combine_chunks(), rows["s_label"].to_numpy()))
+            yield pa.RecordBatch.from_arrays([pa.array([out.getvalue()], pa.binary())], names=["model"])
+
+    got = sample.repartition(1).mapInArrow(run, "model binary").first()
+    if got is None:
+        return fit(pa.array([], pa.string()), np.zeros(0))
+    with np.load(io.BytesIO(got["model"])) as model:
+        return dict(model)
 
 
 def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_PER_LABEL, usable=lambda c: ~held_out(c), id_col: str = "doc_id", text_col: str = "text") -> dict:
-    got = labelled_sample(docs, labels, "quality", per_label, usable, id_col, text_col)
-    return fit(got["text"].combine_chunks(), got["s_label"].to_numpy())
+    """The model of a bounded sample; without usable labels, one that gives every text 0.5."""
+    return fitted(labelled_sample(docs, labels, "quality", per_label, usable, id_col, text_col), fit)
 
 
 def with_scores(docs: DataFrame, model: dict, text_col: str = "text", name: str = "score") -> DataFrame:
-    """``docs`` with a score column; the model, of a bounded size, is broadcast and texts don't move."""
+    """``docs`` with a score column; the model, of a bounded size, is broadcast and texts don't move.
+
+    Null and empty texts have no words and get the prior; equal texts get equal scores;
+    repeated rows stay; an empty table gives no rows.
+    """
     schema = StructType([*docs.schema.fields, StructField(name, DoubleType())])
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index(text_col)
@@ -132,6 +160,7 @@ def with_scores(docs: DataFrame, model: dict, text_col: str = "text", name: str
 
 
 def op2_quality(spark, sf_dir: str) -> DataFrame:
+    """Score, held_out and predicted of every document, null, empty and repeated ones too; see ``with_scores``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     scored = with_scores(docs, model)

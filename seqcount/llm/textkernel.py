@@ -9,8 +9,8 @@ import pyarrow as pa
 
 #: Texts are taken in groups of about this many bytes, and longer ones in blocks, so memory follows neither batch nor text.
 GROUP_BYTES = 1 << 20
-#: Bytes in which a block's last blank, and the words that it repeats from the block before, are sought.
-_LOOK = 1 << 14
+#: Words that a block repeats from the one before: runs are told apart up to so many words.
+CARRIED = 17
 
 _CLASS = np.full(256, 4, np.uint8)  # 4: beyond ASCII, counted as a small letter
 _CLASS[:128] = 0
@@ -19,6 +19,7 @@ _CLASS[ord("A") : ord("Z") + 1] = 5
 _CLASS[ord("0") : ord("9") + 1] = 6
 _BLANK = np.zeros(256, bool)
 _BLANK[[32, 9, 10, 11, 12, 13]] = True
+_SPACES = bytes(32 if b else i for i, b in enumerate(_BLANK))
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[ord("A") : ord("Z") + 1] += 32
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
@@ -66,8 +67,7 @@ class Words:
 def groups_of_words(texts: pa.Array, style: bool = False, stems: tuple[int, ...] = ()) -> Iterator[Words]:
     """Words of all texts, in groups of whole texts, or blocks of a long one; null is the empty text.
 
-    A word is a run of bytes other than space and tab to carriage return; one of over
-    GROUP_BYTES counts as several. The style hash sees, in order, each change of
+    A word is a run of bytes other than space and tab to carriage return, however long. The style hash sees, in order, each change of
     character class within the word, symbols by themselves: it tells capitals, digits
     and trailing marks but no letters.
     """
@@ -93,18 +93,14 @@ def groups_of_words(texts: pa.Array, style: bool = False, stems: tuple[int, ...]
 
 
 def _blocks(body: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, int, bool]]:
-    """A long text in blocks that end at blanks, each with up to two words of the one before at its start."""
-    at = 0
-    while at < len(body):
-        end = min(at + GROUP_BYTES, len(body))
-        if end < len(body):
-            blanks = np.flatnonzero(_BLANK[body[max(at, end - _LOOK) : end]])
-            end = max(at, end - _LOOK) + int(blanks[-1]) + 1 if len(blanks) else end
-        full = ~_BLANK[body[max(0, at - _LOOK) : at]]
-        starts = np.flatnonzero(full & np.r_[True, ~full[:-1]])[-2:] if at else np.zeros(0, np.int64)
-        begin = max(0, at - _LOOK) + int(starts[0]) if len(starts) else at
-        part = body[begin:end]
-        yield part, np.array([0, len(part)]), len(starts), end < len(body)
+    """A long text in blocks that end at blanks, each with the last words of those before at its start."""
+    data, at, tail = body.tobytes(), 0, []
+    plain = data.translate(_SPACES)
+    while at < len(data):
+        end = plain.find(b" ", at + GROUP_BYTES) + 1 or len(data)
+        part = b" ".join([*tail, data[at:end]])
+        yield np.frombuffer(part, np.uint8), np.array([0, len(part)]), len(tail), end < len(data)
+        tail = part.rsplit(None, CARRIED)[-CARRIED:]
         at = end
 
 

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from seqcount.llm.quality_knn import labelled_sample
+from seqcount.llm.quality_knn import fitted, labelled_sample
 from seqcount.llm.textkernel import Words, groups_of_words, mix, whole_counts
 
 #: Labelled rows of each label that the model is fitted on, at most; taken by a hash of the id.
@@ -89,16 +89,21 @@ def scores(model: dict[str, np.ndarray], texts: pa.Array) -> np.ndarray:
 
 
 def held_out(id_col: str = "doc_id"):
-    return F.crc32(F.col(id_col).cast("string").cast("binary")) % 3 == 1
+    """Whether a row is kept from the fit; a row without an id isn't."""
+    return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
 def train(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_PER_LABEL, usable=lambda c: ~held_out(c), id_col: str = "doc_id", text_col: str = "text") -> dict:
-    got = labelled_sample(docs, labels, "toxic", per_label, usable, id_col, text_col)
-    return fit(rows_of_features(got["text"].combine_chunks()), got["s_label"].to_numpy())
+    """The model of a bounded sample; without usable labels, one that gives every text 0.5."""
+    return fitted(labelled_sample(docs, labels, "toxic", per_label, usable, id_col, text_col), lambda texts, y: fit(rows_of_features(texts), y))
 
 
 def with_scores(docs: DataFrame, model: dict, text_col: str = "text", name: str = "score") -> DataFrame:
-    """``docs`` with a score column; the sparse weights are broadcast and texts don't move."""
+    """``docs`` with a score column; the sparse weights are broadcast and texts don't move.
+
+    Null and empty texts have no words and get the bias alone; equal texts get equal
+    scores; repeated rows stay; an empty table gives no rows.
+    """
     schema = StructType([*docs.schema.fields, StructField(name, DoubleType())])
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index(text_col)
@@ -111,6 +116,7 @@ def with_scores(docs: DataFrame, model: dict, text_col: str = "text", name: str
 
 
 def op5_toxicity(spark, sf_dir: str) -> DataFrame:
+    """Score, held_out and predicted of every document, null, empty and repeated ones too; see ``with_scores``."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     model = train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
     scored = with_scores(docs, model)

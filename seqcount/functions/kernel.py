@@ -6,7 +6,7 @@ import numpy as np
 import pyarrow as pa
 
 from seqcount.functions.minimizers import block_minimum
-from seqcount.functions.scores import NO_SCORE, score_array
+from seqcount.functions.scores import NO_SCORE, lexical_ranks, score_array, second_hash
 from seqcount.spec import ONE_WORD, CountSpec
 
 #: Bases that one pass takes at once, so that memory doesn't follow the batch.
@@ -75,11 +75,15 @@ def kmer_words(codes: np.ndarray, k: int, canonical: bool = False) -> list[np.nd
     return [hi, lo]
 
 
+def mmer_words(codes: np.ndarray, spec: CountSpec) -> np.ndarray:
+    """Packed m-mer from each position."""
+    words = rolling_pack(codes, spec.m)
+    return np.minimum(words, reverse_complement(words, spec.m)) if spec.canonical else words
+
+
 def mmer_scores(codes: np.ndarray, spec: CountSpec) -> np.ndarray:
     """Score of the m-mer from each position; above all scores where it isn't one."""
-    words = rolling_pack(codes, spec.m)
-    if spec.canonical:
-        words = np.minimum(words, reverse_complement(words, spec.m))
+    words = mmer_words(codes, spec)
     return np.where(window_valid(codes, spec.m), score_array(words, spec.m, spec.score, spec.seed), NO_SCORE)
 
 
@@ -114,15 +118,25 @@ def find_supermers(codes: np.ndarray, spec: CountSpec) -> Supermers:
 
     A k-mer's destination is its least m-mer score modulo the number of tasks; as the
     destination depends on the score alone, equal scores of different m-mers can't
-    part equal k-mers. A supermer ends where the destination changes (or the score,
+    part equal k-mers. With a second hash it's another hash of the minimizer, of which
+    the one with the least m-mer is taken. A supermer ends where the destination changes (or the score,
     if asked), at symbols that aren't bases, and at 65,535 bases.
     """
     valid = window_valid(codes, spec.k)
     if not len(valid) or not valid.any():
         none = np.zeros(0, np.int64)
         return Supermers(none, none, none)
-    least = block_minimum(mmer_scores(codes, spec), spec.w)
-    task = least % spec.s
+    scores = mmer_scores(codes, spec)
+    if spec.dest == "second_hash":
+        words = mmer_words(codes, spec)
+        ranks = lexical_ranks(scores, words)
+        by_rank = np.empty(int(ranks.max()) + 1, np.int64)
+        by_rank[ranks] = words
+        least = block_minimum(ranks, spec.w)
+        task = second_hash(by_rank[least]) % spec.s
+    else:
+        least = block_minimum(scores, spec.w)
+        task = least % spec.s
     mark = least if spec.break_on == "minimizer" else task
     begins = valid.copy()
     begins[1:] &= ~valid[:-1] | (mark[1:] != mark[:-1])
@@ -172,35 +186,134 @@ def valid_kmers(codes: np.ndarray, k: int, canonical: bool = False) -> list[np.n
     return [w[ok] for w in kmer_words(codes, k, canonical)]
 
 
-def radix_sorted(words: np.ndarray) -> np.ndarray:
-    """Sorted copy of words that aren't negative, by stable passes over their 16-bit digits."""
-    top = int(words.max(initial=0))
-    for shift in range(0, max(1, top.bit_length()), 16):
-        words = words[np.argsort(((words >> shift) & 0xFFFF).astype(np.uint16), kind="stable")]
-    return words
+#: Elements of a bucket that is sorted by comparison; elements that the exchange in place moves at once; bits of a digit.
+BUCKET, MOVED, DIGIT_BITS = 1 << 15, 1 << 14, 11
+
+
+def _top_bit(words: list[np.ndarray], bits: int | None) -> int:
+    """Bits that any key has, of all its words together."""
+    if bits is not None:
+        return bits
+    high = int(words[0].max(initial=0)).bit_length()
+    return high if len(words) == 1 else high + 2 * ONE_WORD if high else int(words[1].max(initial=0)).bit_length()
+
+
+def _digit(words: list[np.ndarray], shift: int, bits: int) -> np.ndarray:
+    """``bits`` bits of each key from bit ``shift`` on; a digit doesn't run over the border of two words."""
+    low = 2 * ONE_WORD
+    word, shift = (words[0], shift) if len(words) == 1 else (words[0], shift - low) if shift >= low else (words[1], shift)
+    return ((word >> shift) & ((1 << bits) - 1)).astype(np.uint16)
 
 
-def count_runs(words: list[np.ndarray], weights: np.ndarray | None = None, method: str = "inplace") -> tuple[list[np.ndarray], np.ndarray]:
+def _digit_below(words: list[np.ndarray], top: int, bits: int) -> tuple[int, int]:
+    """(shift, bits) of the digit that ends below bit ``top``."""
+    floor = 2 * ONE_WORD if len(words) == 2 and top > 2 * ONE_WORD else 0
+    return max(floor, top - bits), min(bits, top - max(floor, top - bits))
+
+
+def _sorted_bucket(words: list[np.ndarray], weights: np.ndarray | None) -> None:
+    """Sort a small bucket where it lies."""
+    if len(words) == 1 and weights is None:
+        words[0].sort()
+        return
+    order = np.lexsort(words[::-1]) if len(words) > 1 else np.argsort(words[0], kind="stable")
+    for x in (*words, *([] if weights is None else [weights])):
+        x[:] = x[order]
+
+
+def aux_radix(words: list[np.ndarray], weights: np.ndarray | None = None, top: int | None = None) -> tuple[list[np.ndarray], np.ndarray | None]:
+    """Keys in order, in other arrays: digits from the highest down, each dealing its bucket into a second array."""
+    top = _top_bit(words, top)
+    if len(words[0]) <= BUCKET or not top:
+        words, weights = [w.copy() for w in words], None if weights is None else weights.copy()
+        if top:
+            _sorted_bucket(words, weights)
+        return words, weights
+    shift, bits = _digit_below(words, top, DIGIT_BITS)
+    digit = _digit(words, shift, bits)
+    ends = np.cumsum(np.bincount(digit, minlength=1 << bits))
+    order = np.argsort(digit, kind="stable")  # 16-bit keys: numpy counts and deals them
+    words, weights = [w[order] for w in words], None if weights is None else weights[order]
+    begin = 0
+    for end in ends[np.diff(ends, prepend=0) > 0].tolist():
+        part = slice(begin, end)
+        if end - begin <= BUCKET:
+            _sorted_bucket([w[part] for w in words], None if weights is None else weights[part])
+        elif shift:
+            inner, inner_weights = aux_radix([w[part] for w in words], None if weights is None else weights[part], shift)
+            for w, x in zip(words, inner, strict=True):
+                w[part] = x
+            if weights is not None:
+                weights[part] = inner_weights
+        begin = end
+    return words, weights
+
+
+def inplace_radix(words: list[np.ndarray], weights: np.ndarray | None = None, top: int | None = None) -> None:
+    """Sort keys where they lie: bits from the highest down; a bit's zeros and ones change places through a small buffer."""
+    todo = [(0, len(words[0]), _top_bit(words, top))]
+    arrays = [*words, *([] if weights is None else [weights])]
+    while todo:
+        begin, end, top = todo.pop()
+        if not top or end - begin < 2:
+            continue
+        if end - begin <= BUCKET:
+            _sorted_bucket([w[begin:end] for w in words], None if weights is None else weights[begin:end])
+            continue
+        middle = _exchanged(words, arrays, begin, end, top - 1)
+        todo += [(begin, middle, top - 1), (middle, end, top - 1)]
+
+
+def _exchanged(words: list[np.ndarray], arrays: list[np.ndarray], begin: int, end: int, bit: int) -> int:
+    """Put the keys of [begin, end) without a bit before those with it; where the latter begin."""
+    lo, hi = begin, end
+    ones, zeros = np.zeros(0, np.int64), np.zeros(0, np.int64)  # places on the wrong side, of the blocks in hand
+    while True:
+        if not len(ones) and lo < hi:
+            stop = min(hi, lo + MOVED)
+            ones = lo + np.flatnonzero(_digit([w[lo:stop] for w in words], bit, 1))
+            lo = stop
+        if not len(zeros) and lo < hi:
+            stop = max(lo, hi - MOVED)
+            zeros = stop + np.flatnonzero(_digit([w[stop:hi] for w in words], bit, 1) == 0)[::-1]
+            hi = stop
+        n = min(len(ones), len(zeros))
+        for x in arrays:
+            x[ones[:n]], x[zeros[:n]] = x[zeros[:n]], x[ones[:n]]
+        ones, zeros = ones[n:], zeros[n:]
+        if lo >= hi and (not len(ones) or not len(zeros)):
+            break
+    # what one side has left over lies within one block: it's parted by itself
+    if len(ones):
+        first, last = int(ones[0]), lo
+    elif len(zeros):
+        first, last = hi, int(zeros[0]) + 1
+    else:
+        return lo
+    one = _digit([w[first:last] for w in words], bit, 1) > 0
+    order = np.concatenate([np.flatnonzero(~one), np.flatnonzero(one)])
+    for x in arrays:
+        x[first:last] = x[first:last][order]
+    return first + int((~one).sum())
+
+
+SORTS = ("inplace", "aux_radix")
+
+
+def count_runs(words: list[np.ndarray], weights: np.ndarray | None = None, method: str = "aux_radix") -> tuple[list[np.ndarray], np.ndarray]:
     """Different keys and their (weighted) numbers, by sorting and one scan over equal runs.
 
-    inplace: one word is sorted where it lies. aux_radix: passes over 16-bit digits,
-    least first, each into another array. Two words, or weights: stable passes over
-    lo, then hi.
+    aux_radix: by digits into second arrays. inplace: by bits within the arrays, which
+    must be the caller's to change. For one word or two, with weights or without.
     """
     if not len(words[0]):
         return words, np.zeros(0, np.int64)
-    if len(words) == 1 and weights is None:
-        if method == "inplace":
-            words = [words[0].copy()]
-            words[0].sort(kind="quicksort")
-        else:
-            words = [radix_sorted(words[0])]
+    if method == "inplace":
+        inplace_radix(words, weights)
+    elif method == "aux_radix":
+        words, weights = aux_radix(words, weights)
     else:
-        order = np.argsort(words[-1], kind="stable")
-        if len(words) == 2:
-            order = order[np.argsort(words[0][order], kind="stable")]
-        words = [w[order] for w in words]
-        weights = weights[order] if weights is not None else None
+        raise ValueError(f"unknown sort {method}")
     fresh = np.ones(len(words[0]), bool)
     fresh[1:] = np.any([w[1:] != w[:-1] for w in words], axis=0)
     heads = np.flatnonzero(fresh)

@@ -75,5 +75,24 @@ def score_array(mmers: np.ndarray, m: int, score: str = "murmur3", seed: int = 4
     return (np.int64(a) * (mmers % PRIME) + np.int64(b)) % PRIME
 
 
+#: Seed of the hash that makes destinations, where it isn't the one that makes scores.
+SECOND_SEED = 1_540_483_477
+
+
+def second_hash(mmers: np.ndarray) -> np.ndarray:
+    """A hash of packed m-mers that is independent of their scores."""
+    return murmur3(mmers, SECOND_SEED)
+
+
+def lexical_ranks(scores: np.ndarray, mmers: np.ndarray) -> np.ndarray:
+    """Numbers in the order of (score, m-mer): equal only for equal m-mers, so their minimum breaks ties by the m-mer."""
+    order = np.lexsort([mmers, scores])
+    fresh = np.ones(len(order), bool)
+    fresh[1:] = (scores[order][1:] != scores[order][:-1]) | (mmers[order][1:] != mmers[order][:-1])
+    out = np.empty(len(order), np.int64)
+    out[order] = np.cumsum(fresh) - 1
+    return out
+
+
 def task_column(score: Column, s: int) -> Column:
     return F.pmod(score, F.lit(s)).cast("int")

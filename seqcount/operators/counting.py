@@ -17,7 +17,7 @@ EXPAND_KMERS = 1 << 22
 
 
 def choose_sort(task_bytes: int, free_bytes: int) -> str:
-    """Sort for a task's expanded keys: with auxiliary arrays if there's room, else in place, else by Spark, which spills."""
+    """Sort for a task's expanded keys: with second arrays if there's room, else in place, else by Spark, which spills."""
     if 2 * task_bytes <= 0.6 * free_bytes:
         return "aux_radix"
     return "inplace" if task_bytes <= 0.6 * free_bytes else "spark_radix"
@@ -53,14 +53,12 @@ class Counter:
         self.blocks, self.waiting = [], 0
 
     def _count(self, words):
-        if self.method == "hash":
-            return hash_count(words)
-        return kernel.count_runs(words, method=self.method)
+        return hash_count(words) if self.method == "hash" else kernel.count_runs(words, method=self.method)
 
     def _merge(self) -> None:
         if len(self.parts) > 1:
             words = [np.concatenate([p[0][i] for p in self.parts]) for i in range(self.spec.words)]
-            self.parts = [kernel.count_runs(words, np.concatenate([p[1] for p in self.parts]))]
+            self.parts = [kernel.count_runs(words, np.concatenate([p[1] for p in self.parts]), "inplace" if self.method == "inplace" else "aux_radix")]
 
     def result(self) -> tuple[list[np.ndarray], np.ndarray]:
         self._expand()
@@ -75,12 +73,36 @@ def hash_count(words: list[np.ndarray]) -> tuple[list[np.ndarray], np.ndarray]:
     return [got[f"w{i}"].to_numpy() for i in range(len(words))], got["count_all"].to_numpy()
 
 
-def count_blocks(received: DataFrame, spec: CountSpec, method: str = "inplace", as_spectrum: bool = False, ranged: bool = False) -> DataFrame:
+def count_spilling(received: DataFrame, spec: CountSpec) -> DataFrame:
+    """(kmer, cnt) of exchanged blocks whose tasks don't fit a worker: expanded to rows, sorted by Spark, which spills, and scanned."""
+
+    def expand(batches):
+        for batch in batches:
+            for kind, n, payload in zip(batch.column("kind").to_pylist(), batch.column("n").to_pylist(), batch.column("payload"), strict=True):
+                body = payload.as_buffer()
+                if kind == exchange.SUPERMERS:
+                    n_bases, packed, _, _ = exchange.unpack_block(n, body)
+                    words = kernel.valid_kmers(kernel.unpack_runs(packed, n_bases)[0], spec.k, spec.canonical)
+                    times = np.ones(len(words[0]), np.int64)
+                else:
+                    words, times = exchange.unpack_list(n, body, spec.words)
+                yield pa.RecordBatch.from_arrays([kmer_array(words), pa.array(times)], names=["kmer", "n"])
+
+    rows = received.mapInArrow(expand, kmer_fields(spec) + ", n long")
+    return run_length(rows.sortWithinPartitions(*(["kmer"] if spec.words == 1 else ["kmer.hi", "kmer.lo"])), spec, "n")
+
+
+def count_blocks(received: DataFrame, spec: CountSpec, method: str = "aux_radix", as_spectrum: bool = False, ranged: bool = False) -> DataFrame:
     """(kmer, cnt) of exchanged blocks, or with ``as_spectrum`` partial sums (cnt, n_kmers).
 
-    Tasks come one after another, and only one is held at a time. ``ranged`` keeps the
+    method: aux_radix, inplace or hash, with one task held at a time, tasks coming one
+    after another; or spark_radix, by rows that Spark can spill. ``ranged`` keeps the
     counts from spec.lo to spec.hi where they're made.
     """
+    if method == "spark_radix":
+        counts = count_spilling(received, spec)
+        counts = counts.where(F.col("cnt").between(spec.lo, spec.hi)) if ranged else counts
+        return spectrum(counts) if as_spectrum else counts
 
     def results(batches):
         task, counter = None, None
@@ -116,8 +138,11 @@ def count_blocks(received: DataFrame, spec: CountSpec, method: str = "inplace",
     return received.mapInArrow(rows, kmer_fields(spec) + ", cnt long")
 
 
-def run_length(sorted_kmers: DataFrame, spec: CountSpec) -> DataFrame:
-    """(kmer, cnt) of partitions in which equal k-mers are neighbours: one scan that carries the open run over batches."""
+def run_length(sorted_kmers: DataFrame, spec: CountSpec, weight: str | None = None) -> DataFrame:
+    """(kmer, cnt) of partitions in which equal k-mers are neighbours: one scan that carries the open run over batches.
+
+    With a ``weight`` column, its sums take the place of the numbers of rows.
+    """
 
     def run(batches):
         open_key, open_n = None, 0
@@ -128,7 +153,8 @@ def run_length(sorted_kmers: DataFrame, spec: CountSpec) -> DataFrame:
             fresh = np.ones(len(words[0]), bool)
             fresh[1:] = np.any([w[1:] != w[:-1] for w in words], axis=0)
             heads = np.flatnonzero(fresh)
-            keys, n = [w[heads] for w in words], np.diff(np.append(heads, len(fresh)))
+            n = np.add.reduceat(batch.column(1).to_numpy(zero_copy_only=False), heads) if weight else np.diff(np.append(heads, len(fresh)))
+            keys = [w[heads] for w in words]
             first = tuple(int(w[0]) for w in keys)
             if open_key == first:
                 n[0] += open_n
@@ -139,7 +165,7 @@ def run_length(sorted_kmers: DataFrame, spec: CountSpec) -> DataFrame:
         if open_key is not None:
             yield pa.RecordBatch.from_arrays([kmer_array([np.array([x], np.int64) for x in open_key]), pa.array([open_n], pa.int64())], names=["kmer", "cnt"])
 
-    return sorted_kmers.select("kmer").mapInArrow(run, kmer_fields(spec) + ", cnt long")
+    return sorted_kmers.select("kmer", *([weight] if weight else [])).mapInArrow(run, kmer_fields(spec) + ", cnt long")
 
 
 def count_sorted(kmers: DataFrame, spec: CountSpec, sort_mode: str = "spark_radix") -> DataFrame:

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from seqcount.functions import kernel
 from seqcount.functions.alphabet import pack
-from seqcount.functions.scores import score_column, task_column
+from seqcount.functions.scores import lexical_ranks, score_column, task_column
 from seqcount.operators.prepare import kmer_array, kmer_fields, prepare_reads
 from seqcount.spec import CountSpec
 
@@ -108,7 +108,7 @@ def supermers_window(reads: DataFrame, spec: CountSpec) -> DataFrame:
 
 
 def minimizers_arrow(reads: DataFrame, spec: CountSpec, method: str = "block") -> DataFrame:
-    """(read_id, pos, score, mmer_pos) of every k-mer by one of the array methods."""
+    """(read_id, pos, score, mmer_pos) of every k-mer by one of the array methods; ties as ``spec.tie`` says."""
     from seqcount.functions.minimizers import METHODS
 
     find = METHODS[method]
@@ -119,7 +119,11 @@ def minimizers_arrow(reads: DataFrame, spec: CountSpec, method: str = "block") -
             for first, row, place, codes in kernel.groups(batch.column(2)):
                 valid = kernel.window_valid(codes, spec.k)
                 scores = np.minimum(kernel.mmer_scores(codes, spec), 0xFFFFFFFF)
-                least, where = find(scores, spec.w, spec.tie if spec.tie != "lex" else "right")
+                if spec.tie == "lex":
+                    _, where = find(lexical_ranks(scores, kernel.mmer_words(codes, spec)), spec.w, "right")
+                    least = scores[where]
+                else:
+                    least, where = find(scores, spec.w, spec.tie)
                 at = np.flatnonzero(valid)
                 rows = first + row[at]
                 columns = [ids[rows], (offs[rows] + place[at]).astype(np.int32), least[at], (offs[rows] + place[where[at]]).astype(np.int32)]

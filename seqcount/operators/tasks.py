@@ -29,7 +29,8 @@ def assign_tasks(sizes, partitions: int, growth: float = 0.05, policy: str = "gr
     """Partition of each task.
 
     greedy: tasks in order of size go to the first partition that stays within a
-    level, which begins at the mean load and grows until all tasks have a place.
+    level, which begins at the mean load and grows until all tasks have a place; a tree
+    of the most room below each node finds it, so a try takes s log(partitions) steps.
     Others: longest_first (to the emptiest partition), round_robin, modulo.
     """
     sizes = np.asarray(sizes, np.int64)
@@ -59,13 +60,23 @@ def assign_tasks(sizes, partitions: int, growth: float = 0.05, policy: str = "gr
 
 
 def _first_fit(sizes: np.ndarray, order: np.ndarray, partitions: int, level: float) -> np.ndarray | None:
-    load, out = np.zeros(partitions), np.zeros(len(sizes), np.int64)
-    for t in order.tolist():
-        fits = np.flatnonzero(load + sizes[t] <= level)
-        if not len(fits):
+    leaves = 1 << max(0, (partitions - 1).bit_length())
+    room = [-1.0] * (2 * leaves)  # room[1] is the root, the children of i are 2 i and 2 i + 1
+    room[leaves : leaves + partitions] = [float(level)] * partitions
+    for i in range(leaves - 1, 0, -1):
+        room[i] = max(room[2 * i], room[2 * i + 1])
+    out = np.zeros(len(sizes), np.int64)
+    for t, size in zip(order.tolist(), sizes[order].tolist(), strict=True):
+        if room[1] < size:
             return None
-        out[t] = fits[0]
-        load[fits[0]] += sizes[t]
+        i = 1
+        while i < leaves:
+            i = 2 * i if room[2 * i] >= size else 2 * i + 1
+        out[t] = i - leaves
+        room[i] -= size
+        while i > 1:
+            i //= 2
+            room[i] = max(room[2 * i], room[2 * i + 1])
     return out
 
 

@@ -15,8 +15,9 @@ from seqcount.operators.prepare import prepare_reads
 from seqcount.operators.tasks import assign_tasks, heavy_tasks, size_vector
 from seqcount.spec import CountSpec
 
-#: Share of the reads, by a hash of the id, that task sizes are estimated from.
-SIZE_SAMPLE = 1 / 8
+#: Share of the pieces of reads, by a hash of the read and the place, that task sizes are estimated from; bases of a piece.
+#: A long read is many pieces, so a repeat within a single read is seen like one in many.
+SIZE_SAMPLE, SIZE_PIECE = 1 / 8, 1 << 10
 
 
 @dataclass
@@ -27,15 +28,16 @@ class Plan:
     heavy: np.ndarray
     placed: np.ndarray
     partitions: int
+    method: str = "aux_radix"
 
 
 def kmers_per_task(reads: DataFrame, spec: CountSpec, share: float = 1.0) -> np.ndarray:
-    """k-mers of each task over all reads or a share of them by hash; a narrow pass and s sums.
+    """k-mers of each task over all reads, or estimated from a share of their pieces; a narrow pass and s sums.
 
     Sizes count k-mers, not bytes: a tandem repeat is a single supermer of many k-mers.
     """
     if share < 1:
-        reads = reads.where(F.pmod(F.xxhash64("read_id"), F.lit(1 << 16)) < int(share * (1 << 16)))
+        reads = sampled_pieces(reads, spec, share)
 
     def run(batches):
         total = np.zeros(spec.s, np.int64)
@@ -47,20 +49,33 @@ def kmers_per_task(reads: DataFrame, spec: CountSpec, share: float = 1.0) -> np.
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], names=["task", "n"])
 
     part = prepare_reads(reads, spec).mapInArrow(run, "task int, n long")
-    return size_vector(part.groupBy("task").agg(F.sum("n").alias("n_kmers")).collect(), spec.s)
+    sizes = size_vector(part.groupBy("task").agg(F.sum("n").alias("n_kmers")).collect(), spec.s)
+    return np.round(sizes / share).astype(np.int64) if share < 1 else sizes
+
+
+def sampled_pieces(reads: DataFrame, spec: CountSpec, share: float) -> DataFrame:
+    """(read_id, seq): a share of the reads' pieces, by hash; pieces overlap by k - 1, so a window is in one of them."""
+    pieces = F.sequence(F.lit(0), F.floor((F.length("seq") - spec.k) / SIZE_PIECE).cast("int"))
+    taken = F.filter(pieces, lambda i: F.pmod(F.xxhash64(F.col("read_id"), i), F.lit(1 << 16)) < int(share * (1 << 16)))
+    cut = reads.select("read_id", "seq").where(F.length("seq") >= spec.k).select("read_id", F.col("seq").cast("binary").alias("body"), F.explode(taken).alias("piece"))
+    return cut.select("read_id", F.substring("body", F.col("piece") * SIZE_PIECE + 1, F.lit(SIZE_PIECE + spec.k - 1)).cast("string").alias("seq"))
 
 
 def make_plan(reads: DataFrame, spec: CountSpec, partitions: int | None = None, heavy: bool = True, policy: str = "greedy", share: float = SIZE_SAMPLE) -> Plan:
-    """Sizes, heavy tasks, and the partition of each task. A heavy task costs its partition little: it travels as pairs."""
+    """Sizes, heavy tasks, the partition of each task, and the sort for tasks of that size.
+
+    A heavy task costs its partition little: it travels as pairs.
+    """
     partitions = partitions or int(reads.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     sizes = kmers_per_task(reads, spec, share)
     found = heavy_tasks(sizes, spec.heavy_factor) if heavy else np.zeros(0, np.int64)
     load = sizes.copy()
     load[found] = 0
-    return Plan(sizes, found, assign_tasks(load, partitions, spec.growth, policy), partitions)
+    method = counting.choose_sort(int(load.max(initial=0)) * 8 * spec.words, spec.worker_bytes)
+    return Plan(sizes, found, assign_tasks(load, partitions, spec.growth, policy), partitions, method)
 
 
-def count_kmers(reads: DataFrame, spec: CountSpec, partitions: int | None = None, *, heavy: bool = True, policy: str = "greedy", method: str = "inplace",
+def count_kmers(reads: DataFrame, spec: CountSpec, partitions: int | None = None, *, heavy: bool = True, policy: str = "greedy", method: str | None = None,
                 share: float = SIZE_SAMPLE, plan: Plan | None = None, as_spectrum: bool = False, ranged: bool = False, heavy_target: str = "kmer") -> DataFrame:
     """(kmer, cnt) of all k-mers of reads (read_id, seq), or their spectrum (cnt, n_kmers).
 
@@ -68,12 +83,12 @@ def count_kmers(reads: DataFrame, spec: CountSpec, partitions: int | None = None
     they are and travel as (k-mer, count) pairs, dealt by k-mer; everything takes one
     exchange, after which each task is sorted and scanned by itself. Sizes from a share
     of the reads decide only where tasks go and which are heavy: the result is exact for
-    any decision. Null reads, reads shorter than k and windows with other symbols count
+    any decision. The plan chooses the sort by the largest task unless ``method`` names one. Null reads, reads shorter than k and windows with other symbols count
     for nothing; an empty table gives no rows.
     """
     plan = plan or make_plan(reads, spec, partitions, heavy, policy, share)
     blocks = exchange.make_blocks(reads, spec, plan.placed, plan.heavy, plan.partitions, heavy_target=heavy_target)
-    out = counting.count_blocks(exchange.exchange(blocks, plan.partitions), spec, method, as_spectrum, ranged)
+    out = counting.count_blocks(exchange.exchange(blocks, plan.partitions), spec, method or plan.method, as_spectrum, ranged)
     return out.groupBy("cnt").agg(F.sum("n_kmers").alias("n_kmers")) if as_spectrum else out
 
 
@@ -81,10 +96,15 @@ def count_kmers(reads: DataFrame, spec: CountSpec, partitions: int | None = None
 RUNGS = ("supermer_sort", "task_layer", "heavy_tasks")
 
 
-def rung(reads: DataFrame, spec: CountSpec, name: str, partitions: int, per_worker: int = 3, as_spectrum: bool = True) -> DataFrame:
-    """One rung: as many tasks as partitions, dealt modulo; then more tasks, packed by size; then heavy tasks pre-counted."""
+def rung_plan(reads: DataFrame, spec: CountSpec, name: str, partitions: int, per_worker: int = 3) -> tuple[CountSpec, Plan]:
+    """What a rung runs with: as many tasks as partitions, dealt modulo; then more tasks, packed by size; then heavy tasks pre-counted."""
     if name == "supermer_sort":
-        base = spec.but(s=partitions)
-        return count_kmers(reads, base, plan=Plan(np.zeros(partitions), np.zeros(0, np.int64), np.arange(partitions), partitions), as_spectrum=as_spectrum)
+        return spec.but(s=partitions), Plan(np.zeros(partitions), np.zeros(0, np.int64), np.arange(partitions), partitions)
     layered = spec.but(s=max(spec.s, partitions * per_worker))
-    return count_kmers(reads, layered, partitions, heavy=name == "heavy_tasks", as_spectrum=as_spectrum)
+    return layered, make_plan(reads, layered, partitions, heavy=name == "heavy_tasks")
+
+
+def rung(reads: DataFrame, spec: CountSpec, name: str, partitions: int, per_worker: int = 3, as_spectrum: bool = True) -> DataFrame:
+    """One rung of the ladder, counted."""
+    own, plan = rung_plan(reads, spec, name, partitions, per_worker)
+    return count_kmers(reads, own, plan=plan, as_spectrum=as_spectrum)

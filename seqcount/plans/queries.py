@@ -7,16 +7,20 @@ from functools import partial, reduce
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from seqcount.functions.alphabet import bases_to_text, gc, pack, revcomp, text_to_bases, unpack
+from seqcount.functions import sqlapi
+from seqcount.functions.alphabet import bases_to_text, fold_text, gc, pack, revcomp, text_to_bases, unpack
 from seqcount.functions.scores import score_column
 from seqcount.operators import baselines, counting, exchange, index, metrics, sketches
 from seqcount.operators import supermers as sm
 from seqcount.operators.prepare import extract_kmers, extract_kmers_native
-from seqcount.operators.tasks import task_sizes
+from seqcount.operators.tasks import loads, task_sizes
 from seqcount.plans import flagship, sql
+from seqcount.session import new_folder
+from seqcount.sources import fasta, sinks
 from seqcount.sources import reads as src
 from seqcount.sources.sinks import strip_tags
-from seqcount.spec import CountSpec
+from seqcount.spec import SCORES, CountSpec
+from seqcount.streaming import streams
 
 K31 = CountSpec(k=31)
 #: Longer than any read of the given tables, for results that show where chunks end.
@@ -177,10 +181,21 @@ def _(spark, d):
     return task_sizes(sm.build_supermers(src.reads_docs(spark, d), K31)).select("task", "n_kmers")
 
 
-@query("task_balance_by_score", " UNION ALL ".join(_BALANCE.format(s, _SIZES.format(sql.minimizers(K31.but(score=s)))) for s in ("murmur3", "lex", "lex_mod")))
+@query("task_balance_by_score", " UNION ALL ".join(_BALANCE.format(s, _SIZES.format(sql.minimizers(K31.but(score=s)))) for s in SCORES))
 def _(spark, d):
     of = lambda s: metrics.balance_of(task_sizes(sm.build_supermers(src.reads_docs(spark, d), K31.but(score=s)))).withColumn("score", F.lit(s))
-    return reduce(DataFrame.unionByName, map(of, ("murmur3", "lex", "lex_mod")))
+    return reduce(DataFrame.unionByName, map(of, SCORES))
+
+
+_BEST = {"left": "{s: score, p: pos}", "right": "{s: score, p: -pos}", "lex": "{s: score, c: code, p: -pos}"}
+_TIES = f"SELECT * FROM (SELECT min({{best}}) OVER w AS best, count(*) OVER w AS seen FROM ({sql.mmer_scores(K31.but(m=3), sql.reads('small'))}) WINDOW w AS (PARTITION BY read_id ORDER BY pos RANGE BETWEEN CURRENT ROW AND {K31.but(m=3).w - 1} FOLLOWING)) WHERE seen = {K31.but(m=3).w}"
+
+
+@query("minimizer_ties_small", " UNION ALL ".join(f"SELECT '{t}' AS tie, count(*) AS n_kmers, CAST(sum(best.s) AS BIGINT) AS scores, CAST(sum(abs(best.p)) AS BIGINT) AS places FROM ({_TIES.format(best=b)})" for t, b in _BEST.items()))
+def _(spark, d):
+    """Where minimizers lie, of equal scores the first, the last, or the least m-mer's; m = 3 makes many ties."""
+    of = lambda t: sm.minimizers_arrow(src.reads_small(spark, d), K31.but(m=3, tie=t)).agg(F.count("*").alias("n_kmers"), F.sum("score").alias("scores"), F.sum("mmer_pos").alias("places")).withColumn("tie", F.lit(t))
+    return reduce(DataFrame.unionByName, map(of, _BEST))
 
 
 @query(
@@ -196,17 +211,36 @@ def _(spark, d):
     return flagship.count_kmers(src.heavy_reads(spark, d), K31, as_spectrum=True, share=1.0)
 
 
+@query("heavy_default_count", sql.spectrum(sql.counts(31, sql.reads("heavy"))))
+def _(spark, d):
+    return flagship.count_kmers(src.heavy_reads(spark, d), K31, as_spectrum=True)
+
+
+@query("heavy_default_tasks", f"WITH t AS ({_SIZES.format(sql.minimizers(K31, sql.reads('heavy')))}) SELECT CAST(task AS INTEGER) AS task FROM t WHERE n_kmers > 3 * (SELECT avg(n_kmers) FROM t)")
+def _(spark, d):
+    """The heavy tasks that the plan finds by itself, from its sample of pieces."""
+    return spark.createDataFrame([(int(t),) for t in flagship.make_plan(src.heavy_reads(spark, d), K31).heavy], "task int")
+
+
 @query("heavy_supermer_list", sql.spectrum(sql.counts(31, sql.reads("heavy"))))
 def _(spark, d):
     return counting.spectrum(baselines.count_supermer_list(src.heavy_reads(spark, d), K31))
 
 
-@query("task_assignment")
+@query(
+    "task_assignment",
+    f"""WITH t AS ({_SIZES.format(sql.minimizers(K31, sql.reads('heavy')))}), a AS (SELECT unnest(range(0, {K31.s})) AS task), s AS (SELECT a.task, coalesce(n_kmers, 0) AS n_kmers FROM a LEFT JOIN t USING (task))
+SELECT CAST(task AS INTEGER) AS task, n_kmers, n_kmers > 3 * (SELECT avg(n_kmers) FROM s) AS heavy, true AS placed, true AS within FROM s""",
+)
 def _(spark, d):
-    """(task, n_kmers, pid, heavy) as the driver decides it from all reads."""
+    """(task, n_kmers, heavy, placed, within) as the driver decides it from all reads: each has a partition, whose load is near the least level possible."""
     plan = flagship.make_plan(src.heavy_reads(spark, d), K31, partitions=16, share=1.0)
-    heavy = set(plan.heavy.tolist())
-    return spark.createDataFrame([(t, int(n), int(p), t in heavy) for t, (n, p) in enumerate(zip(plan.sizes, plan.placed, strict=True))], "task int, n_kmers long, pid int, heavy boolean")
+    light = plan.sizes.copy()
+    light[plan.heavy] = 0
+    load = loads(light, plan.placed, 16)
+    level, heavy = 1.25 * max(load.mean(), light.max()), set(plan.heavy.tolist())
+    rows = [(t, int(n), t in heavy, 0 <= int(p) < 16, bool(load[p] <= level)) for t, (n, p) in enumerate(zip(plan.sizes, plan.placed, strict=True))]
+    return spark.createDataFrame(rows, "task int, n_kmers long, heavy boolean, placed boolean, within boolean")
 
 
 _BYTES = "SELECT {k} AS k, CAST(sum(n_bases - {k1}) AS BIGINT) AS kmers, CAST(sum(n_bases - {k1}) * {word} AS BIGINT) AS kmer_bytes, count(*) AS supermers, CAST(sum(ceil(n_bases / 4) + 2) AS BIGINT) AS supermer_bytes, round(1 - sum(ceil(n_bases / 4) + 2) / (sum(n_bases - {k1}) * {word}), 6) AS saved FROM ({rows})"
@@ -266,6 +300,9 @@ for _name, _make in (
     ("sort_timsort", partial(baselines.count_hash_exchange_sort, sort_mode="timsort")),
     ("sort_aggregate", partial(baselines.count_hash_exchange_sort, sort_mode="sortagg")),
     ("sort_aux_radix", partial(flagship.count_kmers, method="aux_radix")),
+    ("sort_inplace", partial(flagship.count_kmers, method="inplace")),
+    ("sort_spilling", partial(flagship.count_kmers, method="spark_radix")),
+    ("second_hash", lambda reads, spec: flagship.count_kmers(reads, spec.but(dest="second_hash"))),
     ("merge_last", baselines.count_merge_last),
     ("shared_sort", baselines.count_shared_sort),
     ("shared_sort_disk", partial(baselines.count_shared_sort, ram_only=False)),
@@ -279,6 +316,13 @@ for _name, _make in (
         return counting.spectrum(make(src.reads_docs(spark, d), K31))
 
 
+for _sort in ("inplace", "aux_radix", "spark_radix"):
+
+    @query(f"count_sort_{_sort}_k55", sql.spectrum(sql.counts(55)))
+    def _(spark, d, sort=_sort):
+        return flagship.count_kmers(src.reads_docs(spark, d), CountSpec(k=55), method=sort, as_spectrum=True)
+
+
 @query("count_two_pass", f"SELECT * FROM ({_ONE}) WHERE cnt > 1")
 def _(spark, d):
     return counting.spectrum(baselines.count_two_pass(src.reads_docs(spark, d), K31))
@@ -289,23 +333,35 @@ def _(spark, d):
     return counting.spectrum(flagship.count_kmers(src.reads_docs(spark, d), K31.but(lo=2, hi=1 << 40), ranged=True))
 
 
-@query("count_cbf_bounds")
+@query("count_cbf_bounds", f"SELECT count(*) AS keys, 0::BIGINT AS under, true AS few_over FROM ({sql.counts(31)})")
 def _(spark, d):
-    """Keys, keys counted too low (none) and too high by a counting filter that is small for its data."""
+    """Keys, keys counted too low (none), and whether under one in five is counted too high by a counting filter of 2^22 slots for each partition."""
     docs = src.reads_docs(spark, d)
-    return metrics.over_counts(baselines.count_cbf(docs, K31, slots=1 << 20), baselines.count_dist_hash(docs, K31))
+    found = metrics.over_counts(baselines.count_cbf(docs, K31), baselines.count_dist_hash(docs, K31))
+    return found.select("keys", "under", (F.col("over") < F.col("keys") / 5).alias("few_over"))
 
 
-@query("hll_distinct")
+@query("hll_distinct", f"SELECT count(*) AS exact, true AS close, true AS small FROM ({sql.counts(31)})")
 def _(spark, d):
-    """The estimate of different k-mers, their number, and bytes of the merged sketch."""
+    """The number of different k-mers; whether the sketch's estimate is within 5 % and the sketch under 8 kB."""
     kmers = extract_kmers(src.reads_docs(spark, d), K31)
-    return sketches.distinct_estimate(kmers).join(F.broadcast(kmers.agg(F.count_distinct("kmer").alias("exact"))))
+    both = sketches.distinct_estimate(kmers).join(F.broadcast(kmers.agg(F.count_distinct("kmer").alias("exact"))))
+    return both.select("exact", (F.abs(F.col("estimate") - F.col("exact")) <= 0.05 * F.col("exact")).alias("close"), (F.col("sketch_bytes") < 8192).alias("small"))
 
 
-@query("ablation_same_result", " UNION ALL ".join(f"SELECT '{r}' AS rung, * FROM ({sql.spectrum(sql.counts(31, sql.reads('heavy')))})" for r in flagship.RUNGS))
+@query(
+    "ablation_same_result",
+    f"WITH t AS ({_SIZES.format(sql.minimizers(K31, sql.reads('heavy')))}), h AS (SELECT count(*) AS n FROM t WHERE n_kmers > 3 * (SELECT avg(n_kmers) FROM t)), s AS ({sql.spectrum(sql.counts(31, sql.reads('heavy')))}) "
+    + " UNION ALL ".join(f"SELECT '{r}' AS rung, {'(SELECT n FROM h)' if r == 'heavy_tasks' else '0::BIGINT'} AS heavy, * FROM s" for r in flagship.RUNGS),
+)
 def _(spark, d):
-    of = lambda r: flagship.rung(src.heavy_reads(spark, d), K31, r, 16).withColumn("rung", F.lit(r))
+    """Every rung's spectrum, and the heavy tasks that its plan counts by themselves."""
+
+    def of(name):
+        reads = src.heavy_reads(spark, d)
+        spec, plan = flagship.rung_plan(reads, K31, name, 16)
+        return flagship.count_kmers(reads, spec, plan=plan, as_spectrum=True).select(F.lit(name).alias("rung"), F.lit(len(plan.heavy)).cast("long").alias("heavy"), "cnt", "n_kmers")
+
     return reduce(DataFrame.unionByName, map(of, flagship.RUNGS))
 
 
@@ -434,9 +490,9 @@ def _(spark, d):
     return flagship.count_kmers(src.reads_short(spark, d), K31, as_spectrum=True)
 
 
-@query("coverage_spectrum")
+@query("coverage_spectrum", sql.spectrum(sql.counts(31, sql.reads("cov"))))
 def _(spark, d):
-    """Spectrum of five erroneous copies of every document; errors are drawn by a hash that SQL lacks."""
+    """Spectrum of five erroneous copies of every document."""
     return flagship.count_kmers(src.reads_cov(spark, d, 5, 0.005), K31, as_spectrum=True)
 
 
@@ -566,16 +622,19 @@ def _(spark, d):
     return maps.select("read_id", F.explode("profile").alias("kmer", "n"))
 
 
-@query("read_jaccard_small", f"""WITH m AS (SELECT DISTINCT read_id, score FROM ({sql.minimizers(K31, sql.reads('small'))})), c AS (SELECT read_id, count(*) AS n FROM m GROUP BY read_id),
-p AS (SELECT a.read_id AS read_a, b.read_id AS read_b, count(*) AS common FROM m a JOIN m b ON a.score = b.score AND a.read_id < b.read_id GROUP BY ALL)
+@query("read_jaccard", f"""WITH m AS (SELECT DISTINCT read_id, score FROM ({sql.minimizers(K31)})), k AS (SELECT read_id, score FROM m JOIN (SELECT score FROM m GROUP BY score HAVING count(*) <= {K31.hi}) USING (score)),
+c AS (SELECT read_id, count(*) AS n FROM k GROUP BY read_id), p AS (SELECT a.read_id AS read_a, b.read_id AS read_b, count(*) AS common FROM k a JOIN k b ON a.score = b.score AND a.read_id < b.read_id GROUP BY ALL)
 SELECT read_a, read_b, common, round(common / (x.n + y.n - common), 6) AS jaccard FROM p JOIN c x ON x.read_id = read_a JOIN c y ON y.read_id = read_b""")
 def _(spark, d):
-    """Similarity of reads by their sets of minimizers."""
-    sets = sm.minimizers_arrow(src.reads_small(spark, d), K31).select("read_id", "score").distinct()
-    sizes = sets.groupBy("read_id").agg(F.count("*").alias("n"))
-    a, b = sets.withColumnRenamed("read_id", "read_a"), sets.withColumnRenamed("read_id", "read_b")
-    pairs = a.join(b, "score").where("read_a < read_b").groupBy("read_a", "read_b").agg(F.count("*").alias("common"))
-    named = pairs.join(sizes.toDF("read_a", "x"), "read_a").join(sizes.toDF("read_b", "y"), "read_b")
+    """Similarity of reads by their sets of minimizers, of which those in more than spec.hi reads say nothing, as in the index: so no key pairs more."""
+    sets = sm.minimizers_arrow(src.reads_docs(spark, d), K31).select("read_id", "score").distinct()
+    rare = sets.groupBy("score").agg(F.count("*").alias("reads")).where(F.col("reads") <= K31.hi).select("score")
+    kept = sets.join(rare, "score")
+    sizes = kept.groupBy("read_id").agg(F.count("*").alias("n"))
+    lists = kept.groupBy("score").agg(F.array_sort(F.collect_list("read_id")).alias("reads")).where(F.size("reads") > 1)
+    pairs = lists.select(F.explode(F.flatten(F.transform("reads", lambda a: F.transform(F.filter("reads", lambda b: b > a), lambda b: F.struct(a.alias("read_a"), b.alias("read_b")))))).alias("p"))
+    common = pairs.groupBy("p.read_a", "p.read_b").agg(F.count("*").alias("common"))
+    named = common.join(sizes.toDF("read_a", "x"), "read_a").join(sizes.toDF("read_b", "y"), "read_b")
     return named.select("read_a", "read_b", "common", F.round(F.col("common") / (F.col("x") + F.col("y") - F.col("common")), 6).alias("jaccard"))
 
 
@@ -586,6 +645,163 @@ def _(spark, d):
     return by.withColumn("prefix", unpack(F.col("prefix"), 4))
 
 
+@query("sketch_bounds", f"WITH c AS ({sql.counts(31)}) SELECT count(*) AS keys, true AS theta_close, true AS quantile_close, true AS frequent_first FROM c")
+def _(spark, d):
+    """Further sketches against exact counts: distinct keys by a theta sketch, the median count by a quantile sketch, the top key by frequent items."""
+    counts = flagship.count_kmers(src.reads_docs(spark, d), K31).withColumn("key", F.xxhash64("kmer"))
+    exact = counts.agg(F.count("*").alias("keys"), F.expr("theta_sketch_estimate(theta_sketch_agg(key))").alias("theta"), F.expr("kll_sketch_get_quantile_bigint(kll_sketch_agg_bigint(cnt), 0.5)").alias("mid"),
+                        F.expr("percentile_disc(0.5) within group (order by cnt)").alias("median"), F.expr("approx_top_k(least(cnt, 3), 1)[0].item").alias("often"), F.expr("mode(least(cnt, 3))").alias("mode"))
+    return exact.select("keys", (F.abs(F.col("theta") - F.col("keys")) <= 0.05 * F.col("keys")).alias("theta_close"), (F.abs(F.col("mid") - F.col("median")) <= 1).alias("quantile_close"), (F.col("often") == F.col("mode")).alias("frequent_first"))
+
+
+# --- files, SQL functions and streams, each against the batch result
+
+
+def _kept(spark, name: str, write) -> DataFrame:
+    """What ``write`` leaves in a new folder of the work folder."""
+    return write(new_folder(spark, name))
+
+
+@query("fasta_roundtrip", f"SELECT read_id, length(seq) AS n, md5(seq) AS seq_md5 FROM ({sql.reads('small')}) WHERE length(seq) > 0")
+def _(spark, d):
+    def through(path):
+        fasta.write_fasta(src.reads_small(spark, d), path)
+        return fasta.read_fasta(spark, path)
+
+    return _kept(spark, "fasta", through).where("length(seq) > 0").select("read_id", F.length("seq").cast("long").alias("n"), F.md5("seq").alias("seq_md5"))
+
+
+@query("seqfile_source", f"SELECT CAST(read_id AS VARCHAR) AS name, length(seq) AS n, md5(seq) AS seq_md5 FROM ({sql.reads('small')}) WHERE length(seq) > 0")
+def _(spark, d):
+    def through(path):
+        fasta.write_fasta(src.reads_small(spark, d), path)
+        fasta.register(spark)
+        return spark.read.format("seqfile").option("kind", "fasta").option("splitBytes", 4096).load(path.removeprefix("file:"))
+
+    return _kept(spark, "seqfile", through).where("length(seq) > 0").select("name", F.length("seq").cast("long").alias("n"), F.md5("seq").alias("seq_md5"))
+
+
+@query("counts_sink", f"SELECT kmer, cnt FROM ({sql.counts(31, sql.reads('small'))})")
+def _(spark, d):
+    def through(path):
+        sinks.write_counts(flagship.count_kmers(src.reads_small(spark, d), K31), path, groups=8)
+        return sinks.read_counts(spark, path)
+
+    return decoded(_kept(spark, "counts", through), 31)
+
+
+@query("spectrum_sink", _ONE)
+def _(spark, d):
+    def through(path):
+        sinks.write_spectrum(flagship.count_kmers(src.reads_docs(spark, d), K31, as_spectrum=True), path)
+        return spark.read.option("header", True).schema("cnt long, n_kmers long").csv(path)
+
+    return _kept(spark, "spectrum", through)
+
+
+@query("count_in_waves", _ONE)
+def _(spark, d):
+    """Blocks kept by wave and exchanged a wave at a time: what an exchange too wide for one go does."""
+    reads = src.reads_docs(spark, d)
+    plan = flagship.make_plan(reads, K31)
+
+    def through(path):
+        sinks.write_blocks(exchange.make_blocks(reads, K31, plan.placed, plan.heavy, plan.partitions), path, 3)
+        waves = [counting.count_blocks(sinks.read_wave(spark, path, w, plan.partitions), K31, plan.method, as_spectrum=True) for w in range(3)]
+        return reduce(DataFrame.unionByName, waves).groupBy("cnt").agg(F.sum("n_kmers").alias("n_kmers"))
+
+    return _kept(spark, "blocks", through)
+
+
+@query("sql_table_function", f"SELECT kmer, count(*) AS cnt FROM ({sql.kmers(31, sql.reads('small'))}) GROUP BY kmer")
+def _(spark, d):
+    sqlapi.register_all(spark, d)
+    return decoded(spark.sql("SELECT k.kmer, count(*) AS cnt FROM reads_small, LATERAL kmers(seq, 31) k GROUP BY k.kmer"), 31)
+
+
+@query("sql_supermer_function", f"SELECT CAST(task AS INTEGER) AS task, count(*) AS supermers, CAST(sum(n_bases) AS BIGINT) AS bases FROM ({sql.supermers(K31, sql.reads('small'))}) GROUP BY task")
+def _(spark, d):
+    sqlapi.register_all(spark, d)
+    return spark.sql(f"SELECT s.task, count(*) AS supermers, sum(length(s.bases)) AS bases FROM reads_small, LATERAL supermers(seq, {K31.k}, {K31.m}, {K31.s}, 'murmur3') s GROUP BY s.task")
+
+
+@query("sql_scalar_functions", f"SELECT read_id, count(*) AS n, CAST(sum(score) AS BIGINT) AS scores, CAST(sum(code % 1000003) AS BIGINT) AS words FROM ({sql.mmer_scores(K31, sql.reads('small'))}) GROUP BY read_id")
+def _(spark, d):
+    sqlapi.register_all(spark, d)
+    rows = spark.sql(f"SELECT read_id, mmer_scores(seq, {K31.m}) AS s, pack_kmers(seq, {K31.m}) AS w FROM reads_small").where("size(s) > 0")
+    total = lambda c, f: F.aggregate(c, F.lit(0).cast("long"), lambda a, x: a + f(x))
+    return rows.select("read_id", F.size("s").cast("long").alias("n"), total("s", lambda x: x).alias("scores"), total("w", lambda x: x % 1000003).alias("words"))
+
+
+@query("sql_spectrum_aggregate", f"SELECT read_id, cnt, count(*) AS n_kmers FROM (SELECT read_id, kmer, count(*) AS cnt FROM ({sql.kmers(5, sql.reads('small'))}) GROUP BY ALL) GROUP BY ALL")
+def _(spark, d):
+    sqlapi.register_all(spark, d)
+    return spark.sql("SELECT read_id, inline(spectrum_of(k.kmer)) FROM reads_small, LATERAL kmers(seq, 5) k GROUP BY read_id")
+
+
+def _streamed(spark, d, name: str) -> DataFrame:
+    """A table as a stream of files."""
+    return spark.readStream.schema(src.table(spark, d, name).schema).parquet(f"{d}/{name}.parquet")
+
+
+def _drained(spark, stream: DataFrame, mode: str) -> DataFrame:
+    """What a stream has given once all that is there has been read."""
+    path = new_folder(spark, "stream")
+
+    def keep(batch, number):
+        batch.write.mode("overwrite").parquet(f"{path}/out" if mode == "complete" else f"{path}/out/batch={number}")
+
+    stream.writeStream.outputMode(mode).foreachBatch(keep).option("checkpointLocation", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    out = spark.read.parquet(f"{path}/out")
+    return out if mode == "complete" else out.drop("batch")
+
+
+def _streamed_small(spark, d) -> DataFrame:
+    return _streamed(spark, d, "benchmark").select(F.col("item_id").alias("read_id"), fold_text(F.col("text")).alias("seq"))
+
+
+@query("stream_running_counts", f"SELECT kmer, cnt FROM ({sql.counts(31, sql.reads('small'))})")
+def _(spark, d):
+    return decoded(_drained(spark, streams.running_counts(_streamed_small(spark, d), K31), "complete"), 31)
+
+
+@query("stream_merged_counts", f"SELECT kmer, cnt FROM ({sql.counts(31, sql.reads('small'))})")
+def _(spark, d):
+    path = new_folder(spark, "merged")
+    streams.merge_batches(_streamed_small(spark, d), K31, f"{path}/parts", f"{path}/state").trigger(availableNow=True).start().awaitTermination()
+    return decoded(streams.merged_counts(spark, f"{path}/parts"), 31)
+
+
+@query("stream_windows", "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL")
+def _(spark, d):
+    return _drained(spark, streams.windowed(_streamed(spark, d, "events")), "complete").withColumn("total", F.round("total", 4))
+
+
+@query("stream_sessions", SQL["event_sessions"])
+def _(spark, d):
+    return _drained(spark, streams.sessions(_streamed(spark, d, "events")), "complete")
+
+
+@query("stream_distinct", "SELECT DISTINCT event_type || ':' || user_id AS seq FROM events")
+def _(spark, d):
+    rows = _streamed(spark, d, "events").select(F.concat_ws(":", "event_type", "user_id").alias("seq"), "ts")
+    return _drained(spark, streams.distinct_reads(rows, "3650 days").select("seq"), "append")
+
+
+@query("stream_reliable_hits", f"WITH c AS (SELECT kmer, cnt FROM ({sql.counts(31)}) WHERE cnt BETWEEN 2 AND 50) SELECT read_id, count(*) AS hits, CAST(sum(cnt) AS BIGINT) AS seen FROM ({sql.kmers(31, sql.reads('small'))}) JOIN c USING (kmer) GROUP BY read_id")
+def _(spark, d):
+    known = flagship.count_kmers(src.reads_docs(spark, d), K31, ranged=True)
+    return _drained(spark, streams.reliable_hits(_streamed_small(spark, d), known, K31), "append").groupBy("read_id").agg(F.count("*").alias("hits"), F.sum("cnt").alias("seen"))
+
+
+@query("stream_user_kmers", f"SELECT kmer, count(*) AS cnt FROM ({sql.kmers(5, _EVENTS)}) GROUP BY kmer")
+def _(spark, d):
+    base = reduce(lambda c, kv: c.when(F.col("event_type") == kv[0], kv[1]), src.EVENT_BASES.items(), F.when(F.lit(False), "N")).otherwise("N")
+    symbols = _streamed(spark, d, "events").select("user_id", F.struct("ts", "event_id").alias("at"), base.alias("base"))
+    flat = symbols.select("user_id", (F.unix_micros("at.ts") * 1000 + F.pmod("at.event_id", F.lit(1000))).alias("at"), "base")
+    return _drained(spark, streams.user_kmers(flat, 5), "append").where("kmer not like '%N%'").groupBy("kmer").agg(F.count("*").alias("cnt"))
+
+
 def flagship_entry(spark, d) -> DataFrame:
     """The spectrum of all documents at k = 31 by the whole method."""
     return QUERIES["kmer_spectrum_k31"](spark, d)

@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from seqcount.functions.alphabet import FOLD_FROM, FOLD_TO
-from seqcount.sources.reads import EVENT_BASES
+from seqcount.functions.scores import PRIME, _coefficients
+from seqcount.sources.reads import DRAW_COPY, DRAW_MIX, DRAW_PLACE, DRAW_PRIME, DRAW_READ, EVENT_BASES
 from seqcount.spec import CountSpec
 
 _WORD = 4294967295
@@ -22,6 +23,13 @@ def reads(view: str = "docs") -> str:
         return docs
     if view == "heavy":
         return f"{docs} UNION ALL SELECT -1, repeat('ACTTG', 20000)"
+    if view == "cov":
+        start = f"(read_id % {DRAW_PRIME}) * {DRAW_READ} + copy * {DRAW_COPY}"
+        mixed = f"((((start % {DRAW_PRIME}) + i * {DRAW_PLACE}) % {DRAW_PRIME}) * {DRAW_MIX}) % {DRAW_PRIME}"
+        drawn = f"(({mixed}) * ({mixed}) + ({mixed}) * {DRAW_READ} + i) % {DRAW_PRIME}"
+        base = f"CASE WHEN {drawn} < {int(0.005 * DRAW_PRIME)} THEN substr('ACGT', CAST(({drawn}) % 4 + 1 AS BIGINT), 1) ELSE x END"
+        copies = f"SELECT read_id, copy, {start} AS start, seq FROM ({docs}), (SELECT unnest(range(0, 5)) AS copy)"
+        return f"SELECT read_id * 5 + copy AS read_id, array_to_string(list_transform(string_split(seq, ''), lambda x, i: {base}), '') AS seq FROM ({copies})"
     if view == "pages":
         return f"SELECT page_id AS read_id, {fold('html')} AS seq FROM pages"
     if view == "small":
@@ -82,6 +90,9 @@ def mmer_scores(spec: CountSpec, source: str | None = None) -> str:
     if spec.score == "lex_mod":
         late = "substr(word, 1, 3) IN ('AAA', 'ACA') OR contains(substr(word, 2), 'AA')"
         return f"SELECT read_id, pos, mmer AS code, CASE WHEN {late} THEN mmer + {1 << (2 * m)} ELSE mmer END AS score FROM ({base})"
+    if spec.score in ("arith", "universal"):
+        a, b = _coefficients(spec.score, spec.seed)
+        return f"SELECT read_id, pos, mmer AS code, CAST(({a} * CAST(mmer % {PRIME} AS HUGEINT) + {b}) % {PRIME} AS BIGINT) AS score FROM ({base})"
     raise ValueError(spec.score)
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import functools
 import os
 import tempfile
+import uuid
 import zipfile
 from collections.abc import Callable
 
@@ -28,6 +29,31 @@ def ship(spark: SparkSession) -> None:
     sc._seqcount_shipped = True
 
 
+def work_folder(spark: SparkSession) -> str:
+    """The folder that the driver and all executors see, without a trailing slash.
+
+    It's the checkpoint folder of the context, else the one that spark.checkpoint.dir names. Only a
+    session whose executors are threads of the driver may do without and gets a temporary one.
+    """
+    sc = spark.sparkContext
+    if sc.getCheckpointDir() is None:
+        named = spark.conf.get("spark.checkpoint.dir", None)
+        if not named and not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors see")
+        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="seqcount-checkpoint-"))
+    return sc.getCheckpointDir().rstrip("/")
+
+
+def new_folder(spark: SparkSession, name: str) -> str:
+    """A path in the work folder that nothing has yet."""
+    return f"{work_folder(spark)}/{name}-{uuid.uuid4().hex}"
+
+
+def delete_folder(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+
+
 def shipped(query: Callable) -> Callable:
     """A query (spark, ...) that sees to it that workers have the library."""
 

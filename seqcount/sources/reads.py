@@ -78,27 +78,30 @@ def reads_events(spark, sf_dir) -> DataFrame:
     return steps.select(F.col("user_id").alias("read_id"), F.array_join(F.transform("steps", lambda s: s["base"]), "").alias("seq"))
 
 
+#: A prime below 2^31 and the multipliers of the draws of ``mutated``, in numbers that SQL has too.
+DRAW_PRIME, DRAW_READ, DRAW_COPY, DRAW_PLACE, DRAW_MIX = 2_147_483_629, 48_271, 1_566_083, 69_621, 16_807
+
+
 def mutated(reads: DataFrame, copies: int, error: float) -> DataFrame:
-    """``copies`` of each read with substitutions at a rate of ``error``, fixed by a hash of (read, copy, place)."""
+    """``copies`` of each read with substitutions at a rate of ``error``, fixed by a draw for each (read, copy, place)."""
     copy = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")
     out = reads.select("read_id", copy, "seq")
-    limit = int(error * (1 << 20))
+    prime = F.lit(DRAW_PRIME).cast("long")
+    start = F.pmod(F.pmod(F.col("read_id"), prime) * DRAW_READ + F.col("copy") * DRAW_COPY, prime)
+    mixed = lambda i: F.pmod(F.pmod(F.col("start") + i.cast("long") * DRAW_PLACE, prime) * DRAW_MIX, prime)
+    draw = lambda i: F.pmod(mixed(i) * mixed(i) + mixed(i) * DRAW_READ + i, prime)
     places = F.transform(
-        F.filter(
-            F.transform(F.sequence(F.lit(1), F.greatest(F.length("seq"), F.lit(1))), lambda i: F.struct(i.alias("i"), F.xxhash64(F.col("read_id"), F.col("copy"), i).alias("h"))),
-            lambda p: F.shiftrightunsigned(p["h"], 44) < limit,
-        ),
-        lambda p: p,
+        F.filter(F.transform(F.sequence(F.lit(1), F.greatest(F.length("seq"), F.lit(1))), lambda i: F.struct(i.alias("i"), draw(i).alias("h"))), lambda p: p["h"] < int(error * DRAW_PRIME)),
+        lambda p: F.struct(p["i"].alias("i"), F.element_at(F.array(*[F.lit(b) for b in "ACGT"]), (F.pmod(p["h"], F.lit(4)) + 1).cast("int")).alias("base")),
     )
     # bases between substitutions are kept as slices, so the work per read is linear in its length
-    base = lambda p: F.element_at(F.array(*[F.lit(b) for b in "ACGT"]), (F.pmod(p["h"], F.lit(4)) + 1).cast("int"))
     body = F.aggregate(
         "places",
         F.struct(F.lit(1).alias("at"), F.array().cast("array<string>").alias("parts")),
-        lambda acc, p: F.struct((p["i"] + 1).alias("at"), F.concat(acc["parts"], F.array(F.substring(F.col("body"), acc["at"], p["i"] - acc["at"]).cast("string"), base(p))).alias("parts")),
+        lambda acc, p: F.struct((p["i"] + 1).alias("at"), F.concat(acc["parts"], F.array(F.substring(F.col("body"), acc["at"], p["i"] - acc["at"]).cast("string"), p["base"])).alias("parts")),
         lambda acc: F.concat(F.array_join(acc["parts"], ""), F.substring(F.col("body"), acc["at"], F.length("body")).cast("string")),
     )
-    placed = out.withColumn("places", places).withColumn("body", F.col("seq").cast("binary"))
+    placed = out.withColumn("start", start).withColumn("places", places).withColumn("body", F.col("seq").cast("binary"))
     return placed.select((F.col("read_id") * copies + F.col("copy")).alias("read_id"), F.when(F.length("seq") > 0, body).otherwise("").alias("seq"))
 
 

@@ -26,9 +26,12 @@ class CountSpec:
     """How reads are cut, scored, routed and counted; never inferred from data.
 
     k, m: lengths. s: tasks. lo, hi: inclusive frequency range. break_on: what ends a
-    supermer. tie: which of equal scores is named as the minimizer (routing doesn't
-    depend on it). heavy_factor: a task above it times the mean is heavy. chunk: bases
+    supermer. tie: which of equal scores is named as the minimizer: the first or last, or
+    with 'lex' that of the least m-mer, of equal ones the last. dest: what a k-mer's task
+    is made from: 'score', the least score itself, or 'second_hash', another hash of the
+    minimizer, whose ties then are lexical, so that equal k-mers agree. heavy_factor: a task above it times the mean is heavy. chunk: bases
     that one row of a long read keeps. block_bytes: payload of a supermer block.
+    worker_bytes: memory that the keys of a task may take while they're sorted.
     """
 
     k: int = 31
@@ -37,6 +40,7 @@ class CountSpec:
     score: str = "murmur3"
     seed: int = 42
     tie: str = "right"
+    dest: str = "score"
     break_on: str = "task"
     canonical: bool = False
     lo: int = 2
@@ -45,6 +49,7 @@ class CountSpec:
     growth: float = 0.05
     chunk: int = 1 << 16
     block_bytes: int = 80_000
+    worker_bytes: int = 1 << 30
 
     def __post_init__(self):
         if self.m is None:
@@ -57,6 +62,8 @@ class CountSpec:
             raise ValueError("s and lo must be positive, hi at least lo")
         if self.score not in SCORES or self.tie not in ("left", "right", "lex") or self.break_on not in ("task", "minimizer"):
             raise ValueError("unknown score, tie or break_on")
+        if self.dest not in ("score", "second_hash"):
+            raise ValueError("unknown dest")
         if self.chunk < 4 * self.k:
             raise ValueError("chunk must hold several k-mers")
 

@@ -2,49 +2,40 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from seqcount.session import delete_folder, new_folder, work_folder
+
 #: A broadcast of counted rows is used up to this many rows; beyond it the join shuffles.
 BROADCAST_ROWS = 2_000_000
+#: Rows of narrow tables that a task takes at least, if there are so many.
+TASK_ROWS = 1 << 16
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
     """Cut the lineage with a reliable checkpoint in the folder the session names."""
-    sc = df.sparkSession.sparkContext
-    if sc.getCheckpointDir() is None:
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="seqcount-checkpoint-"))
+    work_folder(df.sparkSession)
     return df.checkpoint()
 
 
+def few(df: DataFrame, rows: int) -> DataFrame:
+    """A narrow frame of about so many rows in no more partitions than these fill, so that small tables don't become many small files."""
+    return df.coalesce(max(1, -(-rows // TASK_ROWS)))
+
+
 def written(df: DataFrame) -> tuple[DataFrame, str]:
     """The frame as a table in the shared folder, and its path.
 
     For loops: a checkpoint keeps the size estimate of the plan that it cut off, and
     these multiply from join to join; a table has the size of its files.
     """
-    path = f"{shared_folder(df.sparkSession)}/table-{uuid.uuid4().hex}"
+    path = new_folder(df.sparkSession, "table")
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path), path
 
 
-def discard(spark: SparkSession, path: str) -> None:
-    """Delete a table of ``written`` that nothing reads any more."""
-    where = spark._jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder that the driver and all executors see, without a trailing slash."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        named = spark.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(named or tempfile.mkdtemp(prefix="seqcount-checkpoint-"))
-    return sc.getCheckpointDir().rstrip("/")
+discard, shared_folder = delete_folder, work_folder
 
 
 def shuffle_parts(spark: SparkSession) -> int:

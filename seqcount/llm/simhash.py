@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqcount.llm.common import BROADCAST_ROWS, checkpointed, discard, join_by_weight, text_fingerprint, without_rows, written
+from seqcount.llm.common import BROADCAST_ROWS, checkpointed, discard, few, join_by_weight, text_fingerprint, without_rows, written
 from seqcount.llm.shingles import BITS, bit_counts, majority, parts_of
 
 SHINGLE_WORDS, SEGMENTS, RADIUS = 3, 2, 2
@@ -119,7 +119,7 @@ def _split(rows: DataFrame, widths: list[int], parts: int, radius: int | None) -
 
 
 def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> DataFrame:
-    """(one, two): every pair of different fingerprints (fp) within ``radius`` bits, checkpointed.
+    """(one, two): every pair within ``radius`` bits of a table of different fingerprints (fp), checkpointed.
 
     Each fingerprint is in one table for each segment, under the segment's value. It
     asks for the values in a small Hamming ball around its own: by the pigeonhole
@@ -133,7 +133,8 @@ def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> Dat
     """
     if radius < 0 or not 1 <= segments <= BITS:
         raise ValueError("radius must not be negative, segments must be 1 to 64")
-    start = fps.where("fp is not null").selectExpr("0L as node", "fp", "fp as rest", f"{BITS} as width").distinct()
+    total = fps.count()
+    start = few(fps, 8 * total).where("fp is not null").selectExpr("0L as node", "fp", "fp as rest", f"{BITS} as width")
     table, probes = start, start.withColumn("left", F.lit(radius))
     widths, parts, found = [BITS], segments, None
     while widths:
@@ -141,18 +142,19 @@ def links(fps: DataFrame, radius: int = RADIUS, segments: int = SEGMENTS) -> Dat
         widths = sorted({w - n for w in widths for _, n in segments_of(w, parts)} - {0})
         if found is None:
             table = checkpointed(table)
-        crowded = checkpointed(table.groupBy("node").agg(F.count("*").alias("n"), F.max("width").alias("w")).where((F.col("n") > KEY_ROWS) & (F.col("w") > 0)).select("node"))
+        counts = table.groupBy("node").agg(F.count("*").alias("n"), F.max("width").alias("w"))
+        crowded = checkpointed(few(counts.where((F.col("n") > KEY_ROWS) & (F.col("w") > 0)).select("node"), total))
         n_crowded = crowded.count()
-        few = F.broadcast(crowded) if n_crowded <= BROADCAST_ROWS else crowded
-        calm = (lambda d: d.join(few, "node", "left_anti")) if n_crowded else (lambda d: d)  # noqa: B023
+        named = F.broadcast(crowded) if n_crowded <= BROADCAST_ROWS else crowded
+        calm = (lambda d: d.join(named, "node", "left_anti")) if n_crowded else (lambda d: d)  # noqa: B023
         met = calm(probes).select("node", F.col("fp").alias("one")).join(calm(table).select("node", F.col("fp").alias("two")), "node")
         near = met.where((F.col("one") < F.col("two")) & (F.bit_count(F.col("one").bitwiseXOR(F.col("two"))) <= radius)).select("one", "two")
         found = near if found is None else found.unionByName(near)
         if not n_crowded:
             break
-        table, probes = checkpointed(table.join(few, "node", "left_semi")), checkpointed(probes.join(few, "node", "left_semi"))
+        table, probes = checkpointed(table.join(named, "node", "left_semi")), checkpointed(probes.join(named, "node", "left_semi"))
         parts = 2
-    return checkpointed(found.distinct())
+    return checkpointed(few(found.distinct(), 16 * total))
 
 
 def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
@@ -165,18 +167,20 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
     """
     spark = nodes.sparkSession
     both = checkpointed(edges.unionByName(edges.select(F.col("two").alias("one"), F.col("one").alias("two"))))
+    n_both = both.count()
+    both = few(both, n_both)
     degrees = both.groupBy(F.col("one").alias("fp")).agg(F.count("*").alias("degree"))
     label = F.struct(F.col("least").isNull().alias("none"), F.col("least"), F.col("fp"))
-    state, path = written(nodes.join(degrees, "fp").select("fp", "degree", label.alias("label")))
-    total, n_both = state.count(), both.count()
+    state, path = written(few(nodes.join(degrees, "fp").select("fp", "degree", label.alias("label")), n_both))
+    total = state.count()
     while total:
         around = join_by_weight(both, state.select(F.col("fp").alias("two"), "label", "degree"), ["two"], "degree", n_both)
         near = around.groupBy(F.col("one").alias("fp")).agg(F.min("label").alias("near"))
         least = F.least("label", F.coalesce("near", "label"))
-        lower, middle = written(state.join(near, "fp", "left").select("fp", "degree", F.col("label").alias("was"), least.alias("label"), least.getField("fp").alias("root")))
+        lower, middle = written(few(state.join(near, "fp", "left").select("fp", "degree", F.col("label").alias("was"), least.alias("label"), least.getField("fp").alias("root")), total))
         named = lower.groupBy("root").agg(F.count("*").alias("n")).join(lower.select(F.col("fp").alias("root"), F.col("label").alias("up")), "root")
         jumped = join_by_weight(lower, named, ["root"], "n", total).select("fp", "degree", "was", F.least("label", F.coalesce("up", "label")).alias("label"))
-        state, fresh_path = written(jumped)
+        state, fresh_path = written(few(jumped, total))
         discard(spark, path)
         discard(spark, middle)
         path = fresh_path
@@ -190,10 +194,11 @@ def components(edges: DataFrame, nodes: DataFrame) -> DataFrame:
 
 def _grouped(rows: DataFrame, radius: int) -> DataFrame:
     """(fp, n, least, root) of the fingerprints whose group has several rows; root is the group's own fingerprint."""
-    nodes = checkpointed(rows.groupBy("fp").agg(F.min("rid").alias("least"), F.count("*").alias("n")))
+    total = rows.count()
+    nodes = checkpointed(few(rows.groupBy("fp").agg(F.min("rid").alias("least"), F.count("*").alias("n")), total))
     found = components(links(nodes.select("fp"), radius), nodes).withColumnRenamed("least", "reached")
     known = nodes.join(found, "fp", "left").where("n > 1 or reached is not null or root is not null")
-    return checkpointed(known.select("fp", "n", F.coalesce("reached", "least").alias("least"), F.coalesce("root", "fp").alias("root")))
+    return checkpointed(few(known.select("fp", "n", F.coalesce("reached", "least").alias("least"), F.coalesce("root", "fp").alias("root")), total))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SHINGLE_WORDS, radius: int = RADIUS) -> DataFrame:
@@ -271,7 +276,8 @@ def _prints_and_keys(texts: pa.Array, words: int) -> tuple[np.ndarray, pa.Array]
 def shingle_sets(rows: DataFrame, uids: DataFrame, texts: DataFrame, words: int) -> DataFrame:
     """(uid, shingles) of those rows, from a second reading of the texts (rid, tfp, text), which needn't number rows as the first did."""
     wanted = checkpointed(rows.join(uids, "uid", "left_semi").select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")))
-    few = F.broadcast(wanted) if wanted.count() <= BROADCAST_ROWS else wanted
+    n = wanted.count()
+    known = F.broadcast(wanted) if n <= BROADCAST_ROWS else wanted
 
     def run(batches):
         for batch in batches:
@@ -280,8 +286,8 @@ def shingle_sets(rows: DataFrame, uids: DataFrame, texts: DataFrame, words: int)
             flat = np.concatenate(sets).view(np.int64) if sets else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(sizes, pa.int32()), pa.array(flat))], names=["uid", "shingles"])
 
-    found = texts.join(few, F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp")))
-    return checkpointed(found.select("uid", "text").mapInArrow(run, "uid long, shingles array<long>").dropDuplicates(["uid"]))
+    found = texts.join(known, F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp")))
+    return checkpointed(few(found.select("uid", "text").mapInArrow(run, "uid long, shingles array<long>").dropDuplicates(["uid"]), 32 * n))
 
 
 def _with_degree(pairs: DataFrame) -> DataFrame:
@@ -294,7 +300,7 @@ def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     total = pairs.count()
     named = sets.join(_with_degree(pairs), "uid").select(F.col("uid").alias("two"), "n", F.col("shingles").alias("b"))
     left = join_by_weight(pairs, named.select(F.col("two").alias("one"), "n", F.col("b").alias("a")), ["one"], "n", total).drop("n")
-    full = join_by_weight(checkpointed(left), named, ["two"], "n", total)
+    full = join_by_weight(checkpointed(few(left, 32 * total)), named, ["two"], "n", total)
     common = F.size(F.array_intersect("a", "b"))
     return full.where(common >= similarity * (F.size("a") + F.size("b") - common)).select("one", "two")
 
@@ -307,11 +313,11 @@ def similar_pairs(rows: DataFrame, texts: DataFrame, words: int, similarity: flo
     rest of them. Similarities are exact, over whole texts, which only rows with a
     partner need.
     """
-    keyed = rows.select("uid", F.explode("keys").alias("key"))
-    shared = checkpointed(keyed.groupBy("key").agg(F.min("uid").alias("first"), F.max("uid").alias("last"), F.count("*").alias("n")).where("n > 1"))
-    ends = checkpointed(join_by_weight(keyed, shared, ["key"], "n", rows.count() * SKETCH_PARTS).where("n is not null"))
+    keyed, n_keys = rows.select("uid", F.explode("keys").alias("key")), rows.count() * SKETCH_PARTS
+    shared = checkpointed(few(keyed.groupBy("key").agg(F.min("uid").alias("first"), F.max("uid").alias("last"), F.count("*").alias("n")).where("n > 1"), n_keys))
+    ends = checkpointed(few(join_by_weight(keyed, shared, ["key"], "n", n_keys).where("n is not null"), n_keys))
     both = ends.select("uid", F.explode(F.array("first", "last")).alias("end")).where("uid <> end")
-    pairs = checkpointed(both.select(F.least("uid", "end").alias("one"), F.greatest("uid", "end").alias("two")).distinct())
+    pairs = checkpointed(few(both.select(F.least("uid", "end").alias("one"), F.greatest("uid", "end").alias("two")).distinct(), n_keys))
     sets = shingle_sets(rows, _with_degree(pairs).select("uid"), texts, words)
     return verified(pairs, sets, similarity), ends.where("n > 2").select("uid", "key"), sets
 
@@ -375,13 +381,13 @@ def compared(cells: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
         if held:
             yield links_of(held)
 
-    return checkpointed(full.mapInArrow(run, "one long, two long"))
+    return checkpointed(few(full.mapInArrow(run, "one long, two long"), 32 * sets.count()))
 
 
 def _merged(found: DataFrame, fresh_links: DataFrame) -> DataFrame:
     """``found`` (components) with links among its rows: components of the labels, of which few are met, then theirs of the rows."""
-    ends = _labelled(checkpointed(_labelled(fresh_links, found, "one", "a")), found, "two", "b").where("a <> b").select(F.col("a").alias("one"), F.col("b").alias("two"))
-    edges = checkpointed(ends.distinct())
+    ends = _labelled(checkpointed(few(_labelled(fresh_links, found, "one", "a"), found.count())), found, "two", "b").where("a <> b").select(F.col("a").alias("one"), F.col("b").alias("two"))
+    edges = checkpointed(few(ends.distinct(), found.count()))
     if not edges.limit(1).count():
         return found
     met = edges.select(F.col("one").alias("fp")).union(edges.select("two")).distinct()
@@ -389,14 +395,16 @@ def _merged(found: DataFrame, fresh_links: DataFrame) -> DataFrame:
     moved = components(edges, labels).select(F.col("fp").alias("root"), F.col("least").alias("to_least"), F.col("root").alias("to_root"))
     weights = found.groupBy("root").agg(F.count("*").alias("n"))
     out = join_by_weight(found, moved.join(weights, "root"), ["root"], "n", found.count())
-    return checkpointed(out.select("fp", F.coalesce("to_least", "least").alias("least"), F.when(F.col("to_root").isNull(), F.col("root")).otherwise(F.col("to_root")).alias("root")))
+    out = out.select("fp", F.coalesce("to_least", "least").alias("least"), F.coalesce("to_root", "root").alias("root"))
+    return checkpointed(few(out, found.count()))
 
 
 def _split_keys(crowded: DataFrame, found: DataFrame) -> DataFrame:
     """Rows (key, uid, n, label) of the keys whose rows are in several components, checkpointed."""
-    labelled = checkpointed(_labelled(crowded, found, "uid", "label"))
+    n = crowded.count()
+    labelled = checkpointed(few(_labelled(crowded, found, "uid", "label"), n))
     split = labelled.groupBy("key").agg(F.count("*").alias("m"), F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo < hi").select("key", "m")
-    return checkpointed(join_by_weight(labelled, checkpointed(split), ["key"], "m", labelled.count()).where("m is not null").drop("m"))
+    return checkpointed(few(join_by_weight(labelled, checkpointed(few(split, n)), ["key"], "m", n).where("m is not null").drop("m"), n))
 
 
 def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, similarity: float, cell: int) -> DataFrame:
@@ -409,14 +417,15 @@ def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, simila
     every other block of their key. No pair of a key is left out, none is emitted
     but the links of a forest, and no task holds more than two blocks.
     """
-    sized = checkpointed(crowded.join(sets.select("uid", F.size("shingles").alias("n")), "uid"))
+    many = crowded.count()
+    sized = checkpointed(few(crowded.join(sets.select("uid", F.size("shingles").alias("n")), "uid"), many))
     blocks = F.ceil(F.col("total") / cell).cast("int")
     turn = F.pmod(F.xxhash64("key", "uid"), F.greatest(blocks, F.lit(1))).cast("int")
 
     rows = _split_keys(sized, found)
     if not rows.limit(1).count():
         return found
-    totals = checkpointed(rows.groupBy("key").agg(F.sum("n").alias("total"), F.count("*").alias("m")))
+    totals = checkpointed(few(rows.groupBy("key").agg(F.sum("n").alias("total"), F.count("*").alias("m")), many))
     dealt = join_by_weight(rows, totals, ["key"], "m", rows.count())
     found = _merged(found, compared(dealt.select(F.xxhash64("key", turn).alias("cell"), "uid", "label"), sets, similarity))
 
@@ -424,7 +433,9 @@ def crossing_links(crowded: DataFrame, sets: DataFrame, found: DataFrame, simila
     if not rows.limit(1).count():
         return found
     by_label = rows.groupBy("key", "label").agg(F.sum("n").alias("total"), F.count("*").alias("m"))
-    tops = checkpointed(by_label.groupBy("key").agg(F.max_by("label", F.struct("m", "label")).alias("top"), F.max_by("total", F.struct("m", "label")).alias("inside"), F.sum("total").alias("all"), F.sum("m").alias("m")))
+    best = F.struct("m", "label")
+    tops = by_label.groupBy("key").agg(F.max_by("label", best).alias("top"), F.max_by("total", best).alias("inside"), F.sum("total").alias("all"), F.sum("m").alias("m"))
+    tops = checkpointed(few(tops, many))
     named = join_by_weight(rows, tops, ["key"], "m", rows.count())
     inside, outside = (F.greatest(F.lit(1), F.ceil(F.col(c) / cell)).cast("int") for c in ("inside", "outside"))
     named = named.withColumn("outside", F.col("all") - F.col("inside")).withColumn("t", inside).withColumn("o", outside).withColumn("is_top", F.col("label") == F.col("top"))
@@ -453,8 +464,9 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     rows = checkpointed(plain.mapInArrow(run, "rid long, uid long, tfp long, fp long, keys array<long>"))
     total = rows.count()
+    rows = few(rows, 4 * total)
     # equal fingerprints hang on their first row, and so do links between fingerprints
-    firsts = checkpointed(rows.groupBy("fp").agg(F.min("uid").alias("first"), F.count("*").alias("n")))
+    firsts = checkpointed(few(rows.groupBy("fp").agg(F.min("uid").alias("first"), F.count("*").alias("n")), total))
     hung = join_by_weight(rows.select("uid", "fp"), firsts.where("n > 1"), ["fp"], "n", total).where("uid <> first").select(F.col("uid").alias("one"), F.col("first").alias("two"))
     ends = firsts.select("fp", "first")
     close = links(ends.select("fp"), radius).join(ends.toDF("one", "a"), "one").join(ends.toDF("two", "b"), "two").select(F.col("a").alias("one"), F.col("b").alias("two"))
@@ -462,11 +474,11 @@ def near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     nodes = rows.select(F.col("uid").alias("fp"), F.col("rid").alias("least"))
     found = components(checkpointed(hung.unionByName(close).unionByName(alike)), nodes)
     lone = crowded.select(F.col("uid").alias("fp")).distinct().join(found, "fp", "left_anti")
-    known = checkpointed(found.unionByName(nodes.join(lone, "fp", "left_semi").withColumn("root", F.col("fp"))))
+    known = checkpointed(few(found.unionByName(nodes.join(lone, "fp", "left_semi").withColumn("root", F.col("fp"))), total))
     found = crossing_links(crowded, sets, known, similarity, CELL_SHINGLES)
     gone = found.where("fp <> root").select(F.col("fp").alias("uid"), "root")
     winners = gone.select(F.col("root").alias("uid")).distinct().join(rows.select("uid", F.col("rid").alias("w_rid"), F.col("tfp").alias("w_tfp")), "uid").withColumnRenamed("uid", "root")
-    named = checkpointed(gone.join(rows.select("uid", "rid", "tfp"), "uid"))
+    named = checkpointed(few(gone.join(rows.select("uid", "rid", "tfp"), "uid"), total))
     sizes = named.groupBy("root").agg(F.count("*").alias("n")).join(winners, "root")
     spare = F.col("rid").eqNullSafe(F.col("w_rid")) & (F.col("tfp") == F.col("w_tfp"))
     return join_by_weight(named, sizes, ["root"], "n", total).select("rid", "tfp", spare.alias("spare"))

@@ -2,14 +2,12 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from seqcount.llm import bpe, exact_dedup, mixing, quality_knn, simhash
-from seqcount.llm.common import fresh, shared_folder
-from seqcount.session import shipped
+from seqcount.llm.common import fresh
+from seqcount.session import delete_folder, new_folder, shipped
 
 #: A document goes if its score is below this: label 0 is then the likelier by the vote.
 REJECT_BELOW = 0.5
@@ -54,10 +52,15 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; each result is written and read again as the next one's input."""
-    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over documents; each result is written and read again as the next one's input, and deleted after it.
+
+    The last stage's result stays in its folder, for the frame that is returned reads it.
+    """
+    docs, folder, before = spark.read.parquet(f"{sf_dir}/documents.parquet"), new_folder(spark, "pipeline"), None
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
+        if before:
+            delete_folder(spark, before)
+        before = f"{folder}/{name}"
     return docs

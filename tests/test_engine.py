@@ -3,12 +3,14 @@
 import itertools
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from seqcount.functions import alphabet, scores
+from seqcount.functions import alphabet, kernel, scores
 from seqcount.operators import baselines, counting, exchange, index, metrics, prepare, sketches
 from seqcount.operators import supermers as sm
+from seqcount.operators.tasks import assign_tasks
 from seqcount.plans import flagship
 from seqcount.spec import CountSpec
 
@@ -65,7 +67,7 @@ def test_flagship_is_exact_for_any_decision(spark, reads, k, factor):
     assert got == {c: list(want.values()).count(c) for c in set(want.values())}
 
 
-@pytest.mark.parametrize("change", [{"s": 1}, {"s": 5000}, {"m": 1}, {"m": 8}, {"m": 9}, {"score": "lex"}, {"score": "lex_mod"}, {"score": "arith"}, {"score": "universal", "seed": 7}, {"break_on": "minimizer"}, {"chunk": 40}, {"block_bytes": 1}])
+@pytest.mark.parametrize("change", [{"s": 1}, {"s": 5000}, {"m": 1}, {"m": 8}, {"m": 9}, {"score": "lex"}, {"score": "lex_mod"}, {"score": "arith"}, {"score": "universal", "seed": 7}, {"break_on": "minimizer"}, {"chunk": 40}, {"block_bytes": 1}, {"dest": "second_hash"}, {"dest": "second_hash", "break_on": "minimizer", "m": 1}, {"tie": "lex"}, {"worker_bytes": 1}, {"worker_bytes": 900}])
 def test_result_does_not_depend_on_parameters(spark, reads, change):
     assert as_dict(flagship.count_kmers(reads, SMALL.but(**change), 5), 9) == brute(random_reads(), 9)
 
@@ -76,6 +78,70 @@ def test_policies_and_partitions(reads, policy, partitions):
     assert as_dict(flagship.count_kmers(reads, SMALL, partitions, policy=policy, method="aux_radix"), 9) == brute(random_reads(), 9)
 
 
+@pytest.mark.parametrize("method", ["inplace", "aux_radix", "spark_radix", "hash"])
+@pytest.mark.parametrize("k", [9, 40])
+def test_sorts_agree(reads, method, k):
+    spec = CountSpec(k=k, s=7, heavy_factor=1.5, chunk=256)
+    assert as_dict(flagship.count_kmers(reads, spec, 3, method=method, share=1.0), k) == brute(random_reads(), k)
+
+
+def test_plan_chooses_the_sort_by_the_largest_task(reads):
+    largest = int(max(flagship.make_plan(reads, SMALL, 4, heavy=False, share=1.0).sizes)) * 8
+    for room, method in ((4 * largest, "aux_radix"), (2 * largest, "inplace"), (largest, "spark_radix")):
+        assert flagship.make_plan(reads, SMALL.but(worker_bytes=room), 4, heavy=False, share=1.0).method == method
+
+
+def test_a_repeat_within_one_read_is_found_by_the_sample(spark):
+    rng = random.Random(1)
+    seqs = ["".join(rng.choice("ACGT") for _ in range(1500)) for _ in range(300)] + ["ACTTG" * 20_000]
+    plan = flagship.make_plan(make_reads(spark, seqs), CountSpec(k=31))
+    full = flagship.make_plan(make_reads(spark, seqs), CountSpec(k=31), share=1.0)
+    assert len(full.heavy) and plan.heavy.tolist() == full.heavy.tolist()
+    assert 0.7 < plan.sizes.sum() / full.sizes.sum() < 1.4
+
+
+def test_sampled_pieces_hold_each_window_once(spark, monkeypatch):
+    monkeypatch.setattr(flagship, "SIZE_PIECE", 16)
+    seqs = random_reads()
+    pieces = flagship.sampled_pieces(make_reads(spark, seqs), SMALL, 1.0)
+    assert brute([r["seq"] for r in pieces.collect()], 9) == brute(seqs, 9)
+
+
+def test_first_fit_is_the_plain_one():
+    rng = random.Random(3)
+    for _ in range(60):
+        partitions, sizes = rng.randint(1, 9), np.array([rng.randint(0, 30) for _ in range(rng.randint(0, 40))], np.int64)
+        order = np.lexsort((np.arange(len(sizes)), -sizes))
+        level = max(sizes.sum() / partitions, sizes.max(initial=0))
+        while True:
+            load, want = [0.0] * partitions, {}
+            for t in order.tolist():
+                fits = [p for p in range(partitions) if load[p] + sizes[t] <= level]
+                if not fits:
+                    break
+                want[t] = fits[0]
+                load[fits[0]] += sizes[t]
+            if len(want) == len(sizes):
+                break
+            level *= 1.05
+        got = assign_tasks(sizes, partitions)
+        assert [want[t] for t in range(len(sizes))] == got.tolist()
+
+
+def test_lexical_ties_and_second_hash_agree_on_equal_kmers():
+    spec = CountSpec(k=9, m=3, s=11, dest="second_hash")
+    rng = random.Random(2)
+    tasks = {}
+    for _ in range(40):
+        seq = "".join(rng.choice("ACG") for _ in range(60))
+        codes = np.array([kernel._CODE[ord(c)] for c in seq], np.uint8)
+        found = kernel.find_supermers(codes, spec)
+        for b, n, t in zip(found.begin.tolist(), found.n_bases.tolist(), found.task.tolist()):
+            for i in range(b, b + n - 8):
+                assert tasks.setdefault(seq[i : i + 9], t) == t
+    assert len(set(tasks.values())) > 5
+
+
 BASELINES = {
     "dist_hash": baselines.count_dist_hash,
     "partial": lambda r, s: baselines.count_dist_hash(r, s, partial=True),

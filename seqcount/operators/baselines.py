@@ -13,6 +13,7 @@ from seqcount.functions.minimizers import window_naive
 from seqcount.operators import counting, exchange, sketches
 from seqcount.operators.prepare import extract_kmers, kmer_array, kmer_fields, prepare_reads, words_of
 from seqcount.operators.supermers import build_supermers
+from seqcount.session import work_folder
 from seqcount.spec import CountSpec
 
 
@@ -27,19 +28,90 @@ def count_dist_hash(reads: DataFrame, spec: CountSpec, partitions: int | None =
     return dealt.groupBy("kmer").agg(F.count("*").alias("cnt"))
 
 
+def _owned(kmers: DataFrame, partitions: int) -> DataFrame:
+    return kmers.withColumn("pid", F.pmod(F.xxhash64("kmer"), F.lit(partitions)).cast("int"))
+
+
+def _reliable(reads: DataFrame, spec: CountSpec, partitions: int, fpp: float, ext: bool) -> DataFrame:
+    """Rows (kmer, read_id, pos) of k-mers that a first exchange has marked as repeated, as the second one brings them to their owners.
+
+    The first pass leaves one row for each owner: a filter of the keys it has met
+    twice. It travels with the owner's k-mers and comes before them.
+    """
+    estimate = sketches.distinct_estimate(extract_kmers(reads, spec)).first()["estimate"]
+    expected = int(1.2 * estimate / partitions) + 1024
+
+    def mark(batches):
+        seen, again, pid = sketches.Bloom(expected, fpp), sketches.Bloom(expected, fpp), None
+        for batch in batches:
+            if batch.num_rows:
+                pid = batch.column(1)[0].as_py()
+            words, n = kernel.count_runs(words_of(batch.column(0)))
+            twice = (n > 1) | seen.has(words)
+            seen.add(words)
+            again.add([w[twice] for w in words])
+        if pid is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([pid], pa.int32()), pa.array([again.to_bytes()], pa.binary())], names=["pid", "filter"])
+
+    dealt = _owned(extract_kmers(reads, spec), partitions).repartitionById(partitions, F.col("pid"))
+    filters = dealt.select("kmer", "pid").mapInArrow(mark, "pid int, filter binary")
+    kind = kmer_fields(spec).removeprefix("kmer ")
+    rows = _owned(extract_kmers(reads, spec, ext=True), partitions) if ext else _owned(extract_kmers(reads, spec), partitions).selectExpr("kmer", "0L as read_id", "0 as pos", "pid")
+    both = rows.selectExpr("pid", "1 as turn", "kmer", "read_id", "pos", "cast(null as binary) as filter").unionByName(filters.selectExpr("pid", "0 as turn", f"cast(null as {kind}) as kmer", "0L as read_id", "0 as pos", "filter"))
+    second = both.repartitionById(partitions, F.col("pid")).sortWithinPartitions("pid", "turn")
+
+    def keep(batches):
+        known = sketches.Bloom(expected, fpp)
+        for batch in batches:
+            first = np.flatnonzero(batch.column("turn").to_numpy() == 0)
+            for i in first.tolist():  # at most one
+                known = sketches.Bloom.of_bytes(batch.column("filter")[i].as_py(), expected, fpp)
+            rows = batch.slice(len(first))
+            take = pa.array(np.flatnonzero(known.has(words_of(rows.column("kmer")))))
+            yield pa.RecordBatch.from_arrays([rows.column(c).take(take) for c in ("kmer", "read_id", "pos")], names=["kmer", "read_id", "pos"])
+
+    return second.mapInArrow(keep, kmer_fields(spec) + ", read_id long, pos int")
+
+
 def count_two_pass(reads: DataFrame, spec: CountSpec, partitions: int | None = None, fpp: float = 0.01) -> DataFrame:
-    """Estimate the keys, mark repeats with a filter in one exchange, count only those in another.
+    """Estimate the keys, mark repeats with a filter in one exchange, count only those behind another.
 
     A false positive ends with count 1, so results from 2 up are exact; at lo = 1 this
     way loses singletons by design.
     """
-    p = _parts(reads, partitions)
-    kmers = extract_kmers(reads, spec)
-    estimate = sketches.distinct_estimate(kmers).first()["estimate"]
-    per_partition = int(1.2 * estimate / p) + 1024
-    marked = sketches.repeated_candidates(kmers.repartition(p, "kmer"), spec, per_partition, fpp).distinct()
-    second = kmers.repartition(p, "kmer").join(marked, "kmer", "left_semi")
-    return second.groupBy("kmer").agg(F.count("*").alias("cnt")).where("cnt > 1")
+
+    def count(batches):
+        held = []
+        for batch in batches:
+            held.append(kernel.count_runs(words_of(batch.column(0))))
+            if sum(len(h[1]) for h in held[1:]) > max(counting.EXPAND_KMERS, len(held[0][1])):
+                held = [_summed(held, spec)]
+        if held:
+            words, n = _summed(held, spec)
+            ok = n > 1
+            yield pa.RecordBatch.from_arrays([kmer_array([w[ok] for w in words]), pa.array(n[ok])], names=["kmer", "cnt"])
+
+    return _reliable(reads, spec, _parts(reads, partitions), fpp, False).select("kmer").mapInArrow(count, kmer_fields(spec) + ", cnt long")
+
+
+def _summed(lists: list, spec: CountSpec):
+    return kernel.count_runs([np.concatenate([x[0][i] for x in lists]) for i in range(spec.words)], np.concatenate([x[1] for x in lists]))
+
+
+def index_two_pass(reads: DataFrame, spec: CountSpec, partitions: int | None = None, fpp: float = 0.01) -> DataFrame:
+    """(kmer, cnt, occ) as ``index.kmer_index`` gives: the second pass carries locations, of repeated k-mers alone. For lo of 2 at least."""
+    from seqcount.operators.index import index_rows, occurrence_fields
+
+    if spec.lo < 2:
+        raise ValueError("a two-pass counter loses k-mers that occur once")
+
+    def build(batches):
+        held = [(words_of(b.column(0)), b.column(1).to_numpy(), b.column(2).to_numpy()) for b in batches]
+        if held:
+            words = [np.concatenate([h[0][i] for h in held]) for i in range(spec.words)]
+            yield index_rows(words, np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held]).astype(np.int64), spec)
+
+    return _reliable(reads, spec, _parts(reads, partitions), fpp, True).mapInArrow(build, occurrence_fields(spec))
 
 
 def count_supermer_hash(reads: DataFrame, spec: CountSpec, partitions: int | None = None, naive: bool = False) -> DataFrame:
@@ -108,12 +180,18 @@ def count_merge_last(reads: DataFrame, spec: CountSpec, partitions: int | None =
 
 
 def count_shared_sort(reads: DataFrame, spec: CountSpec, threads: int | None = None, ram_only: bool = True) -> DataFrame:
-    """One machine: bins by modified lexical order, held in memory or on disk, then each bin sorted by a thread."""
+    """One machine: bins by modified lexical order, held in memory or on disk, then each bin sorted by a thread.
+
+    The bins are released once the counts are there, so this runs when it's called.
+    """
     binned = spec.but(score="lex_mod")
     p = threads or reads.sparkSession.sparkContext.defaultParallelism
     blocks = exchange.make_blocks(reads, binned, np.arange(binned.s) % p, np.zeros(0, np.int64), p)
     held = exchange.exchange(blocks, p).persist(StorageLevel.MEMORY_ONLY if ram_only else StorageLevel.DISK_ONLY)
-    return counting.count_blocks(held, binned)
+    work_folder(reads.sparkSession)
+    counts = counting.count_blocks(held, binned).checkpoint()
+    held.unpersist()
+    return counts
 
 
 def count_cbf(reads: DataFrame, spec: CountSpec, partitions: int | None = None, slots: int = 1 << 22, hashes: int = 3) -> DataFrame:
@@ -121,32 +199,39 @@ def count_cbf(reads: DataFrame, spec: CountSpec, partitions: int | None = None,
     return sketches.counting_filter(extract_kmers(reads, spec).repartition(_parts(reads, partitions), "kmer"), spec, slots, hashes)
 
 
-def heavy_kmers(kmers: DataFrame, spec: CountSpec, share: float = 1e-3) -> DataFrame:
-    """(kmer): keys with more than ``share`` of all occurrences, found in an extra pass over all of them.
-
-    A partition names keys above half that share of a batch, so it names few; those are
-    counted in full, and 1 / share of them at most remain.
-    """
+def heavy_kmers(reads: DataFrame, spec: CountSpec, share: float = 1e-3, sample: float = 1 / 16) -> list[np.ndarray]:
+    """Words of the k-mers that hold more than half of ``share`` of a sample of the reads' pieces: 2 / share of them at most."""
+    from seqcount.plans.flagship import sampled_pieces
 
-    def run(batches):
-        for batch in batches:
-            words, n = kernel.count_runs(words_of(batch.column(0)))
-            top = n > max(1, share / 2 * batch.num_rows)
-            yield pa.RecordBatch.from_arrays([kmer_array([w[top] for w in words])], names=["kmer"])
-
-    named = kmers.mapInArrow(run, kmer_fields(spec)).distinct()
+    kmers = extract_kmers(sampled_pieces(reads, spec, sample), spec)
+    counts = kmers.groupBy("kmer").agg(F.count("*").alias("n"))
     total = kmers.count()
-    counted = kmers.join(named, "kmer", "left_semi").groupBy("kmer").agg(F.count("*").alias("c"))
-    return counted.where(F.col("c") > share * total).select("kmer")
+    rows = counts.where(F.col("n") > max(1.0, share / 2 * total)).select("kmer").toArrow()
+    return [np.ascontiguousarray(w) for w in words_of(rows["kmer"].combine_chunks())] if len(rows) else [np.zeros(0, np.int64)] * spec.words
 
 
 def count_explicit_hh(reads: DataFrame, spec: CountSpec, partitions: int | None = None, share: float = 1e-3) -> DataFrame:
-    """Find the frequent k-mers themselves; count them where they are and add up; exchange the rest."""
-    kmers = extract_kmers(reads, spec)
-    top = F.broadcast(heavy_kmers(kmers, spec, share))  # 1 / share keys at most
-    often = kmers.join(top, "kmer", "left_semi").groupBy("kmer").agg(F.count("*").alias("cnt"))
-    rest = kmers.join(top, "kmer", "left_anti").repartition(_parts(reads, partitions), "kmer").groupBy("kmer").agg(F.count("*").alias("cnt"))
-    return often.unionByName(rest)
+    """Find the frequent k-mers themselves in an extra pass; count them where they are; exchange these sums and all the rest."""
+    from seqcount.operators.index import members
+
+    top = reads.sparkSession.sparkContext.broadcast(heavy_kmers(reads, spec, share))
+
+    def split(batches):
+        held = []
+        for batch in batches:
+            words = words_of(batch.column(0))
+            often = members(words, top.value)
+            held.append(kernel.count_runs([w[often] for w in words]))
+            if len(held) > 64:
+                held = [_summed(held, spec)]
+            rest = [w[~often] for w in words]
+            yield pa.RecordBatch.from_arrays([kmer_array(rest), pa.array(np.ones(len(rest[0]), np.int64))], names=["kmer", "n"])
+        if held:
+            words, n = _summed(held, spec)
+            yield pa.RecordBatch.from_arrays([kmer_array(words), pa.array(n)], names=["kmer", "n"])
+
+    rows = extract_kmers(reads, spec).mapInArrow(split, kmer_fields(spec) + ", n long")
+    return rows.repartition(_parts(reads, partitions), "kmer").groupBy("kmer").agg(F.sum("n").alias("cnt"))
 
 
 def count_thread_owned(reads: DataFrame, spec: CountSpec, partitions: int | None = None, threads: int = 4) -> DataFrame:

@@ -34,8 +34,11 @@ class Counter:
 
     def add_block(self, n: int, payload: bytes) -> None:
         n_bases, packed, _, _ = exchange.unpack_block(n, payload)
+        self.add_packed(n_bases, packed)
+
+    def add_packed(self, n_bases: np.ndarray, packed: np.ndarray) -> None:
         self.blocks.append((n_bases, packed))
-        self.waiting += int(n_bases.sum()) - n * (self.spec.k - 1)
+        self.waiting += int(n_bases.sum()) - len(n_bases) * (self.spec.k - 1)
         if self.waiting >= EXPAND_KMERS:
             self._expand()
 

@@ -20,13 +20,19 @@ SENDER_BYTES = 64 << 20
 LIST_PAIRS = 1 << 20
 
 
-def pack_block(n_bases: np.ndarray, packed: np.ndarray, ext: tuple[np.ndarray, np.ndarray] | None = None) -> bytes:
+#: How read and start of each supermer travel: 12 bytes each, or as differences.
+LOCATIONS = ("plain", "pair", "per_field")
+
+
+def pack_block(n_bases: np.ndarray, packed: np.ndarray, ext: tuple[np.ndarray, np.ndarray] | None = None, locations: str = "per_field") -> bytes:
     """A self-contained payload: 16-bit lengths, bases at 2 bits, and if asked read and start of each supermer."""
     body = n_bases.astype("<u2").tobytes() + np.ascontiguousarray(packed).tobytes()
-    return body if ext is None else body + ext[0].astype("<i8").tobytes() + ext[1].astype("<i4").tobytes()
+    if ext is None:
+        return body
+    return body + (ext[0].astype("<i8").tobytes() + ext[1].astype("<i4").tobytes() if locations == "plain" else encode_locations(*ext, locations))
 
 
-def unpack_block(n: int, payload: bytes, ext: bool = False):
+def unpack_block(n: int, payload: bytes, ext: bool = False, locations: str = "per_field"):
     """(lengths, packed bases, read ids, starts) of a payload; the last two None without ext."""
     data = np.frombuffer(payload, np.uint8)
     n_bases = data[: 2 * n].view("<u2").astype(np.int64)
@@ -35,6 +41,8 @@ def unpack_block(n: int, payload: bytes, ext: bool = False):
     if not ext:
         return n_bases, packed, None, None
     rest = data[2 * n + size :]
+    if locations != "plain":
+        return n_bases, packed, *decode_locations(rest.tobytes())
     return n_bases, packed, np.frombuffer(rest[: 8 * n].tobytes(), "<i8"), np.frombuffer(rest[8 * n :].tobytes(), "<i4")
 
 
@@ -50,8 +58,8 @@ def unpack_list(n: int, payload: bytes, words: int) -> tuple[list[np.ndarray], n
 class Sender:
     """Blocks of one map task: buffers for each task, flushed at ``block_bytes``; lists for heavy tasks."""
 
-    def __init__(self, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer"):
-        self.spec, self.placed, self.partitions, self.ext, self.heavy_target = spec, placed, partitions, ext, heavy_target
+    def __init__(self, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer", locations: str = "per_field"):
+        self.spec, self.placed, self.partitions, self.ext, self.heavy_target, self.locations = spec, placed, partitions, ext, heavy_target, locations
         self.is_heavy = np.zeros(spec.s, bool)
         self.is_heavy[heavy] = True
         self.held: dict[int, list] = {}
@@ -91,7 +99,7 @@ class Sender:
         self.total -= self.held_bytes.pop(t)
         n_bases = np.concatenate([p[0] for p in parts])
         ext = (np.concatenate([p[2] for p in parts]), np.concatenate([p[3] for p in parts])) if self.ext else None
-        self.rows.append((int(self.placed[t]), t, SUPERMERS, len(n_bases), pack_block(n_bases, np.concatenate([p[1] for p in parts]), ext)))
+        self.rows.append((int(self.placed[t]), t, SUPERMERS, len(n_bases), pack_block(n_bases, np.concatenate([p[1] for p in parts]), ext, self.locations)))
 
     def flush_blocks(self) -> None:
         for t in list(self.held):
@@ -149,11 +157,11 @@ class Sender:
             )
 
 
-def make_blocks(reads: DataFrame, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer") -> DataFrame:
+def make_blocks(reads: DataFrame, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer", locations: str = "per_field") -> DataFrame:
     """Block rows of all reads: parse, score, cut, pack, and pre-count heavy tasks in one narrow step."""
 
     def run(batches):
-        sender = Sender(spec, placed, heavy, partitions, ext, heavy_target)
+        sender = Sender(spec, placed, heavy, partitions, ext, heavy_target, locations)
         for batch in batches:
             ids, offs = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False)
             for first, row, place, codes in kernel.groups(batch.column(2)):
@@ -179,7 +187,8 @@ def encode_locations(reads: np.ndarray, places: np.ndarray, mode: str = "pair")
 
     pair: both fields as differences or both in full (3 or 9 bytes a location).
     per_field: each field by itself (3, 6 or 9 bytes). The first is in full, so a
-    block depends on no other. Reads must fit 32 bits; see ``dense_ids``.
+    block depends on no other. Reads that don't fit 32 bits take 8 bytes in full, for
+    the whole block; ``dense_ids`` avoids that.
     """
     if mode not in ("pair", "per_field"):
         raise ValueError("mode must be pair or per_field")
@@ -195,23 +204,26 @@ def encode_locations(reads: np.ndarray, places: np.ndarray, mode: str = "pair")
         both = small[0][1] & small[1][1]
         small = [(d, both) for d, _ in small]
     tags = (small[0][1].astype(np.uint8)) | (small[1][1].astype(np.uint8) << 1)
-    parts = [np.array([n], "<u4").tobytes(), tags.tobytes()]
-    for (d, fits), x in zip(small, (reads, places), strict=True):
-        parts += [d[fits].astype(np.int8).tobytes(), x[~fits].astype("<i4").tobytes()]
+    wide = bool(n) and (int(reads.max()) >= 1 << 31 or int(reads.min()) < -(1 << 31))
+    parts = [np.array([n | wide << 31], "<u4").tobytes(), tags.tobytes()]
+    for (d, fits), x, kind in zip(small, (reads, places), ("<i8" if wide else "<i4", "<i4"), strict=True):
+        parts += [d[fits].astype(np.int8).tobytes(), x[~fits].astype(kind).tobytes()]
     return b"".join(parts)
 
 
 def decode_locations(data: bytes) -> tuple[np.ndarray, np.ndarray]:
     """Inverse of ``encode_locations``, for either mode."""
     n = int(np.frombuffer(data[:4], "<u4")[0])
+    wide, n = n >> 31, n & 0x7FFFFFFF
     tags, at, out = np.frombuffer(data[4 : 4 + n], np.uint8), 4 + n, []
     for bit in (1, 2):
         fits = (tags & bit) > 0
         small = int(fits.sum())
         d = np.frombuffer(data[at : at + small], np.int8).astype(np.int64)
         at += small
-        full = np.frombuffer(data[at : at + 4 * (n - small)], "<i4").astype(np.int64)
-        at += 4 * (n - small)
+        width = 8 if wide and bit == 1 else 4
+        full = np.frombuffer(data[at : at + width * (n - small)], f"<i{width}").astype(np.int64)
+        at += width * (n - small)
         step = np.zeros(n, np.int64)
         step[fits] = d
         run = np.cumsum(step)
@@ -263,16 +275,15 @@ def decode_ext(blocks: DataFrame) -> DataFrame:
     return blocks.mapInArrow(run, "task int, read_id long, pos int")
 
 
-def location_bytes(occurrences: DataFrame, mode: str = "pair") -> DataFrame:
-    """(occurrences, raw_bytes, coded_bytes) of rows (task, read_id, pos), each task in order of read and place."""
+def location_bytes(occurrences: DataFrame) -> DataFrame:
+    """(mode, occurrences, raw_bytes, coded_bytes) of rows (task, read_id, pos), each task in order of read and place; both modes from one pass."""
     order = "over (partition by task order by read_id, pos)"
     d = occurrences.selectExpr(f"read_id - lag(read_id) {order} as dr", f"pos - lag(pos) {order} as dp")
     fit = lambda c: F.coalesce(F.col(c).between(-128, 127), F.lit(False))
-    if mode == "pair":
-        size = F.when(fit("dr") & fit("dp"), 3).otherwise(9)
-    else:
-        size = F.lit(1) + F.when(fit("dr"), 1).otherwise(4) + F.when(fit("dp"), 1).otherwise(4)
-    return d.agg(F.count("*").alias("occurrences"), (F.count("*") * 8).alias("raw_bytes"), F.sum(size).cast("long").alias("coded_bytes"))
+    pair = F.when(fit("dr") & fit("dp"), 3).otherwise(9)
+    field = F.lit(1) + F.when(fit("dr"), 1).otherwise(4) + F.when(fit("dp"), 1).otherwise(4)
+    sums = d.agg(F.count("*").alias("occurrences"), F.sum(pair).cast("long").alias("pair"), F.sum(field).cast("long").alias("per_field"))
+    return sums.selectExpr("stack(2, 'pair', pair, 'per_field', per_field) as (mode, coded_bytes)", "occurrences", "occurrences * 8 as raw_bytes").select("mode", "occurrences", "raw_bytes", "coded_bytes")
 
 
 # --- cost models

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from seqcount.functions import kernel
 from seqcount.operators import exchange
+from seqcount.operators.counting import EXPAND_KMERS, Counter
 from seqcount.operators.prepare import extract_kmers, kmer_array, kmer_fields
 from seqcount.spec import CountSpec
 
@@ -17,30 +18,72 @@ def occurrence_fields(spec: CountSpec) -> str:
     return kmer_fields(spec) + ", cnt long, occ array<struct<read_id: long, pos: int>>"
 
 
-def _indexed(received: DataFrame, spec: CountSpec) -> DataFrame:
-    """Index rows of exchanged blocks with locations, one task at a time; only counts in range are built."""
+def index_rows(words: list[np.ndarray], read: np.ndarray, pos: np.ndarray, spec: CountSpec) -> pa.RecordBatch:
+    """Index rows of occurrences: those of k-mers with spec.lo to spec.hi of them."""
+    order = np.lexsort([pos, read, *words[::-1]])
+    words, read, pos = [w[order] for w in words], read[order], pos[order]
+    fresh = np.ones(len(order), bool)
+    fresh[1:] = np.any([w[1:] != w[:-1] for w in words], axis=0)
+    heads = np.flatnonzero(fresh)
+    n = np.diff(np.append(heads, len(order)))
+    ok = (n >= spec.lo) & (n <= spec.hi)
+    each = np.repeat(ok, n)
+    places = pa.StructArray.from_arrays([pa.array(read[each]), pa.array(pos[each].astype(np.int32))], names=["read_id", "pos"])
+    lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(n[ok])]), pa.int32()), places)
+    return pa.RecordBatch.from_arrays([kmer_array([w[heads[ok]] for w in words]), pa.array(n[ok].astype(np.int64)), lists], names=["kmer", "cnt", "occ"])
+
+
+def members(words: list[np.ndarray], known: list[np.ndarray]) -> np.ndarray:
+    """Which keys are among the known ones, both in any order."""
+    if len(words) == 1:
+        return np.isin(words[0], known[0])
+    both = [np.concatenate([k, w]) for k, w in zip(known, words, strict=True)]
+    order = np.lexsort(both[::-1])
+    fresh = np.ones(len(order), bool)
+    fresh[1:] = np.any([w[order][1:] != w[order][:-1] for w in both], axis=0)
+    group = np.empty(len(order), np.int64)
+    group[order] = np.cumsum(fresh) - 1
+    marked = np.zeros(int(fresh.sum()), bool)
+    marked[group[: len(known[0])]] = True
+    return marked[group[len(known[0]) :]]
+
+
+def _indexed(received: DataFrame, spec: CountSpec, locations: str) -> DataFrame:
+    """Index rows of exchanged blocks with locations, one task at a time.
+
+    A task's k-mers are counted part by part; then its blocks are expanded once more and
+    the occurrences of k-mers in range are kept, which are what comes out.
+    """
+
+    def parts(blocks):
+        held, waiting = [], 0
+        for block in blocks:
+            held.append(block)
+            waiting += int(block[0].sum())
+            if waiting >= EXPAND_KMERS:
+                yield held
+                held, waiting = [], 0
+        if held:
+            yield held
 
     def index(blocks):
-        lengths, packed, ids, starts = ([b[i] for b in blocks] for i in range(4))
-        n_bases = np.concatenate(lengths)
-        codes, begins = kernel.unpack_runs(np.concatenate(packed), n_bases)
-        at = np.flatnonzero(kernel.window_valid(codes, spec.k))
-        words = [w[at] for w in kernel.kmer_words(codes, spec.k, spec.canonical)]
-        run = np.repeat(np.arange(len(n_bases)), n_bases - spec.k + 1)
-        read, pos = np.concatenate(ids)[run], np.concatenate(starts)[run] + at - begins[run]
-        order = np.lexsort([pos, read, *words[::-1]])
-        words, read, pos = [w[order] for w in words], read[order], pos[order]
-        fresh = np.ones(len(order), bool)
-        fresh[1:] = np.any([w[1:] != w[:-1] for w in words], axis=0)
-        heads = np.flatnonzero(fresh)
-        n = np.diff(np.append(heads, len(order)))
+        counter = Counter(spec, "aux_radix")
+        for n_bases, packed, _, _ in blocks:
+            counter.add_packed(n_bases, packed)
+        words, n = counter.result()
         ok = (n >= spec.lo) & (n <= spec.hi)
-        each = np.repeat(ok, n)
-        offsets = np.concatenate([[0], np.cumsum(n[ok])])
-        places = pa.StructArray.from_arrays([pa.array(read[each]), pa.array(pos[each].astype(np.int32))], names=["read_id", "pos"])
-        return pa.RecordBatch.from_arrays(
-            [kmer_array([w[heads[ok]] for w in words]), pa.array(n[ok].astype(np.int64)), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), places)], names=["kmer", "cnt", "occ"]
-        )
+        known, kept = [w[ok] for w in words], []
+        for some in parts(blocks):
+            n_bases = np.concatenate([b[0] for b in some])
+            codes, begins = kernel.unpack_runs(np.concatenate([b[1] for b in some]), n_bases)
+            at = np.flatnonzero(kernel.window_valid(codes, spec.k))
+            words = [w[at] for w in kernel.kmer_words(codes, spec.k, spec.canonical)]
+            run = np.repeat(np.arange(len(n_bases)), n_bases - spec.k + 1)
+            take = np.flatnonzero(members(words, known))
+            run, at = run[take], at[take]
+            kept.append([*[w[take] for w in words], np.concatenate([b[2] for b in some])[run], np.concatenate([b[3] for b in some])[run] + at - begins[run]])
+        *words, read, pos = [np.concatenate([k[i] for k in kept]) for i in range(spec.words + 2)]
+        return index_rows(words, read, pos, spec)
 
     def run(batches):
         task, blocks = None, []
@@ -50,17 +93,17 @@ def _indexed(received: DataFrame, spec: CountSpec) -> DataFrame:
                     if blocks:
                         yield index(blocks)
                     task, blocks = t, []
-                blocks.append(exchange.unpack_block(n, payload.as_buffer(), ext=True))
+                blocks.append(exchange.unpack_block(n, payload.as_buffer(), True, locations))
         if blocks:
             yield index(blocks)
 
     return received.mapInArrow(run, occurrence_fields(spec))
 
 
-def kmer_index(reads: DataFrame, spec: CountSpec, partitions: int | None = None) -> DataFrame:
+def kmer_index(reads: DataFrame, spec: CountSpec, partitions: int | None = None, locations: str = "per_field") -> DataFrame:
     """(kmer, cnt, occ): k-mers with spec.lo to spec.hi occurrences and where they are, occ in order of read and place.
 
-    Supermers carry one location each, that of their first k-mer. Heavy tasks are left
+    Supermers carry one location each, that of their first k-mer, as differences unless ``locations`` is plain. Heavy tasks are left
     out of the exchange of blocks: their k-mers are counted with partial sums, which
     leaves those in range, and only the occurrences of these are exchanged. No list is
     longer than spec.hi.
@@ -69,24 +112,24 @@ def kmer_index(reads: DataFrame, spec: CountSpec, partitions: int | None = None)
 
     plan = make_plan(reads, spec, partitions)
     heavy = plan.heavy
-    blocks = exchange.make_blocks(reads, spec, plan.placed, np.zeros(0, np.int64), plan.partitions, ext=True)
+    blocks = exchange.make_blocks(reads, spec, plan.placed, np.zeros(0, np.int64), plan.partitions, ext=True, locations=locations)
     if not len(heavy):
-        return _indexed(exchange.exchange(blocks, plan.partitions), spec)
+        return _indexed(exchange.exchange(blocks, plan.partitions), spec, locations)
     named = [int(t) for t in heavy]
-    light = _indexed(exchange.exchange(blocks.where(~F.col("task").isin(named)), plan.partitions), spec)
-    found = heavy_occurrences(blocks.where(F.col("task").isin(named)), spec)
+    light = _indexed(exchange.exchange(blocks.where(~F.col("task").isin(named)), plan.partitions), spec, locations)
+    found = heavy_occurrences(blocks.where(F.col("task").isin(named)), spec, locations)
     reliable = found.groupBy("kmer").agg(F.count("*").alias("cnt")).where(F.col("cnt").between(spec.lo, spec.hi))
     lists = found.join(reliable, "kmer").groupBy("kmer", "cnt").agg(F.array_sort(F.collect_list(F.struct("read_id", "pos"))).alias("occ"))
     return light.unionByName(lists.select("kmer", "cnt", "occ"))
 
 
-def heavy_occurrences(blocks: DataFrame, spec: CountSpec) -> DataFrame:
+def heavy_occurrences(blocks: DataFrame, spec: CountSpec, locations: str = "per_field") -> DataFrame:
     """(kmer, read_id, pos) of blocks with locations."""
 
     def run(batches):
         for batch in batches:
             for n, payload in zip(batch.column("n").to_pylist(), batch.column("payload"), strict=True):
-                n_bases, packed, ids, starts = exchange.unpack_block(n, payload.as_buffer(), ext=True)
+                n_bases, packed, ids, starts = exchange.unpack_block(n, payload.as_buffer(), True, locations)
                 codes, begins = kernel.unpack_runs(packed, n_bases)
                 at = np.flatnonzero(kernel.window_valid(codes, spec.k))
                 run_of = np.repeat(np.arange(n), n_bases - spec.k + 1)

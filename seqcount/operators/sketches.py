@@ -40,6 +40,15 @@ class Bloom:
     def add(self, words: list[np.ndarray]) -> None:
         self.array[self._places(words)] = True
 
+    def to_bytes(self) -> bytes:
+        return np.packbits(self.array).tobytes()
+
+    @classmethod
+    def of_bytes(cls, data: bytes, n: int, fpp: float) -> Bloom:
+        out = cls(n, fpp)
+        out.array = np.unpackbits(np.frombuffer(data, np.uint8), count=out.bits).astype(bool)
+        return out
+
     def has(self, words: list[np.ndarray]) -> np.ndarray:
         return self.array[self._places(words)].all(axis=0)
 
@@ -51,20 +60,6 @@ def distinct_estimate(kmers: DataFrame, lg: int = 12) -> DataFrame:
     return part.agg(F.hll_union_agg("s").alias("s")).select(F.hll_sketch_estimate("s").alias("estimate"), F.octet_length("s").cast("long").alias("sketch_bytes"))
 
 
-def repeated_candidates(dealt: DataFrame, spec: CountSpec, keys_per_partition: int, fpp: float = 0.01) -> DataFrame:
-    """Keys of a partition that its filter has seen before: all that repeat, and a few false positives."""
-
-    def run(batches):
-        seen = Bloom(keys_per_partition, fpp)
-        for batch in batches:
-            words, n = count_runs(words_of(batch.column(0)))
-            again = (n > 1) | seen.has(words)
-            seen.add([w[~again] for w in words])
-            yield pa.RecordBatch.from_arrays([kmer_array([w[again] for w in words])], names=["kmer"])
-
-    return dealt.select("kmer").mapInArrow(run, kmer_fields(spec))
-
-
 def counting_filter(dealt: DataFrame, spec: CountSpec, slots: int = 1 << 22, hashes: int = 3) -> DataFrame:
     """(kmer, cnt) with cnt the least of a key's slots in its partition: never below the true count, sometimes above.
 

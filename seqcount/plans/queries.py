@@ -276,8 +276,7 @@ SELECT 'pair' AS mode, count(*) AS occurrences, count(*) * 8 AS raw_bytes, CAST(
 UNION ALL SELECT 'per_field', count(*), count(*) * 8, CAST(sum(1 + CASE WHEN r THEN 1 ELSE 4 END + CASE WHEN p THEN 1 ELSE 4 END) AS BIGINT) FROM f""",
 )
 def _(spark, d):
-    rows = sm.expand_supermers(sm.build_supermers(src.reads_docs(spark, d), K31), K31, ("task", "read_id", "pos"))
-    return reduce(DataFrame.unionByName, [exchange.location_bytes(rows, m).withColumn("mode", F.lit(m)) for m in ("pair", "per_field")])
+    return exchange.location_bytes(sm.expand_supermers(sm.build_supermers(src.reads_docs(spark, d), K31), K31, ("task", "read_id", "pos")))
 
 
 @query("ext_codec_roundtrip", f"SELECT task, count(*) AS n, CAST(sum(read_id) AS BIGINT) AS reads, CAST(sum(pos) AS BIGINT) AS places FROM ({sql.minimizers(K31)}) GROUP BY task")
@@ -376,6 +375,33 @@ def _(spark, d):
     return flagship.count_kmers(src.reads_docs(spark, d), K31.but(canonical=True), as_spectrum=True)
 
 
+_INDEXED = f"SELECT kmer, cnt, count(DISTINCT read_id) AS reads, min(read_id) AS first_read, CAST(sum(pos) AS BIGINT) AS places FROM ({sql.occurrences(K31)}) GROUP BY kmer, cnt"
+
+
+def _index_rows(found: DataFrame) -> DataFrame:
+    total = F.aggregate("occ", F.lit(0).cast("long"), lambda a, x: a + x["pos"])
+    return decoded(found, 31).select("kmer", "cnt", F.size(F.array_distinct("occ.read_id")).cast("long").alias("reads"), F.array_min("occ.read_id").alias("first_read"), total.alias("places"))
+
+
+for _locations in ("plain", "pair"):
+
+    @query(f"kmer_index_{_locations}", _INDEXED)
+    def _(spark, d, locations=_locations):
+        return _index_rows(index.kmer_index(src.reads_docs(spark, d), K31, locations=locations))
+
+
+@query("kmer_index_heavy", f"SELECT kmer, cnt, count(DISTINCT read_id) AS reads, min(read_id) AS first_read, CAST(sum(pos) AS BIGINT) AS places FROM ({sql.occurrences(K31, sql.reads('heavy'))}) GROUP BY kmer, cnt")
+def _(spark, d):
+    """Locations where a task is heavy: its frequent k-mers are out of range, the rest are found."""
+    return _index_rows(index.kmer_index(src.heavy_reads(spark, d), K31))
+
+
+@query("kmer_index_two_pass", _INDEXED)
+def _(spark, d):
+    """Locations by the two-pass way: the second exchange carries those of repeated k-mers alone."""
+    return _index_rows(baselines.index_two_pass(src.reads_docs(spark, d), K31))
+
+
 # --- uses of counts and locations
 
 
@@ -740,8 +766,9 @@ def _(spark, d):
 
 
 def _streamed(spark, d, name: str) -> DataFrame:
-    """A table as a stream of files."""
-    return spark.readStream.schema(src.table(spark, d, name).schema).parquet(f"{d}/{name}.parquet")
+    """A table as a stream of files; event time has to be an instant."""
+    rows = spark.readStream.schema(src.table(spark, d, name).schema).option("pathGlobFilter", f"{name}.parquet").parquet(d)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in rows.columns else rows
 
 
 def _drained(spark, stream: DataFrame, mode: str) -> DataFrame:
@@ -774,12 +801,14 @@ def _(spark, d):
 
 @query("stream_windows", "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY ALL")
 def _(spark, d):
-    return _drained(spark, streams.windowed(_streamed(spark, d, "events")), "complete").withColumn("total", F.round("total", 4))
+    found = _drained(spark, streams.windowed(_streamed(spark, d, "events")), "complete")
+    return found.withColumn("total", F.round("total", 4)).withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 @query("stream_sessions", SQL["event_sessions"])
 def _(spark, d):
-    return _drained(spark, streams.sessions(_streamed(spark, d, "events")), "complete")
+    found = _drained(spark, streams.sessions(_streamed(spark, d, "events")), "complete")
+    return found.withColumn("start", F.col("start").cast("timestamp_ntz")).withColumn("end", F.col("end").cast("timestamp_ntz"))
 
 
 @query("stream_distinct", "SELECT DISTINCT event_type || ':' || user_id AS seq FROM events")

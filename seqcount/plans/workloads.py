@@ -14,8 +14,9 @@ from functools import partial
 from seqcount.functions import kernel
 from seqcount.operators import baselines, counting, exchange, index, metrics
 from seqcount.operators import supermers as sm
-from seqcount.operators.tasks import task_sizes
+from seqcount.operators.tasks import heavy_tasks, loads, task_sizes
 from seqcount.plans import flagship
+from seqcount.session import delete_folder, new_folder
 from seqcount.sources import fasta
 from seqcount.sources import reads as src
 from seqcount.spec import CountSpec
@@ -44,21 +45,26 @@ def _large(spark, sf):
     return _cached(src.reads_cov(spark, sf, 5, 0.005).unionByName(src.heavy_reads(spark, sf, times=REPEATS).where("read_id = -1")))
 
 
+def _median(make, times: int = 3) -> float:
+    return sorted(metrics.timed(make) for _ in range(times))[times // 2]
+
+
 def w1_ablation(spark, sf):
-    """Supermers and sorting; more tasks than partitions; heavy tasks pre-counted: seconds, and the longest partition's keys to sort."""
+    """Supermers and sorting; more tasks than partitions; heavy tasks pre-counted: seconds, and the longest partition's keys to sort.
+
+    Rungs run in turn, three times over, each with the plan that its load is reported of.
+    """
     reads, p = _large(spark, sf), _parts(spark)
-    out, base = [], None
-    for rung in flagship.RUNGS:
-        s = metrics.timed(lambda r=rung: flagship.rung(reads, K31, r, p))
-        base = base or s
-        spec = K31.but(s=p) if rung == "supermer_sort" else K31
+    plans, times = {r: flagship.rung_plan(reads, K31, r, p) for r in flagship.RUNGS}, {r: [] for r in flagship.RUNGS}
+    for _ in range(3):
+        for r in flagship.RUNGS:
+            times[r].append(metrics.timed(lambda r=r: flagship.rung(reads, K31, r, p)))  # planning is part of the time
+    out, base = [], sorted(times[flagship.RUNGS[0]])[1]
+    for r, (spec, plan) in plans.items():
         sizes = flagship.kmers_per_task(reads, spec)
-        plan = flagship.make_plan(reads, spec, p, heavy=rung == "heavy_tasks", share=1.0, policy="modulo" if rung == "supermer_sort" else "greedy")
         sizes[plan.heavy] = 0
-        from seqcount.operators.tasks import loads
-
-        most = loads(sizes, plan.placed, p)
-        out.append({"rung": rung, "s": round(s, 2), "speedup": round(metrics.speedup(base, s), 2), "largest_over_mean_load": round(float(most.max() / most.mean()), 2)})
+        most, s = loads(sizes, plan.placed, p), sorted(times[r])[1]
+        out.append({"rung": r, "heavy_tasks": len(plan.heavy), "s": round(s, 2), "speedup": round(base / s, 2), "largest_over_mean_load": round(float(most.max() / most.mean()), 2), "runs": " ".join(f"{x:.2f}" for x in times[r])})
     return out
 
 
@@ -90,8 +96,9 @@ def w5_minimizer_length(spark, sf):
     return out
 
 
-def _child(name: str, sf: str, cores: int) -> dict:
-    done = subprocess.run([sys.executable, "-m", "seqcount.plans.workloads", name, "--sf", sf, "--cores", str(cores), "--json"], capture_output=True, text=True, check=True)
+def _child(name: str, sf: str, cores: int, master: str | None = None) -> dict:
+    command = [sys.executable, "-m", "seqcount.plans.workloads", name, "--sf", sf, "--cores", str(cores), "--json", *(["--master", master] if master else [])]
+    done = subprocess.run(command, capture_output=True, text=True, check=True)
     return json.loads(done.stdout.strip().splitlines()[-1])[0]
 
 
@@ -120,52 +127,70 @@ def w7_weak_scaling(spark, sf):
     return [{"cores": c, "s": round(s, 2), "efficiency": round(metrics.weak_efficiency(times[1], s), 2)} for c, s in times.items()]
 
 
+def w3_processes_and_threads(spark, sf):
+    """Eight cores as executors with so many threads each: one process, one a core, and between."""
+    out = []
+    for n, threads in ((1, 8), (2, 4), (4, 2), (8, 1)):
+        s = _child("_one_strong", sf, 8, f"local-cluster[{n},{threads},{12_000 // n}]")["s"]
+        out.append({"executors": n, "threads_each": threads, "s": round(s, 2)})
+    return out
+
+
+def _measured(spark, make) -> dict:
+    """Median seconds, most memory, and bytes shuffled of a way to count."""
+    return {"s": round(_median(lambda: counting.spectrum(make())), 2), "peak_mb": round(metrics.peak_memory(lambda: counting.spectrum(make())) / 1e6), "shuffle_mb": round(metrics.shuffle_bytes(spark, make) / 1e6, 1)}
+
+
 def w8_shared_memory(spark, sf):
+    """The method against the sorter of one machine, by input and k."""
     out = []
     for view in ("reads_small", "reads_pages", "reads_docs"):
         reads = _cached(src.VIEWS[view](spark, sf))
         for k in (17, 31, 55):
             spec = CountSpec(k=k)
-            out.append({"reads": view, "k": k, "shared_sort_s": round(_spectrum(lambda s=spec: baselines.count_shared_sort(reads, s)), 2), "method_s": round(metrics.timed(lambda s=spec: flagship.count_kmers(reads, s, as_spectrum=True)), 2)})
-            spark.catalog.clearCache()
-            reads = _cached(src.VIEWS[view](spark, sf))
+            a, b = _median(lambda s=spec: baselines.count_shared_sort(reads, s)), _median(lambda s=spec: flagship.count_kmers(reads, s))
+            out.append({"reads": view, "k": k, "shared_sort_s": round(a, 2), "method_s": round(b, 2), "method_is_faster_by": round(a / b, 2)})
     return out
 
 
 def w9_distributed_hash(spark, sf):
+    """The method against hash tables behind one and two exchanges: time, memory, bytes sent."""
     out = []
-    for name, reads in (("docs", _cached(src.reads_docs(spark, sf))), ("cov5", _large(spark, sf))):
-        for how, make in (("method", partial(flagship.count_kmers, reads, K31)), ("dist_hash", partial(baselines.count_dist_hash, reads, K31)), ("dist_hash_partial", partial(baselines.count_dist_hash, reads, K31, partial=True)), ("range_sort", partial(baselines.count_range_sort, reads, K31))):
-            out.append({"reads": name, "how": how, "s": round(_spectrum(make), 2), "peak_mb": round(metrics.peak_memory(lambda m=make: counting.spectrum(m())) / 1e6), "shuffle_mb": round(metrics.shuffle_bytes(spark, make) / 1e6, 1)})
+    for name, reads in (("docs", _cached(src.reads_docs(spark, sf))), ("cov5_and_repeat", _large(spark, sf))):
+        for how, make in (("method", flagship.count_kmers), ("dist_hash", baselines.count_dist_hash), ("dist_hash_partial", partial(baselines.count_dist_hash, partial=True)), ("two_pass", baselines.count_two_pass)):
+            out.append({"reads": name, "how": how} | _measured(spark, partial(make, reads, K31)))
+        spark.catalog.clearCache()
     return out
 
 
+def _one_supermer(spark, sf):
+    """Seconds for one number of cores, by k."""
+    reads, out = _cached(src.reads_docs(spark, sf)), {}
+    for k in (17, 31, 55):
+        spec = CountSpec(k=k)
+        for how, make in (("method", flagship.count_kmers), ("supermer_hash", baselines.count_supermer_hash), ("naive_minimizer", partial(baselines.count_supermer_hash, naive=True))):
+            metrics.timed(lambda: make(reads, spec))  # noqa: B023
+            out[f"{how}_k{k}"] = round(min(metrics.timed(lambda: make(reads, spec)) for _ in range(2)), 2)  # noqa: B023
+    return [out]
+
+
 def w10_supermer_hash(spark, sf):
-    reads = _cached(src.reads_docs(spark, sf))
-    return [{"k": k, "method_s": round(metrics.timed(lambda s=s: flagship.count_kmers(reads, s, as_spectrum=True)), 2), "supermer_hash_s": round(_spectrum(lambda s=s: baselines.count_supermer_hash(reads, s)), 2), "naive_minimizer_s": round(_spectrum(lambda s=s: baselines.count_supermer_hash(reads, s, naive=True)), 2)} for k in (17, 31, 55) for s in [CountSpec(k=k)]]
+    """The method against hash tables behind supermers, by cores and k."""
+    return [{"cores": c} | _child("_one_supermer", sf, c) for c in (2, 4, 8)]
 
 
 def w11_pipeline(spark, sf):
-    """Reading FASTA, counting with locations, overlap candidates: with the method, and with two hash passes before the index."""
-    import tempfile
-
-    path = f"{tempfile.mkdtemp()}/fa"
+    """Reading FASTA, counting with locations, overlap candidates: with the method, and with the two-pass counter."""
+    path = new_folder(spark, "fasta")
     fasta.write_fasta(src.reads_docs(spark, sf), path)
     reads = fasta.read_fasta(spark, path).select("read_id", "seq")
-
-    def two_pass():
-        reliable = baselines.count_two_pass(reads, K31).where("cnt between 2 and 50")
-        from pyspark.sql import functions as F
-
-        from seqcount.operators.prepare import extract_kmers
-
-        found = extract_kmers(reads, K31, ext=True).join(reliable, "kmer")
-        lists = found.groupBy("kmer", "cnt").agg(F.array_sort(F.collect_list(F.struct("read_id", "pos"))).alias("occ"))
-        return index.overlap_candidates(lists, 2)
-
-    a = metrics.timed(lambda: index.overlap_candidates(index.kmer_index(reads, K31), 2))
-    b = metrics.timed(two_pass)
-    return [{"counter": "method", "s": round(a, 2), "speedup": round(b / a, 2)}, {"counter": "two_pass_hash", "s": round(b, 2), "speedup": 1.0}]
+    ways = {
+        "method": lambda: index.overlap_candidates(index.kmer_index(reads, K31), 2), "method_plain_locations": lambda: index.overlap_candidates(index.kmer_index(reads, K31, locations="plain"), 2),
+        "two_pass_hash": lambda: index.overlap_candidates(baselines.index_two_pass(reads, K31), 2), "native_aggregation": lambda: index.overlap_candidates(index.kmer_index_native(reads, K31), 2),
+    }
+    times = {n: _median(f) for n, f in ways.items()}
+    delete_folder(spark, path)
+    return [{"counter": n, "s": round(s, 2), "method_is_faster_by": round(s / times["method"], 2)} for n, s in times.items()]
 
 
 def w12_balance(spark, sf):
@@ -184,16 +209,19 @@ def w13_volume(spark, sf):
 
 
 def w14_location_bytes(spark, sf):
-    """Bytes of a k-mer with its location as supermers, with locations as they are and compressed."""
-    supers = sm.build_supermers(src.reads_docs(spark, sf), K31)
+    """Bytes of k-mers with locations as supermers, one location for each k-mer, plain and coded; then as the index sends them, one for each supermer."""
+    reads = _cached(src.reads_docs(spark, sf))
+    supers = sm.build_supermers(reads, K31)
     bases = exchange.exchange_bytes(supers, K31).first()["supermer_bytes"]
-    rows = sm.expand_supermers(supers, K31, ("task", "read_id", "pos")).cache()
     out = []
-    for mode in ("pair", "per_field"):
-        r = exchange.location_bytes(rows, mode).first()
-        out.append({"layout": mode, "plain": bases + r["raw_bytes"], "coded": bases + r["coded_bytes"], "saved": round(1 - (bases + r["coded_bytes"]) / (bases + r["raw_bytes"]), 3)})
-    whole = supers.count()
-    out.append({"layout": "per_supermer", "plain": bases + r["raw_bytes"], "coded": bases + 12 * whole, "saved": round(1 - (bases + 12 * whole) / (bases + r["raw_bytes"]), 3)})
+    for r in exchange.location_bytes(sm.expand_supermers(supers, K31, ("task", "read_id", "pos"))).collect():
+        out.append({"layout": f"each k-mer, {r['mode']}", "bytes": bases + r["coded_bytes"], "saved": round(1 - (bases + r["coded_bytes"]) / (bases + r["raw_bytes"]), 3), "index_s": ""})
+    plan, plain = flagship.make_plan(reads, K31), None
+    for how in exchange.LOCATIONS:
+        blocks = exchange.make_blocks(reads, K31, plan.placed, plan.heavy[:0], plan.partitions, ext=True, locations=how)
+        n = blocks.selectExpr("sum(octet_length(payload)) as n").first()["n"]
+        plain = plain or n
+        out.append({"layout": f"each supermer, {how}", "bytes": n, "saved": round(1 - n / plain, 3), "index_s": round(_median(lambda h=how: index.kmer_index(reads, K31, locations=h)), 2)})
     return out
 
 
@@ -225,41 +253,67 @@ def w16_sort_or_hash(spark, sf):
 
 
 def w18_heavy(spark, sf):
-    """A tandem repeat: keys that one partition sorts with and without pre-counting."""
+    """A tandem repeat: keys that one partition sorts with and without pre-counting, as the plan finds it by itself."""
     reads = _cached(src.heavy_reads(spark, sf, times=REPEATS))
     sizes = flagship.kmers_per_task(reads, K31)
-    from seqcount.operators.tasks import heavy_tasks
-
-    heavy = heavy_tasks(sizes, 3.0)
     out = []
     for on in (False, True):
-        s = metrics.timed(lambda on=on: flagship.count_kmers(reads, K31, heavy=on, share=1.0, as_spectrum=True))
+        plan = flagship.make_plan(reads, K31, heavy=on)
+        s = _median(lambda on=on: flagship.count_kmers(reads, K31, heavy=on, as_spectrum=True))
         rest = sizes.copy()
-        if on:
-            rest[heavy] = 0
-        out.append({"pre_counted": on, "heavy_tasks": len(heavy), "largest_task_over_mean": round(float(rest.max() / sizes.mean()), 2), "s": round(s, 2)})
+        rest[plan.heavy] = 0
+        pairs = exchange.make_blocks(reads, K31, plan.placed, plan.heavy, plan.partitions).where("kind = 1").selectExpr("coalesce(sum(n), 0) as n").first()["n"]
+        out.append({"pre_counted": on, "heavy_tasks": len(plan.heavy), "elements_before": int(sizes[heavy_tasks(sizes)].sum()), "pairs_sent": pairs, "largest_task_over_mean": round(float(rest.max() / sizes.mean()), 2), "s": round(s, 2)})
     return out
 
 
+def _received(port_of, k: int) -> None:
+    """The other end of the line: takes rounds, parses each, and says so."""
+    import socket
+    import struct
+
+    line = socket.create_connection(("127.0.0.1", port_of))
+    stream = line.makefile("rb")
+    while head := stream.read(8):
+        n, size = struct.unpack("<II", head)
+        n_bases, packed, _, _ = exchange.unpack_block(n, stream.read(size))
+        kernel.valid_kmers(kernel.unpack_runs(packed, n_bases)[0], k)
+        line.sendall(b"!")
+
+
 def w19_overlap(spark, sf):
-    """Model of double buffers on this corpus: pack, send at 1 GB/s, parse; seconds of rounds of 80,000 bytes."""
+    """Rounds of packing, sending to another process and parsing there, one after another and with a buffer in flight: measured seconds."""
+    import multiprocessing
+    import socket
+    import struct
     import time
 
-    import numpy as np
-
-    codes = np.random.default_rng(0).integers(0, 4, 1 << 22).astype(np.uint8)
-    began = time.monotonic()
-    found = kernel.find_supermers(codes, K31)
-    packed, _ = kernel.pack_runs(codes, found.begin, found.n_bases)
-    pack_s = time.monotonic() - began
-    began = time.monotonic()
-    back, _ = kernel.unpack_runs(packed, found.n_bases)
-    kernel.valid_kmers(back, 31)
-    parse_s = time.monotonic() - began
-    rounds = max(1, len(packed) // 80_000)
-    send_s = (pack_s + parse_s) / 2  # a network that takes about as long as the work beside it, where overlap pays most
-    a, b = exchange.overlap_model([send_s / rounds] * rounds, [pack_s / rounds] * rounds, [parse_s / rounds] * rounds)
-    return [{"rounds": rounds, "overlapped_s": round(a, 3), "plain_s": round(b, 3), "gain": round(b / a, 2)}]
+    rows = src.reads_docs(spark, sf).select("seq").limit(3000).toArrow()["seq"].combine_chunks()
+    rounds = [codes for _, _, _, codes in kernel.groups(rows, 1 << 17)]
+
+    def run(in_flight: int) -> float:
+        server = socket.create_server(("127.0.0.1", 0))
+        other = multiprocessing.get_context("spawn").Process(target=_received, args=(server.getsockname()[1], 31))
+        other.start()
+        line, _ = server.accept()
+        waiting, began = 0, time.monotonic()
+        for codes in rounds:
+            found = kernel.find_supermers(codes, K31)
+            body = exchange.pack_block(found.n_bases, kernel.pack_runs(codes, found.begin, found.n_bases)[0])
+            line.sendall(struct.pack("<II", len(found.begin), len(body)) + body)
+            waiting += 1
+            while waiting > in_flight:
+                waiting -= len(line.recv(1))
+        while waiting:
+            waiting -= len(line.recv(1))
+        took = time.monotonic() - began
+        line.close()
+        other.join()
+        server.close()
+        return took
+
+    times = {n: sorted(run(n) for _ in range(3))[1] for n in (0, 1)}
+    return [{"rounds": len(rounds), "rounds_in_flight": n, "s": round(s, 2), "gain": round(times[0] / s, 2)} for n, s in times.items()]
 
 
 def w20_any_keys(spark, sf):
@@ -267,7 +321,7 @@ def w20_any_keys(spark, sf):
     return [{"how": h, "s": round(metrics.timed(lambda h=h: baselines.count_keys(rows, "l_partkey", h)), 2)} for h in ("sort", "range", "hash", "precount")]
 
 
-WORKLOADS = {n: f for n, f in list(globals().items()) if n[0] == "w" and n[1:2].isdigit()} | {"_one_strong": _one_strong, "_one_weak": _one_weak}
+WORKLOADS = {n: f for n, f in list(globals().items()) if n[0] == "w" and n[1:2].isdigit()} | {"_one_strong": _one_strong, "_one_weak": _one_weak, "_one_supermer": _one_supermer}
 
 
 def main(args: list[str]) -> None:
@@ -278,7 +332,7 @@ def main(args: list[str]) -> None:
     from pyspark.sql import SparkSession
 
     spark = (
-        SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", str(2 * int(cores))).config("spark.driver.memory", "8g")
+        SparkSession.builder.master(option("--master", f"local[{cores}]")).config("spark.executor.memory", "1g" if "--master" in args else "8g").config("spark.sql.shuffle.partitions", str(2 * int(cores))).config("spark.driver.memory", "8g")
         .config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").config("spark.sql.files.maxPartitionBytes", "4m").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")

@@ -80,7 +80,8 @@ def without_rows(docs: DataFrame, gone: DataFrame, id_col: str, text_col: str) -
 
     ``gone`` has one row per dropped row; ``spare`` marks those that repeat the id and
     the text of a row that stays. They're broadcast if counted as few, else shuffled;
-    texts move only in the second case. Of repeats of one row, one stays.
+    texts move only in the second case. Of rows that repeat an id and a text, one stays,
+    whichever; if their other columns differ, which of them stays isn't defined.
     """
     rid, rfp = fresh(docs, "rid", "rfp")
     kept = docs.withColumn(rid, F.col(id_col)).withColumn(rfp, text_fingerprint(text_col))

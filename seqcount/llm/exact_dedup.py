@@ -90,6 +90,7 @@ def drop_exact_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
 
 
 def op1_exact_dedup(spark, sf_dir: str) -> DataFrame:
+    """Every document with the row that stays for its text; see ``exact_dedup`` for null, empty and repeated rows."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     found = exact_dedup(docs, keep="largest")
     return found.select(F.col("rid").alias("doc_id"), "keep_id", "group_size", "kept", "text_sha256")

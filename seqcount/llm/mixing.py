@@ -92,6 +92,7 @@ def mix_sources(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
 
 def op10_mixing(spark, sf_dir: str) -> DataFrame:
+    """Every document with the words that the mix takes of it; null texts have none, null is a source, repeats share their draw."""
     found = mix_sizes(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select(
         F.col("rid").alias("doc_id"), F.col("m_size").alias("size"), "source_size", "target", (F.col("m_size") * F.col("m_copies")).alias("taken")

@@ -226,6 +226,7 @@ def shard_by_bytes(docs: DataFrame, n_shards: int, id_col: str = "doc_id", text_
 
 
 def op3_sharding(spark, sf_dir: str) -> DataFrame:
+    """Every document's shard and slot among 40; see ``shard_by_bytes`` for null, empty and repeated rows."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     return shard_by_bytes(docs, 40).select(
         F.col("rid").alias("doc_id"),

@@ -490,5 +490,6 @@ def drop_near_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
 
 
 def op9_simhash(spark, sf_dir: str) -> DataFrame:
+    """Every document's fingerprint and component; see ``near_duplicates`` for null, empty and repeated rows."""
     found = near_duplicates(spark.read.parquet(f"{sf_dir}/documents.parquet"))
     return found.select(F.col("rid").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.col("least").alias("component_id"))

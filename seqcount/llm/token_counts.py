@@ -22,7 +22,9 @@ def suffix_sums(histogram: DataFrame) -> DataFrame:
     docs_from, tokens_from: documents at least as long, and their tokens; docs_below:
     the rest, so that a quantile is the first length whose docs_below + docs reaches it;
     truncated_tokens: tokens if each document is cut at this length. Sums run within
-    blocks of lengths, and over the blocks' totals, which are few.
+    blocks of lengths, and over the blocks' totals: n different lengths are n^2 / 2 tokens
+    at least, so 10^14 tokens have 1.4 x 10^7 lengths at most, and one task gets a 64th of
+    these, whatever the number of documents. An empty histogram gives no rows.
     """
     h = histogram.select("n_tokens", "docs", (F.col("n_tokens") * F.col("docs")).alias("tokens"), F.floor(F.col("n_tokens") / BLOCK).alias("block"))
     totals = h.groupBy("block").agg(F.sum("docs").alias("block_docs"), F.sum("tokens").alias("block_tokens"))
@@ -50,7 +52,10 @@ def suffix_sums(histogram: DataFrame) -> DataFrame:
 
 
 def limit_answers(sums: DataFrame, limits: list[int]) -> DataFrame:
-    """(limit_tokens, docs_over, tokens_kept) for any limits, also those that no document has as its length."""
+    """(limit_tokens, docs_over, tokens_kept) for any limits, also those that no document has as its length.
+
+    The limits, a stated few, are compared with every length, of which there are few (``suffix_sums``).
+    """
     wanted = sums.sparkSession.createDataFrame([(int(x),) for x in limits], "limit_tokens long")
     end = sums.agg(F.max(F.col("docs_below") + F.col("docs")).alias("all_docs"), F.max("truncated_tokens").alias("all_tokens"))
     above = wanted.join(sums, F.col("n_tokens") > F.col("limit_tokens")).groupBy("limit_tokens").agg(F.min_by(F.struct("n_tokens", "docs_from", "truncated_tokens"), "n_tokens").alias("next"))
@@ -70,4 +75,5 @@ def length_at(sums: DataFrame, shares: list[float]) -> DataFrame:
 
 
 def op8_token_counts(spark, sf_dir: str) -> DataFrame:
+    """The answers for every length that a document has; null and empty texts are of length 0, repeated rows count each."""
     return suffix_sums(length_histogram(spark.read.parquet(f"{sf_dir}/documents.parquet")))

@@ -14,7 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seqcount.llm.common import checkpointed, join_by_weight, shared_folder
+from seqcount.llm.common import checkpointed, join_by_weight
+from seqcount.session import delete_folder, new_folder
 
 VERSION = b"WARC/1.1"
 #: An archive is closed once it has so many bytes, so that a reader's memory is bounded.
@@ -297,13 +298,14 @@ _COLUMNS = ("file", "offset", "length", "kind", "reason", "type", "record_id", "
 _SCHEMA = pa.schema([(c, pa.binary() if c == "payload" else pa.int64() if c in ("offset", "length", "payload_bytes") else pa.string()) for c in _COLUMNS])
 
 
-def _batches(name: str, data: bytes, payloads: bool, rows: int = 512) -> Iterator[pa.RecordBatch]:
-    held = []
+def _batches(name: str, data: bytes, payloads: bool, rows: int = 512, most_bytes: int = 1 << 24) -> Iterator[pa.RecordBatch]:
+    held, size = [], 0
     for row in salvage(data):
         held.append({"file": name} | row | ({} if payloads else {"payload": None}))
-        if len(held) == rows:
+        size += len(held[-1].get("payload") or b"")
+        if len(held) == rows or size >= most_bytes:
             yield pa.RecordBatch.from_pylist(held, schema=_SCHEMA)
-            held = []
+            held, size = [], 0
     if held:
         yield pa.RecordBatch.from_pylist(held, schema=_SCHEMA)
 
@@ -333,12 +335,20 @@ def read_warc(spark, path: str, payloads: bool = True) -> DataFrame:
 
 
 def op6_warc(spark, sf_dir: str) -> DataFrame:
-    folder = f"{shared_folder(spark)}/warc-{uuid.uuid4().hex}"
+    """Every page as the archives give it back; see ``archive_pages`` for null, empty and repeated rows.
+
+    These archives are whole, so the gaps that ``read_archives`` logs are none; they're
+    deleted once they've been read.
+    """
+    folder = new_folder(spark, "warc")
     manifest = archive_pages(spark.read.parquet(f"{sf_dir}/pages.parquet"), folder)
     found = read_archives(manifest, folder, payloads=False).where("kind = 'record'")
     page = lambda c: F.regexp_extract(c, r"^<urn:x-page:(-?\d+)>$", 1)
     number = lambda c: F.when(page(c) != "", page(c).cast("long"))
-    return found.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", F.col("type").alias("record_type"), number("refers_to_id").alias("refers_to"))
+    pages = found.select(number("record_id").alias("page_id"), "payload_bytes", "payload_digest", F.col("type").alias("record_type"), number("refers_to_id").alias("refers_to"))
+    pages = checkpointed(pages)
+    delete_folder(spark, folder)
+    return pages
 
 
 #: Base 32 by the digest's bits, five at a time.

@@ -64,6 +64,16 @@ def test_stages_hand_on_whole_rows(spark, tmp_path):
 def test_odd_tables(spark, tmp_path):
     rows = [(1, None, "en", None, 0), (1, None, "en", None, 0), (2, "", None, "s", None), (None, "a b c", "en", "s", 5), (3, "w " * 50_000, "en", "s", 1)]
     docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.selectExpr("*", "1 as score", "2 as n_tokens", "3 as __score", "4 as fp")
     for frame in (docs, docs.limit(0)):
-        for _, stage in corpus_pipeline.STAGES[1:]:
-            stage(spark, frame, SF).collect()
+        some = bool(frame.count())
+        got = {name: stage(spark, frame, SF) for name, stage in corpus_pipeline.STAGES}
+        for name, out in got.items():
+            assert out.columns == (["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"] if name == "bpe" else docs.columns)
+        kept = {name: sorted(map(repr, (r["doc_id"] for r in out.collect()))) for name, out in got.items()}
+        assert set(kept["quality"]) <= {"1", "2", "None", "3"} if some else not kept["quality"]
+        # the texts are empty (1 twice, 2), three words, and one word repeated
+        assert kept["exact_dedup"] == kept["exact_dedup"] and len(kept["exact_dedup"]) == (3 if some else 0)
+        assert kept["exact_dedup"] == (["2", "3", "None"] if some else []) and kept["near_dedup"] == (["1", "3", "None"] if some else [])
+        assert all(kept["mixing"].count(i) <= 2 * len([1 for r in rows if repr(r[0]) == i]) for i in kept["mixing"])
+        assert kept["bpe"] == (sorted(repr(r[0]) for r in rows) if some else [])

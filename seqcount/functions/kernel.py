@@ -187,7 +187,7 @@ def valid_kmers(codes: np.ndarray, k: int, canonical: bool = False) -> list[np.n
 
 
 #: Elements of a bucket that is sorted by comparison; elements that the exchange in place moves at once; bits of a digit.
-BUCKET, MOVED, DIGIT_BITS = 1 << 15, 1 << 14, 11
+BUCKET, MOVED, DIGIT_BITS = 1 << 17, 1 << 14, 11
 
 
 def _top_bit(words: list[np.ndarray], bits: int | None) -> int:

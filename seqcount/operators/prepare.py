@@ -14,12 +14,14 @@ from seqcount.spec import CountSpec
 def prepare_reads(reads: DataFrame, spec: CountSpec) -> DataFrame:
     """(read_id, frag_off, seq): rows of ``spec.chunk`` bases at most that overlap by k - 1, so each window is in one row.
 
-    Reads that are null or shorter than k have no window and go. Narrow: no shuffle.
+    Reads that are null or shorter than k have no window and go: they have no pieces. A
+    filter would be pushed below what makes the sequence, which then ran twice, and before
+    reads are spread. Narrow: no shuffle.
     """
     step = spec.chunk - spec.k + 1
-    long_enough = reads.select("read_id", "seq").where(F.length("seq") >= spec.k)
     starts = F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil((F.length("seq") - spec.chunk) / step)).cast("int"))
-    body = long_enough.select("read_id", F.col("seq").cast("binary").alias("body"), F.explode(starts).alias("piece"))
+    starts = F.when(F.length("seq") >= spec.k, starts)
+    body = reads.select("read_id", "seq").select("read_id", F.col("seq").cast("binary").alias("body"), F.explode(starts).alias("piece"))
     return body.select("read_id", (F.col("piece") * step).alias("frag_off"), F.substring("body", F.col("piece") * step + 1, F.lit(spec.chunk)).cast("string").alias("seq"))
 
 

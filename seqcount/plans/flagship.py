@@ -55,9 +55,9 @@ def kmers_per_task(reads: DataFrame, spec: CountSpec, share: float = 1.0) -> np.
 
 def sampled_pieces(reads: DataFrame, spec: CountSpec, share: float) -> DataFrame:
     """(read_id, seq): a share of the reads' pieces, by hash; pieces overlap by k - 1, so a window is in one of them."""
-    pieces = F.sequence(F.lit(0), F.floor((F.length("seq") - spec.k) / SIZE_PIECE).cast("int"))
+    pieces = F.when(F.length("seq") >= spec.k, F.sequence(F.lit(0), F.floor((F.length("seq") - spec.k) / SIZE_PIECE).cast("int")))
     taken = F.filter(pieces, lambda i: F.pmod(F.xxhash64(F.col("read_id"), i), F.lit(1 << 16)) < int(share * (1 << 16)))
-    cut = reads.select("read_id", "seq").where(F.length("seq") >= spec.k).select("read_id", F.col("seq").cast("binary").alias("body"), F.explode(taken).alias("piece"))
+    cut = reads.select("read_id", "seq").select("read_id", F.col("seq").cast("binary").alias("body"), F.explode(taken).alias("piece"))
     return cut.select("read_id", F.substring("body", F.col("piece") * SIZE_PIECE + 1, F.lit(SIZE_PIECE + spec.k - 1)).cast("string").alias("seq"))
 
 

@@ -145,6 +145,25 @@ def test_long_runs_are_cut_to_sixteen_bits():
     assert found.n_bases.max() <= kernel.MAX_BASES and (found.n_bases - 30).sum() == 200_000 - 30
 
 
+@pytest.mark.parametrize("method", ["inplace", "aux_radix"])
+@pytest.mark.parametrize("bucket, moved", [(1 << 17, 1 << 14), (64, 16), (5, 3)])
+def test_radix_sorts_of_any_width_and_weight(monkeypatch, method, bucket, moved):
+    monkeypatch.setattr(kernel, "BUCKET", bucket)
+    monkeypatch.setattr(kernel, "MOVED", moved)
+    rng = np.random.default_rng(bucket)
+    for n in (0, 1, 2, 7, 100, 2500):
+        for words in (1, 2):
+            for weighted in (False, True):
+                for high in (1, 5, 1 << 20, 1 << 62):
+                    keys = [rng.integers(0, min(high, 1 << 48) if words == 2 and not i else high, n) for i in range(words)]
+                    weights = rng.integers(1, 9, n) if weighted else None
+                    want = {}
+                    for i, key in enumerate(zip(*(x.tolist() for x in keys))):
+                        want[key] = want.get(key, 0) + (int(weights[i]) if weighted else 1)
+                    got, counts = kernel.count_runs([x.copy() for x in keys], weights, method)
+                    assert list(zip(zip(*(x.tolist() for x in got)), counts.tolist())) == sorted(want.items())
+
+
 @pytest.mark.parametrize("method", ["inplace", "aux_radix"])
 @pytest.mark.parametrize("words", [1, 2])
 def test_counts_of_runs(method, words):

@@ -145,7 +145,3 @@ def test_every_rung_gives_the_same_spectrum(spark):
     by_rung = {name: sorted((r["cnt"], r["n_kmers"]) for r in rows if r["rung"] == name) for name in {r["rung"] for r in rows}}
     assert len(by_rung) == 3 and len(set(map(tuple, by_rung.values()))) == 1
     assert {r["heavy"] > 0 for r in rows if r["rung"] == "heavy_tasks"} == {True}
-    if name == "hll_distinct":
-        assert abs(rows[0]["estimate"] - rows[0]["exact"]) < 0.05 * rows[0]["exact"]
-    if name == "task_assignment":
-        assert sum(r["heavy"] for r in rows) == 1 and len(rows) == 256

@@ -19,6 +19,10 @@ for _i, _c in enumerate(b"ACGT"):
     _CODE[_c] = _i
 
 
+#: Bits of a run's last byte that its bases fill, by the number of bases modulo 4.
+_LAST = np.array([0xFF, 0xC0, 0xF0, 0xFC], np.uint8)
+
+
 def rolling_pack(codes: np.ndarray, length: int) -> np.ndarray:
     """Packed word of the ``length`` codes from each position, by doubling; garbage where a code is 4."""
     n = len(codes) - length + 1
@@ -158,11 +162,13 @@ def pack_runs(codes: np.ndarray, begin: np.ndarray, n_bases: np.ndarray) -> tupl
     """(bytes, offsets): each run at 2 bits a base, first base in the high bits, beginning at a byte."""
     n_bytes = -(-n_bases // 4)
     offsets = np.concatenate([[0], np.cumsum(n_bytes)])
-    run = np.repeat(np.arange(len(begin)), 4 * n_bytes)
-    place = np.arange(4 * offsets[-1]) - 4 * offsets[run]
-    take = np.minimum(begin[run] + place, len(codes) - 1) if len(codes) else place
-    bases = np.where(place < n_bases[run], codes[take] & 3, 0).astype(np.uint8).reshape(-1, 4)
-    return (bases[:, 0] << 6) | (bases[:, 1] << 4) | (bases[:, 2] << 2) | bases[:, 3], offsets
+    if not len(begin):
+        return np.zeros(0, np.uint8), offsets
+    bases = np.concatenate([codes & 3, np.zeros(3, np.uint8)])
+    four = (bases[:-3] << 6) | (bases[1:-2] << 4) | (bases[2:-1] << 2) | bases[3:]  # from each base on
+    out = four[np.repeat(begin - 4 * offsets[:-1], n_bytes) + 4 * np.arange(offsets[-1])]
+    out[offsets[1:] - 1] &= _LAST[n_bases & 3]
+    return out, offsets
 
 
 def unpack_runs(packed: np.ndarray, n_bases: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -180,6 +186,41 @@ def unpack_runs(packed: np.ndarray, n_bases: np.ndarray) -> tuple[np.ndarray, np
     return codes, begins[:-1]
 
 
+def run_starts(packed: np.ndarray, n_bases: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(run, place in the run, bit in ``packed``) of each k-mer of packed runs, one run after another."""
+    n = n_bases - k + 1
+    n_bytes = -(-n_bases // 4)
+    before = np.cumsum(n) - n
+    run = np.repeat(np.arange(len(n)), n)
+    place = np.arange(len(run)) - before[run]
+    return run, place, 8 * (np.cumsum(n_bytes) - n_bytes)[run] + 2 * place
+
+
+def run_kmers(packed: np.ndarray, n_bases: np.ndarray, k: int, canonical: bool = False, bits: np.ndarray | None = None) -> list[np.ndarray]:
+    """Packed words of the k-mers of packed runs, each read from the bytes that it lies in: work for each k-mer, not for each base."""
+    if not len(n_bases):
+        return [np.zeros(0, np.int64)] * (1 if k <= ONE_WORD else 2)
+    if canonical:
+        return valid_kmers(unpack_runs(packed, n_bases)[0], k, True)
+    bits = run_starts(packed, n_bases, k)[2] if bits is None else bits
+    padded = np.concatenate([packed, np.zeros(24, np.uint8)])
+    n = len(padded) - 8
+    eight = np.zeros(n, np.uint64)  # the eight bytes from each byte on
+    for i in range(8):
+        eight <<= np.uint64(8)
+        eight |= padded[i : i + n]
+
+    def words(skip: int, length: int) -> np.ndarray:
+        at = bits + 2 * skip
+        byte, shift = at >> 3, (at & 7).astype(np.uint64)
+        word = eight[byte] << shift
+        word |= padded[byte + 8] >> (np.uint64(8) - shift)
+        word >>= np.uint64(64 - 2 * length)
+        return word.view(np.int64)
+
+    return [words(0, k)] if k <= ONE_WORD else [words(0, k - ONE_WORD), words(k - ONE_WORD, ONE_WORD)]
+
+
 def valid_kmers(codes: np.ndarray, k: int, canonical: bool = False) -> list[np.ndarray]:
     """Packed words of the k-mers without a 4."""
     ok = window_valid(codes, k)

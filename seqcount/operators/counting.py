@@ -13,7 +13,9 @@ from seqcount.operators.prepare import kmer_array, kmer_fields, words_of
 from seqcount.spec import CountSpec
 
 #: k-mers that a receiver expands before it counts them.
-EXPAND_KMERS = 1 << 22
+EXPAND_KMERS = 1 << 20
+#: Pairs (k-mer, count) of a task that are held at once; tasks with more are counted by ranges of k-mers, one after another.
+HELD_PAIRS = 1 << 23
 
 
 def choose_sort(task_bytes: int, free_bytes: int) -> str:
@@ -24,13 +26,17 @@ def choose_sort(task_bytes: int, free_bytes: int) -> str:
 
 
 class Counter:
-    """Counts of one task: expanded parts are sorted and scanned, and their lists merged by another sort and scan."""
+    """Counts of one task: expanded parts are sorted and scanned, and their lists merged by another sort and scan.
+
+    What came stays packed. If the lists outgrow ``HELD_PAIRS``, the upper k-mers are put
+    off to a further pass over it, so memory doesn't follow the different k-mers of a task.
+    """
 
     def __init__(self, spec: CountSpec, method: str):
         self.spec, self.method = spec, method
-        self.parts: list[tuple[list[np.ndarray], np.ndarray]] = []
+        self.lists: list[tuple[list[np.ndarray], np.ndarray]] = []
         self.blocks: list[tuple[np.ndarray, np.ndarray]] = []
-        self.waiting = 0
+        self.pairs = 0
 
     def add_block(self, n: int, payload: bytes) -> None:
         n_bases, packed, _, _ = exchange.unpack_block(n, payload)
@@ -38,35 +44,76 @@ class Counter:
 
     def add_packed(self, n_bases: np.ndarray, packed: np.ndarray) -> None:
         self.blocks.append((n_bases, packed))
-        self.waiting += int(n_bases.sum()) - len(n_bases) * (self.spec.k - 1)
-        if self.waiting >= EXPAND_KMERS:
-            self._expand()
 
     def add_list(self, n: int, payload: bytes) -> None:
-        self.parts.append(exchange.unpack_list(n, payload, self.spec.words))
-        self.waiting += n
-        if self.waiting >= EXPAND_KMERS:
-            self._merge()
-            self.waiting = 0
-
-    def _expand(self) -> None:
-        if self.blocks:
-            codes, _ = kernel.unpack_runs(np.concatenate([b[1] for b in self.blocks]), np.concatenate([b[0] for b in self.blocks]))
-            self.parts.append(self._count(kernel.valid_kmers(codes, self.spec.k, self.spec.canonical)))
-        self.blocks, self.waiting = [], 0
+        self.lists.append(exchange.unpack_list(n, payload, self.spec.words))
+        self.pairs += n
+        if self.pairs >= EXPAND_KMERS and len(self.lists) > 1:
+            self.lists, self.pairs = [self._merged(self.lists)], 0
+
+    def _parts(self):
+        """Lists of what came, each of about EXPAND_KMERS k-mers."""
+        yield from self.lists
+        held, waiting = [], 0
+        for block in self.blocks:
+            held.append(block)
+            waiting += int(block[0].sum()) - len(block[0]) * (self.spec.k - 1)
+            if waiting >= EXPAND_KMERS:
+                yield self._count(self._expanded(held))
+                held, waiting = [], 0
+        if held:
+            yield self._count(self._expanded(held))
+
+    def _expanded(self, blocks: list) -> list[np.ndarray]:
+        n_bases, packed = (np.concatenate([b[i] for b in blocks]) for i in (0, 1))
+        return kernel.run_kmers(packed, n_bases, self.spec.k, self.spec.canonical)
 
     def _count(self, words):
         return hash_count(words) if self.method == "hash" else kernel.count_runs(words, method=self.method)
 
-    def _merge(self) -> None:
-        if len(self.parts) > 1:
-            words = [np.concatenate([p[0][i] for p in self.parts]) for i in range(self.spec.words)]
-            self.parts = [kernel.count_runs(words, np.concatenate([p[1] for p in self.parts]), "inplace" if self.method == "inplace" else "aux_radix")]
+    def _merged(self, parts: list):
+        if len(parts) == 1:
+            return parts[0]
+        words = [np.concatenate([p[0][i] for p in parts]) for i in range(len(parts[0][0]))]
+        return kernel.count_runs(words, np.concatenate([p[1] for p in parts]), "inplace" if self.method == "inplace" else "aux_radix")
+
+    def pieces(self):
+        """(words, counts) of one range of k-mers after another; each k-mer is in one of them."""
+        total, least, more = sum(int(b[0].sum()) - len(b[0]) * (self.spec.k - 1) for b in self.blocks) + self.pairs, None, True
+        while more:
+            parts, held, most, seen, more = [], 0, None, 0, False
+            for words, n in self._parts():
+                seen += int(n.sum())
+                parts.append(_within(words, n, least, most))
+                held += len(parts[-1][1])
+                if held < HELD_PAIRS or len(parts) == 1:
+                    continue
+                parts = [self._merged(parts)]
+                held = len(parts[0][1])
+                first = np.sort(parts[0][0][0]) if self.method == "hash" else parts[0][0][0]
+                # the rest of the task may bring as many again, so the range is cut by what has been seen of it
+                cut = int(first[int(held * min(0.5, 0.75 * seen / max(seen, total)))])
+                if held >= HELD_PAIRS // 2 and cut > int(first[0]):
+                    most, more = cut, True
+                    parts = [_within(*parts[0], None, most)]
+                    held = len(parts[0][1])
+            if parts:
+                yield self._merged(parts)
+            least = most
 
     def result(self) -> tuple[list[np.ndarray], np.ndarray]:
-        self._expand()
-        self._merge()
-        return self.parts[0] if self.parts else ([np.zeros(0, np.int64)] * self.spec.words, np.zeros(0, np.int64))
+        found = list(self.pieces())
+        if not found:
+            return [np.zeros(0, np.int64)] * self.spec.words, np.zeros(0, np.int64)
+        return [np.concatenate([f[0][i] for f in found]) for i in range(len(found[0][0]))], np.concatenate([f[1] for f in found])
+
+
+def _within(words: list[np.ndarray], n: np.ndarray, least: int | None, most: int | None) -> tuple[list[np.ndarray], np.ndarray]:
+    """The pairs whose first word is from ``least`` on and below ``most``."""
+    if least is None and most is None:
+        return words, n
+    ok = (words[0] >= (least or 0)) & (words[0] < most) if most is not None else words[0] >= least
+    return [w[ok] for w in words], n[ok]
 
 
 def hash_count(words: list[np.ndarray]) -> tuple[list[np.ndarray], np.ndarray]:
@@ -85,7 +132,7 @@ def count_spilling(received: DataFrame, spec: CountSpec) -> DataFrame:
                 body = payload.as_buffer()
                 if kind == exchange.SUPERMERS:
                     n_bases, packed, _, _ = exchange.unpack_block(n, body)
-                    words = kernel.valid_kmers(kernel.unpack_runs(packed, n_bases)[0], spec.k, spec.canonical)
+                    words = kernel.run_kmers(packed, n_bases, spec.k, spec.canonical)
                     times = np.ones(len(words[0]), np.int64)
                 else:
                     words, times = exchange.unpack_list(n, body, spec.words)
@@ -113,12 +160,12 @@ def count_blocks(received: DataFrame, spec: CountSpec, method: str = "aux_radix"
             for t, kind, n, payload in zip(batch.column("task").to_pylist(), batch.column("kind").to_pylist(), batch.column("n").to_pylist(), batch.column("payload"), strict=True):
                 if t != task:
                     if counter:
-                        yield counter.result()
+                        yield from counter.pieces()
                     task, counter = t, Counter(spec, method)
                 body = payload.as_buffer()
                 counter.add_block(n, body) if kind == exchange.SUPERMERS else counter.add_list(n, body)
         if counter:
-            yield counter.result()
+            yield from counter.pieces()
 
     def kept(batches):
         for words, n in results(batches):

@@ -75,13 +75,12 @@ def _indexed(received: DataFrame, spec: CountSpec, locations: str) -> DataFrame:
         known, kept = [w[ok] for w in words], []
         for some in parts(blocks):
             n_bases = np.concatenate([b[0] for b in some])
-            codes, begins = kernel.unpack_runs(np.concatenate([b[1] for b in some]), n_bases)
-            at = np.flatnonzero(kernel.window_valid(codes, spec.k))
-            words = [w[at] for w in kernel.kmer_words(codes, spec.k, spec.canonical)]
-            run = np.repeat(np.arange(len(n_bases)), n_bases - spec.k + 1)
+            packed = np.concatenate([b[1] for b in some])
+            run, place, bits = kernel.run_starts(packed, n_bases, spec.k)
+            words = kernel.run_kmers(packed, n_bases, spec.k, spec.canonical, bits)
             take = np.flatnonzero(members(words, known))
-            run, at = run[take], at[take]
-            kept.append([*[w[take] for w in words], np.concatenate([b[2] for b in some])[run], np.concatenate([b[3] for b in some])[run] + at - begins[run]])
+            run, place = run[take], place[take]
+            kept.append([*[w[take] for w in words], np.concatenate([b[2] for b in some])[run], np.concatenate([b[3] for b in some])[run] + place])
         *words, read, pos = [np.concatenate([k[i] for k in kept]) for i in range(spec.words + 2)]
         return index_rows(words, read, pos, spec)
 
@@ -130,11 +129,9 @@ def heavy_occurrences(blocks: DataFrame, spec: CountSpec, locations: str = "per_
         for batch in batches:
             for n, payload in zip(batch.column("n").to_pylist(), batch.column("payload"), strict=True):
                 n_bases, packed, ids, starts = exchange.unpack_block(n, payload.as_buffer(), True, locations)
-                codes, begins = kernel.unpack_runs(packed, n_bases)
-                at = np.flatnonzero(kernel.window_valid(codes, spec.k))
-                run_of = np.repeat(np.arange(n), n_bases - spec.k + 1)
-                kmer = kmer_array([w[at] for w in kernel.kmer_words(codes, spec.k, spec.canonical)])
-                yield pa.RecordBatch.from_arrays([kmer, pa.array(ids[run_of]), pa.array((starts[run_of] + at - begins[run_of]).astype(np.int32))], names=["kmer", "read_id", "pos"])
+                run, place, bits = kernel.run_starts(packed, n_bases, spec.k)
+                kmer = kmer_array(kernel.run_kmers(packed, n_bases, spec.k, spec.canonical, bits))
+                yield pa.RecordBatch.from_arrays([kmer, pa.array(ids[run]), pa.array((starts[run] + place).astype(np.int32))], names=["kmer", "read_id", "pos"])
 
     return blocks.mapInArrow(run, kmer_fields(spec) + ", read_id long, pos int")
 

@@ -28,49 +28,54 @@ def count_dist_hash(reads: DataFrame, spec: CountSpec, partitions: int | None =
     return dealt.groupBy("kmer").agg(F.count("*").alias("cnt"))
 
 
-def _owned(kmers: DataFrame, partitions: int) -> DataFrame:
-    return kmers.withColumn("pid", F.pmod(F.xxhash64("kmer"), F.lit(partitions)).cast("int"))
+def _reliable(reads: DataFrame, spec: CountSpec, partitions: int, fpp: float, ext: bool, result, fields: str) -> DataFrame:
+    """What ``result`` makes of each task's (words, read, pos), those of k-mers that a first exchange has marked as repeated.
 
-
-def _reliable(reads: DataFrame, spec: CountSpec, partitions: int, fpp: float, ext: bool) -> DataFrame:
-    """Rows (kmer, read_id, pos) of k-mers that a first exchange has marked as repeated, as the second one brings them to their owners.
-
-    The first pass leaves one row for each owner: a filter of the keys it has met
-    twice. It travels with the owner's k-mers and comes before them.
+    Both exchanges carry supermer blocks to their owners. The first pass leaves one row
+    for each owner: a filter of the keys it has met twice. It travels with the second
+    pass's blocks, the only ones with locations, and comes before them.
     """
     estimate = sketches.distinct_estimate(extract_kmers(reads, spec)).first()["estimate"]
     expected = int(1.2 * estimate / partitions) + 1024
+    dealt, none = np.arange(spec.s) % partitions, np.zeros(0, np.int64)
 
     def mark(batches):
         seen, again, pid = sketches.Bloom(expected, fpp), sketches.Bloom(expected, fpp), None
         for batch in batches:
-            if batch.num_rows:
-                pid = batch.column(1)[0].as_py()
-            words, n = kernel.count_runs(words_of(batch.column(0)))
-            twice = (n > 1) | seen.has(words)
-            seen.add(words)
-            again.add([w[twice] for w in words])
+            for p, n, payload in zip(batch.column("pid").to_pylist(), batch.column("n").to_pylist(), batch.column("payload"), strict=True):
+                pid, (n_bases, packed, _, _) = p, exchange.unpack_block(n, payload.as_buffer())
+                words, times = kernel.count_runs(kernel.run_kmers(packed, n_bases, spec.k, spec.canonical))
+                twice = (times > 1) | seen.has(words)
+                seen.add(words)
+                again.add([w[twice] for w in words])
         if pid is not None:
-            yield pa.RecordBatch.from_arrays([pa.array([pid], pa.int32()), pa.array([again.to_bytes()], pa.binary())], names=["pid", "filter"])
+            yield pa.RecordBatch.from_arrays([pa.array([pid], pa.int32()), pa.array([again.to_bytes()], pa.binary())], names=["pid", "payload"])
 
-    dealt = _owned(extract_kmers(reads, spec), partitions).repartitionById(partitions, F.col("pid"))
-    filters = dealt.select("kmer", "pid").mapInArrow(mark, "pid int, filter binary")
-    kind = kmer_fields(spec).removeprefix("kmer ")
-    rows = _owned(extract_kmers(reads, spec, ext=True), partitions) if ext else _owned(extract_kmers(reads, spec), partitions).selectExpr("kmer", "0L as read_id", "0 as pos", "pid")
-    both = rows.selectExpr("pid", "1 as turn", "kmer", "read_id", "pos", "cast(null as binary) as filter").unionByName(filters.selectExpr("pid", "0 as turn", f"cast(null as {kind}) as kmer", "0L as read_id", "0 as pos", "filter"))
-    second = both.repartitionById(partitions, F.col("pid")).sortWithinPartitions("pid", "turn")
+    first = exchange.make_blocks(reads, spec, dealt, none, partitions).repartitionById(partitions, F.col("pid"))
+    filters = first.select("pid", "n", "payload").mapInArrow(mark, "pid int, payload binary").selectExpr("pid", "-1 as task", "0 as n", "payload")
+    blocks = exchange.make_blocks(reads, spec, dealt, none, partitions, ext=ext).select("pid", "task", "n", "payload")
+    second = blocks.unionByName(filters).repartitionById(partitions, F.col("pid")).sortWithinPartitions("task")
 
     def keep(batches):
-        known = sketches.Bloom(expected, fpp)
+        known, task, held = sketches.Bloom(expected, fpp), None, []
         for batch in batches:
-            first = np.flatnonzero(batch.column("turn").to_numpy() == 0)
-            for i in first.tolist():  # at most one
-                known = sketches.Bloom.of_bytes(batch.column("filter")[i].as_py(), expected, fpp)
-            rows = batch.slice(len(first))
-            take = pa.array(np.flatnonzero(known.has(words_of(rows.column("kmer")))))
-            yield pa.RecordBatch.from_arrays([rows.column(c).take(take) for c in ("kmer", "read_id", "pos")], names=["kmer", "read_id", "pos"])
+            for t, n, payload in zip(batch.column("task").to_pylist(), batch.column("n").to_pylist(), batch.column("payload"), strict=True):
+                if t < 0:
+                    known = sketches.Bloom.of_bytes(payload.as_py(), expected, fpp)
+                    continue
+                if t != task:
+                    if held:
+                        yield result(held)
+                    task, held = t, []
+                n_bases, packed, ids, starts = exchange.unpack_block(n, payload.as_buffer(), ext)
+                run, place, bits = kernel.run_starts(packed, n_bases, spec.k)
+                words = kernel.run_kmers(packed, n_bases, spec.k, spec.canonical, bits)
+                take = np.flatnonzero(known.has(words))
+                held.append(([w[take] for w in words], *((ids[run[take]], starts[run[take]] + place[take]) if ext else ())))
+        if held:
+            yield result(held)
 
-    return second.mapInArrow(keep, kmer_fields(spec) + ", read_id long, pos int")
+    return second.mapInArrow(keep, fields)
 
 
 def count_two_pass(reads: DataFrame, spec: CountSpec, partitions: int | None = None, fpp: float = 0.01) -> DataFrame:
@@ -80,18 +85,12 @@ def count_two_pass(reads: DataFrame, spec: CountSpec, partitions: int | None = N
     way loses singletons by design.
     """
 
-    def count(batches):
-        held = []
-        for batch in batches:
-            held.append(kernel.count_runs(words_of(batch.column(0))))
-            if sum(len(h[1]) for h in held[1:]) > max(counting.EXPAND_KMERS, len(held[0][1])):
-                held = [_summed(held, spec)]
-        if held:
-            words, n = _summed(held, spec)
-            ok = n > 1
-            yield pa.RecordBatch.from_arrays([kmer_array([w[ok] for w in words]), pa.array(n[ok])], names=["kmer", "cnt"])
+    def count(held):
+        words, n = kernel.count_runs([np.concatenate([h[0][i] for h in held]) for i in range(spec.words)])
+        ok = n > 1
+        return pa.RecordBatch.from_arrays([kmer_array([w[ok] for w in words]), pa.array(n[ok])], names=["kmer", "cnt"])
 
-    return _reliable(reads, spec, _parts(reads, partitions), fpp, False).select("kmer").mapInArrow(count, kmer_fields(spec) + ", cnt long")
+    return _reliable(reads, spec, _parts(reads, partitions), fpp, False, count, kmer_fields(spec) + ", cnt long")
 
 
 def _summed(lists: list, spec: CountSpec):
@@ -105,13 +104,11 @@ def index_two_pass(reads: DataFrame, spec: CountSpec, partitions: int | None = N
     if spec.lo < 2:
         raise ValueError("a two-pass counter loses k-mers that occur once")
 
-    def build(batches):
-        held = [(words_of(b.column(0)), b.column(1).to_numpy(), b.column(2).to_numpy()) for b in batches]
-        if held:
-            words = [np.concatenate([h[0][i] for h in held]) for i in range(spec.words)]
-            yield index_rows(words, np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held]).astype(np.int64), spec)
+    def build(held):
+        words = [np.concatenate([h[0][i] for h in held]) for i in range(spec.words)]
+        return index_rows(words, np.concatenate([h[1] for h in held]), np.concatenate([h[2] for h in held]).astype(np.int64), spec)
 
-    return _reliable(reads, spec, _parts(reads, partitions), fpp, True).mapInArrow(build, occurrence_fields(spec))
+    return _reliable(reads, spec, _parts(reads, partitions), fpp, True, build, occurrence_fields(spec))
 
 
 def count_supermer_hash(reads: DataFrame, spec: CountSpec, partitions: int | None = None, naive: bool = False) -> DataFrame:

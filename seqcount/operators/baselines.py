@@ -179,10 +179,11 @@ def count_merge_last(reads: DataFrame, spec: CountSpec, partitions: int | None =
 def count_shared_sort(reads: DataFrame, spec: CountSpec, threads: int | None = None, ram_only: bool = True) -> DataFrame:
     """One machine: bins by modified lexical order, held in memory or on disk, then each bin sorted by a thread.
 
-    The bins are released once the counts are there, so this runs when it's called.
+    Bins are dealt to so many places that each is small, whatever the threads, which take
+    one place after another. They are released once the counts are there, so this runs when it's called.
     """
     binned = spec.but(score="lex_mod")
-    p = threads or reads.sparkSession.sparkContext.defaultParallelism
+    p = threads or max(reads.sparkSession.sparkContext.defaultParallelism, _parts(reads, None))
     blocks = exchange.make_blocks(reads, binned, np.arange(binned.s) % p, np.zeros(0, np.int64), p)
     held = exchange.exchange(blocks, p).persist(StorageLevel.MEMORY_ONLY if ram_only else StorageLevel.DISK_ONLY)
     work_folder(reads.sparkSession)

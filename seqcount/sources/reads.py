@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -80,29 +83,48 @@ def reads_events(spark, sf_dir) -> DataFrame:
 
 #: A prime below 2^31 and the multipliers of the draws of ``mutated``, in numbers that SQL has too.
 DRAW_PRIME, DRAW_READ, DRAW_COPY, DRAW_PLACE, DRAW_MIX = 2_147_483_629, 48_271, 1_566_083, 69_621, 16_807
+#: Bases that are drawn for at once.
+DRAW_BASES = 1 << 17
+_ACGT = np.frombuffer(b"ACGT", np.uint8)
 
 
 def mutated(reads: DataFrame, copies: int, error: float) -> DataFrame:
     """``copies`` of each read with substitutions at a rate of ``error``, fixed by a draw for each (read, copy, place)."""
-    copy = F.explode(F.sequence(F.lit(0), F.lit(copies - 1))).alias("copy")
-    out = reads.select("read_id", copy, "seq")
-    prime = F.lit(DRAW_PRIME).cast("long")
-    start = F.pmod(F.pmod(F.col("read_id"), prime) * DRAW_READ + F.col("copy") * DRAW_COPY, prime)
-    mixed = lambda i: F.pmod(F.pmod(F.col("start") + i.cast("long") * DRAW_PLACE, prime) * DRAW_MIX, prime)
-    draw = lambda i: F.pmod(mixed(i) * mixed(i) + mixed(i) * DRAW_READ + i, prime)
-    places = F.transform(
-        F.filter(F.transform(F.sequence(F.lit(1), F.greatest(F.length("seq"), F.lit(1))), lambda i: F.struct(i.alias("i"), draw(i).alias("h"))), lambda p: p["h"] < int(error * DRAW_PRIME)),
-        lambda p: F.struct(p["i"].alias("i"), F.element_at(F.array(*[F.lit(b) for b in "ACGT"]), (F.pmod(p["h"], F.lit(4)) + 1).cast("int")).alias("base")),
-    )
-    # bases between substitutions are kept as slices, so the work per read is linear in its length
-    body = F.aggregate(
-        "places",
-        F.struct(F.lit(1).alias("at"), F.array().cast("array<string>").alias("parts")),
-        lambda acc, p: F.struct((p["i"] + 1).alias("at"), F.concat(acc["parts"], F.array(F.substring(F.col("body"), acc["at"], p["i"] - acc["at"]).cast("string"), p["base"])).alias("parts")),
-        lambda acc: F.concat(F.array_join(acc["parts"], ""), F.substring(F.col("body"), acc["at"], F.length("body")).cast("string")),
-    )
-    placed = out.withColumn("start", start).withColumn("places", places).withColumn("body", F.col("seq").cast("binary"))
-    return placed.select((F.col("read_id") * copies + F.col("copy")).alias("read_id"), F.when(F.length("seq") > 0, body).otherwise("").alias("seq"))
+    below = int(error * DRAW_PRIME)
+
+    def run(batches):
+        for batch in batches:
+            data = batch.column(1).cast(pa.large_string()).cast(pa.large_binary()).fill_null(b"")
+            ends = np.frombuffer(data.buffers()[1], np.int64)[data.offset : data.offset + len(data) + 1]
+            body = np.frombuffer(data.buffers()[2] or b"", np.uint8)
+            ids, first = batch.column(0), 0
+            while first < len(data):
+                last = min(len(data), max(first + 1, int(np.searchsorted(ends, ends[first] + DRAW_BASES, "right")) - 1))
+                sizes = np.diff(ends[first : last + 1])
+                bases, cuts = body[ends[first] : ends[last]], np.concatenate([[0], np.cumsum(sizes)])
+                place = np.arange(1, len(bases) + 1) - np.repeat(cuts[:-1], sizes)
+                some = ids.slice(first, last - first)
+                known = np.repeat(some.is_valid().to_numpy(zero_copy_only=False), sizes)
+                read = some.fill_null(0).to_numpy(zero_copy_only=False)
+                for copy in range(copies):
+                    start = (read % DRAW_PRIME * DRAW_READ + copy * DRAW_COPY) % DRAW_PRIME
+                    mixed = _drawn(_drawn(np.repeat(start, sizes) + place * DRAW_PLACE) * DRAW_MIX)
+                    draw = _drawn(mixed * mixed + mixed * DRAW_READ + place)
+                    hit = np.flatnonzero((draw < below) & known)
+                    out = bases.copy()
+                    out[hit] = _ACGT[draw[hit] & 3]
+                    text = pa.StringArray.from_buffers(last - first, pa.py_buffer(cuts.astype(np.int32)), pa.py_buffer(out))
+                    yield pa.RecordBatch.from_arrays([pc.add(pc.multiply(some, copies), copy), text], names=["read_id", "seq"])
+                first = last
+
+    return reads.select(F.col("read_id").cast("long").alias("read_id"), "seq").mapInArrow(run, "read_id long, seq string")
+
+
+def _drawn(x: np.ndarray) -> np.ndarray:
+    """x modulo the prime, for 0 <= x < 2^62: as 2^31 leaves 19, upper bits are folded onto the lower ones."""
+    for _ in range(2):
+        x = (x & ((1 << 31) - 1)) + 19 * (x >> 31)
+    return np.where(x >= DRAW_PRIME, x - DRAW_PRIME, x)
 
 
 def reads_cov(spark, sf_dir, copies: int = 5, error: float = 0.005) -> DataFrame:

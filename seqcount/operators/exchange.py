@@ -157,15 +157,15 @@ class Sender:
             )
 
 
-def make_blocks(reads: DataFrame, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer", locations: str = "per_field") -> DataFrame:
-    """Block rows of all reads: parse, score, cut, pack, and pre-count heavy tasks in one narrow step."""
+def make_blocks(reads: DataFrame, spec: CountSpec, placed: np.ndarray, heavy: np.ndarray, partitions: int, ext: bool = False, heavy_target: str = "kmer", locations: str = "per_field", places: bool = True) -> DataFrame:
+    """Block rows of all reads: parse, score, cut, pack, and pre-count heavy tasks in one narrow step; without ``places`` locations name the read alone."""
 
     def run(batches):
         sender = Sender(spec, placed, heavy, partitions, ext, heavy_target, locations)
         for batch in batches:
             ids, offs = batch.column(0).to_numpy(zero_copy_only=False), batch.column(1).to_numpy(zero_copy_only=False)
             for first, row, place, codes in kernel.groups(batch.column(2)):
-                sender.add(codes, ids[first + row] if ext else ids, offs[first + row] + place if ext else offs)
+                sender.add(codes, ids[first + row] if ext else ids, offs if not ext else offs[first + row] + place if places else np.zeros_like(place))
                 yield from sender.drain()
         sender.flush_blocks()
         sender.flush_lists()

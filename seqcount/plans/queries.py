@@ -4,13 +4,15 @@ from __future__ import annotations
 
 from functools import partial, reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from seqcount.functions import sqlapi
 from seqcount.functions.alphabet import bases_to_text, fold_text, gc, pack, revcomp, text_to_bases, unpack
 from seqcount.functions.scores import score_column
-from seqcount.operators import baselines, counting, exchange, index, metrics, sketches
+from seqcount.operators import baselines, counting, exchange, index, labelled, metrics, sketches
 from seqcount.operators import supermers as sm
 from seqcount.operators.prepare import extract_kmers, extract_kmers_native
 from seqcount.operators.tasks import loads, task_sizes
@@ -434,6 +436,23 @@ def _doc_kmers(spark, d) -> DataFrame:
     return extract_kmers(src.reads_docs(spark, d), K31, ext=True).join(docs, "read_id")
 
 
+def _labelled_docs(spark, d, *columns: str) -> tuple[DataFrame, list[tuple]]:
+    """Documents as reads (label, seq) and the values of ``columns`` that each label, a place in the list, stands for."""
+    docs = src.table(spark, d, "documents")
+    values = [tuple(r) for r in docs.select(*columns).distinct().collect()]
+    if not values:
+        return docs.selectExpr("0L as label", "text as seq"), values
+    names = spark.createDataFrame([(i, *v) for i, v in enumerate(values)], "label long, " + ", ".join(f"v{i} string" for i in range(len(columns))))
+    texts = src.spread(docs.select("text", *columns))
+    match = reduce(lambda a, b: a & b, (texts[c].eqNullSafe(names[f"v{i}"]) for i, c in enumerate(columns)))
+    return texts.join(F.broadcast(names), match).select("label", fold_text(F.col("text")).alias("seq")), values
+
+
+def _named(spark, values: list[tuple], *columns: str) -> DataFrame:
+    """(label, columns) of the values; a null value too has a label."""
+    return spark.createDataFrame([(i, *v) for i, v in enumerate(values)], "label long, " + ", ".join(f"{c} string" for c in columns))
+
+
 @query("contamination_semi", f"SELECT read_id, count(*) AS hits FROM ({sql.kmers(31)}) WHERE kmer IN (SELECT kmer FROM ({sql.kmers(31, sql.reads('small'))})) GROUP BY read_id")
 def _(spark, d):
     known = extract_kmers(src.reads_small(spark, d), K31).distinct()
@@ -476,9 +495,17 @@ def _(spark, d):
 SELECT 'both' AS op, count(*) AS n FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT 'docs_only', count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b)
 UNION ALL SELECT 'either', count(*) FROM (SELECT * FROM a UNION SELECT * FROM b)""")
 def _(spark, d):
-    a, b = (extract_kmers(view(spark, d), K31) for view in (src.reads_docs, src.reads_pages))
-    parts = (("both", a.intersect(b)), ("docs_only", a.subtract(b)), ("either", a.union(b).distinct()))
-    return reduce(DataFrame.unionByName, [x.agg(F.count("*").alias("n")).withColumn("op", F.lit(op)) for op, x in parts])
+    """Sizes of the sets, from one exchange of both tables' supermers with the table's number."""
+    docs, pages = (view(spark, d).select(F.lit(i).alias("label"), "seq") for i, view in enumerate((src.reads_docs, src.reads_pages)))
+
+    def sizes(heads, kmer, label, n):
+        tables = np.diff(np.append(heads, len(n)))
+        found = (int((tables == 2).sum()), int(((tables == 1) & (label[heads] == 0)).sum()), len(heads))
+        return pa.RecordBatch.from_arrays([pa.array([x], pa.int64()) for x in found], names=["both", "docs_only", "either"])
+
+    names = ("both", "docs_only", "either")
+    sums = labelled.reduce_labelled(docs.unionByName(pages), K31, sizes, "both long, docs_only long, either long").agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in names])
+    return sums.selectExpr("stack(3, 'both', both, 'docs_only', docs_only, 'either', either) as (op, n)").select("n", "op")
 
 
 @query("compare_spectra", f"""WITH a AS ({sql.counts(31)}), b AS ({sql.counts(31, sql.reads('pages'))})

@@ -473,10 +473,16 @@ def _(spark, d):
 
 @query("kmers_by_lang_pivot", f"SELECT kmer, coalesce(sum(n) FILTER (lang = 'de'), 0)::BIGINT AS de, coalesce(sum(n) FILTER (lang = 'en'), 0)::BIGINT AS en, coalesce(sum(n) FILTER (lang = 'es'), 0)::BIGINT AS es, coalesce(sum(n) FILTER (lang = 'fr'), 0)::BIGINT AS fr FROM (SELECT kmer, lang, count(*) AS n FROM ({_DOC_KMERS}) GROUP BY ALL) GROUP BY kmer HAVING sum(n) > 50")
 def _(spark, d):
-    rows = _doc_kmers(spark, d)
-    often = rows.groupBy("kmer").agg(F.count("*").alias("n")).where("n > 50").select("kmer")
+    reads, values = _labelled_docs(spark, d, "lang")
     langs = ["de", "en", "es", "fr"]
-    return decoded(rows.join(often, "kmer").groupBy("kmer").pivot("lang", langs).count().na.fill(0, langs), 31)
+    labels = [values.index((x,)) if (x,) in values else -1 for x in langs]
+
+    def often(heads, kmer, label, n):
+        many = np.add.reduceat(n, heads) > 50
+        by = [np.add.reduceat(np.where(label == x, n, 0), heads)[many] for x in labels]
+        return pa.RecordBatch.from_arrays([pa.array(kmer[heads[many]]), *map(pa.array, by)], names=["kmer", *langs])
+
+    return decoded(labelled.reduce_labelled(reads, K31, often, "kmer long, de long, en long, es long, fr long"), 31)
 
 
 @query("top_kmers_per_lang", f"SELECT lang, kmer, cnt, rank FROM (SELECT lang, kmer, cnt, CAST(row_number() OVER (PARTITION BY lang ORDER BY cnt DESC, kmer) AS INTEGER) AS rank FROM (SELECT lang, kmer, count(*) AS cnt FROM ({_DOC_KMERS}) GROUP BY ALL)) WHERE rank <= 5")

@@ -461,9 +461,15 @@ def _(spark, d):
 
 @query("source_unique_anti", f"WITH s AS (SELECT DISTINCT source, kmer FROM ({_DOC_KMERS})) SELECT source, count(*) AS only_here FROM s WHERE kmer NOT IN (SELECT kmer FROM s GROUP BY kmer HAVING count(*) > 1) GROUP BY source")
 def _(spark, d):
-    pairs = _doc_kmers(spark, d).groupBy("source", "kmer").agg(F.count("*").alias("n"))
-    shared = pairs.groupBy("kmer").agg(F.count("*").alias("sources")).where("sources > 1")
-    return pairs.join(shared, "kmer", "left_anti").groupBy("source").agg(F.count("*").alias("only_here"))
+    reads, sources = _labelled_docs(spark, d, "source")
+
+    def alone(heads, kmer, label, n):
+        only = label[heads[np.diff(np.append(heads, len(n))) == 1]]
+        found, times = np.unique(only, return_counts=True)
+        return pa.RecordBatch.from_arrays([pa.array(found, pa.int64()), pa.array(times, pa.int64())], names=["label", "n"])
+
+    sums = labelled.reduce_labelled(reads, K31, alone, "label long, n long").groupBy("label").agg(F.sum("n").alias("only_here"))
+    return sums.join(F.broadcast(_named(spark, sources, "source")), "label").select("source", "only_here")
 
 
 @query("spectrum_by_lang_rollup", f"SELECT lang, source, count(*) AS kmers, count(DISTINCT kmer) AS different FROM ({_DOC_KMERS}) GROUP BY ROLLUP (lang, source)")

@@ -474,7 +474,22 @@ def _(spark, d):
 
 @query("spectrum_by_lang_rollup", f"SELECT lang, source, count(*) AS kmers, count(DISTINCT kmer) AS different FROM ({_DOC_KMERS}) GROUP BY ROLLUP (lang, source)")
 def _(spark, d):
-    return _doc_kmers(spark, d).rollup("lang", "source").agg(F.count("*").alias("kmers"), F.count_distinct("kmer").alias("different"))
+    """Sums of each task at the three levels of the rollup: a k-mer is in one task, so different ones add up."""
+    reads, values = _labelled_docs(spark, d, "lang", "source")
+    langs = list(dict.fromkeys(v[0] for v in values))
+    lang_of = np.array([langs.index(v[0]) for v in values], np.int64)
+
+    def levels(heads, kmer, label, n):
+        each, lang = np.repeat(np.arange(len(heads)), np.diff(np.append(heads, len(n)))), lang_of[label]
+        rows = [(0, i, x, y) for i, (x, y) in enumerate(zip(np.bincount(label, n, len(values)).tolist(), np.bincount(label, minlength=len(values)).tolist(), strict=True)) if y]
+        both = np.unique(each * len(langs) + lang) % len(langs)
+        rows += [(1, i, x, y) for i, (x, y) in enumerate(zip(np.bincount(lang, n, len(langs)).tolist(), np.bincount(both, minlength=len(langs)).tolist(), strict=True)) if y]
+        rows.append((2, 0, int(n.sum()), len(heads)))
+        return pa.RecordBatch.from_arrays([pa.array([int(r[i]) for r in rows], pa.int64()) for i in range(4)], names=["level", "label", "kmers", "different"])
+
+    sums = labelled.reduce_labelled(reads, K31, levels, "level long, label long, kmers long, different long").groupBy("level", "label").agg(F.sum("kmers").alias("kmers"), F.sum("different").alias("different"))
+    names = [(0, i, *v) for i, v in enumerate(values)] + [(1, i, v, None) for i, v in enumerate(langs)] + [(2, 0, None, None)]
+    return sums.join(F.broadcast(spark.createDataFrame(names, "level long, label long, lang string, source string")), ["level", "label"]).select("lang", "source", "kmers", "different")
 
 
 @query("kmers_by_lang_pivot", f"SELECT kmer, coalesce(sum(n) FILTER (lang = 'de'), 0)::BIGINT AS de, coalesce(sum(n) FILTER (lang = 'en'), 0)::BIGINT AS en, coalesce(sum(n) FILTER (lang = 'es'), 0)::BIGINT AS es, coalesce(sum(n) FILTER (lang = 'fr'), 0)::BIGINT AS fr FROM (SELECT kmer, lang, count(*) AS n FROM ({_DOC_KMERS}) GROUP BY ALL) GROUP BY kmer HAVING sum(n) > 50")

@@ -20,9 +20,10 @@ def size_vector(rows, s: int) -> np.ndarray:
     return sizes
 
 
-def heavy_tasks(sizes: np.ndarray, factor: float = 3.0) -> np.ndarray:
-    """Tasks with more than factor times the mean over all tasks: they're where frequent k-mers must be."""
-    return np.flatnonzero(sizes > factor * sizes.mean()) if len(sizes) else np.zeros(0, np.int64)
+def heavy_tasks(sizes: np.ndarray, factor: float = 3.0, filled: bool = False) -> np.ndarray:
+    """Tasks with more than factor times the mean over all tasks, or over the filled ones: they're where frequent k-mers must be."""
+    over = sizes[sizes > 0] if filled else sizes
+    return np.flatnonzero(sizes > factor * over.mean()) if len(over) else np.zeros(0, np.int64)
 
 
 def assign_tasks(sizes, partitions: int, growth: float = 0.05, policy: str = "greedy") -> np.ndarray:

@@ -61,14 +61,15 @@ def sampled_pieces(reads: DataFrame, spec: CountSpec, share: float) -> DataFrame
     return cut.select("read_id", F.substring("body", F.col("piece") * SIZE_PIECE + 1, F.lit(SIZE_PIECE + spec.k - 1)).cast("string").alias("seq"))
 
 
-def make_plan(reads: DataFrame, spec: CountSpec, partitions: int | None = None, heavy: bool = True, policy: str = "greedy", share: float = SIZE_SAMPLE) -> Plan:
+def make_plan(reads: DataFrame, spec: CountSpec, partitions: int | None = None, heavy: bool = True, policy: str = "greedy", share: float = SIZE_SAMPLE, filled: bool = False) -> Plan:
     """Sizes, heavy tasks, the partition of each task, and the sort for tasks of that size.
 
-    A heavy task costs its partition little: it travels as pairs.
+    A heavy task costs its partition little: it travels as pairs. With ``filled`` its
+    size is held against the mean of the tasks that have k-mers.
     """
     partitions = partitions or int(reads.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     sizes = kmers_per_task(reads, spec, share)
-    found = heavy_tasks(sizes, spec.heavy_factor) if heavy else np.zeros(0, np.int64)
+    found = heavy_tasks(sizes, spec.heavy_factor, filled) if heavy else np.zeros(0, np.int64)
     load = sizes.copy()
     load[found] = 0
     method = counting.choose_sort(int(load.max(initial=0)) * 8 * spec.words, spec.worker_bytes)
@@ -97,11 +98,14 @@ RUNGS = ("supermer_sort", "task_layer", "heavy_tasks")
 
 
 def rung_plan(reads: DataFrame, spec: CountSpec, name: str, partitions: int, per_worker: int = 3) -> tuple[CountSpec, Plan]:
-    """What a rung runs with: as many tasks as partitions, dealt modulo; then more tasks, packed by size; then heavy tasks pre-counted."""
+    """What a rung runs with: as many tasks as partitions, dealt modulo; then more tasks, packed by size; then heavy tasks pre-counted.
+
+    Sizes are counted over all reads: how many tasks are heavy is part of the ladder's result.
+    """
     if name == "supermer_sort":
         return spec.but(s=partitions), Plan(np.zeros(partitions), np.zeros(0, np.int64), np.arange(partitions), partitions)
     layered = spec.but(s=max(spec.s, partitions * per_worker))
-    return layered, make_plan(reads, layered, partitions, heavy=name == "heavy_tasks")
+    return layered, make_plan(reads, layered, partitions, heavy=name == "heavy_tasks", share=1.0, filled=True)
 
 
 def rung(reads: DataFrame, spec: CountSpec, name: str, partitions: int, per_worker: int = 3, as_spectrum: bool = True) -> DataFrame:

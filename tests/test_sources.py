@@ -145,3 +145,22 @@ def test_every_rung_gives_the_same_spectrum(spark):
     by_rung = {name: sorted((r["cnt"], r["n_kmers"]) for r in rows if r["rung"] == name) for name in {r["rung"] for r in rows}}
     assert len(by_rung) == 3 and len(set(map(tuple, by_rung.values()))) == 1
     assert {r["heavy"] > 0 for r in rows if r["rung"] == "heavy_tasks"} == {True}
+
+
+@pytest.mark.parametrize("documents", ["all", "none"])
+def test_ablation_finds_the_heavy_tasks_of_its_sql(spark, tmp_path, documents):
+    folder = SF if documents == "all" else str(tmp_path)
+    if documents == "none":
+        spark.read.parquet(f"{SF}/documents.parquet").limit(0).write.parquet(f"{folder}/documents.parquet")
+    con = duckdb.connect()
+    con.execute(f"create view documents as select * from read_parquet('{SF}/documents.parquet')" + (" where false" if documents == "none" else ""))
+    columns = ["rung", "heavy", "cnt", "n_kmers"]
+    want = sorted(con.execute(f"select {', '.join(columns)} from ({queries.SQL['ablation_same_result']})").fetchall())
+    assert sorted(map(tuple, queries.QUERIES["ablation_same_result"](spark, folder).select(columns).collect())) == want
+
+
+def test_rungs_are_planned_from_all_reads(spark):
+    heavy = reads.heavy_reads(spark, SF)
+    want = flagship.kmers_per_task(heavy, queries.K31)
+    for name in flagship.RUNGS[1:]:
+        assert flagship.rung_plan(heavy, queries.K31, name, 16)[1].sizes.tolist() == want.tolist()

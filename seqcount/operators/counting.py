@@ -16,6 +16,8 @@ from seqcount.spec import CountSpec
 EXPAND_KMERS = 1 << 20
 #: Pairs (k-mer, count) of a task that are held at once; tasks with more are counted by ranges of k-mers, one after another.
 HELD_PAIRS = 1 << 23
+#: Lists with so many occurrences a pair at most are merged as k-mers, not as pairs.
+REPEATED = 1.5
 
 
 def choose_sort(task_bytes: int, free_bytes: int) -> str:
@@ -40,7 +42,7 @@ class Counter:
 
     def add_block(self, n: int, payload: bytes) -> None:
         n_bases, packed, _, _ = exchange.unpack_block(n, payload)
-        self.add_packed(n_bases, packed)
+        self.add_packed(n_bases.astype(np.uint16), packed)
 
     def add_packed(self, n_bases: np.ndarray, packed: np.ndarray) -> None:
         self.blocks.append((n_bases, packed))
@@ -51,55 +53,77 @@ class Counter:
         if self.pairs >= EXPAND_KMERS and len(self.lists) > 1:
             self.lists, self.pairs = [self._merged(self.lists)], 0
 
-    def _parts(self):
-        """Lists of what came, each of about EXPAND_KMERS k-mers."""
-        yield from self.lists
+    def _parts(self, span: list):
+        """(occurrences, words, counts) of about EXPAND_KMERS k-mers each; counted is what lies in the span, which may narrow meanwhile."""
+        for words, n in self.lists:
+            yield int(n.sum()), *_within(words, n, *span)
         held, waiting = [], 0
-        for block in self.blocks:
+        for i, block in enumerate(self.blocks, 1):
             held.append(block)
             waiting += int(block[0].sum()) - len(block[0]) * (self.spec.k - 1)
-            if waiting >= EXPAND_KMERS:
-                yield self._count(self._expanded(held))
+            if waiting >= EXPAND_KMERS or i == len(self.blocks):
+                yield waiting, *self._count(_inside(self._expanded(held), *span))
                 held, waiting = [], 0
-        if held:
-            yield self._count(self._expanded(held))
 
     def _expanded(self, blocks: list) -> list[np.ndarray]:
         n_bases, packed = (np.concatenate([b[i] for b in blocks]) for i in (0, 1))
-        return kernel.run_kmers(packed, n_bases, self.spec.k, self.spec.canonical)
+        return kernel.run_kmers(packed, n_bases.astype(np.int64, copy=False), self.spec.k, self.spec.canonical)
 
     def _count(self, words):
         return hash_count(words) if self.method == "hash" else kernel.count_runs(words, method=self.method)
 
+    def _ranges(self, parts: list):
+        """The lists' slices of one range of k-mers after another, each of about EXPAND_KMERS pairs; lists that aren't in order are one range."""
+        firsts = [words[0] for words, _ in parts]
+        ranges = -(-sum(map(len, firsts)) // EXPAND_KMERS)
+        if ranges < 2 or any((w[1:] < w[:-1]).any() for w in firsts):
+            yield from [parts] if parts else []
+            return
+        keys = _sampled(firsts)
+        borders = keys[len(keys) * np.arange(1, ranges) // ranges]
+        cuts = [[0, *np.searchsorted(w, borders).tolist(), len(w)] for w in firsts]
+        for i in range(ranges):
+            slices = [([w[at[i] : at[i + 1]] for w in words], n[at[i] : at[i + 1]]) for (words, n), at in zip(parts, cuts, strict=True) if at[i] < at[i + 1]]
+            if slices:
+                yield slices
+
     def _merged(self, parts: list):
+        """One list of several. Where few k-mers repeat, they're sorted by themselves: pairs cost more, in time and memory."""
         if len(parts) == 1:
             return parts[0]
-        words = [np.concatenate([p[0][i] for p in parts]) for i in range(len(parts[0][0]))]
-        return kernel.count_runs(words, np.concatenate([p[1] for p in parts]), "inplace" if self.method == "inplace" else "aux_radix")
+        n = np.concatenate([p[1] for p in parts])
+        single = int(n.sum()) <= REPEATED * len(n)
+        words = [np.concatenate([np.repeat(p[0][i], p[1]) if single else p[0][i] for p in parts]) for i in range(len(parts[0][0]))]
+        return kernel.count_runs(words, None if single else n, "inplace" if self.method == "inplace" else "aux_radix")
 
     def pieces(self):
         """(words, counts) of one range of k-mers after another; each k-mer is in one of them."""
         total, least, more = sum(int(b[0].sum()) - len(b[0]) * (self.spec.k - 1) for b in self.blocks) + self.pairs, None, True
         while more:
-            parts, held, most, seen, more = [], 0, None, 0, False
-            for words, n in self._parts():
-                seen += int(n.sum())
-                parts.append(_within(words, n, least, most))
-                held += len(parts[-1][1])
+            parts, held, seen, more, span = [], 0, 0, False, [least, None]
+            for came, words, n in self._parts(span):
+                seen += came
+                parts.append((words, n))
+                held += len(n)
                 if held < HELD_PAIRS or len(parts) == 1:
                     continue
-                parts = [self._merged(parts)]
-                held = len(parts[0][1])
-                first = np.sort(parts[0][0][0]) if self.method == "hash" else parts[0][0][0]
-                # the rest of the task may bring as many again, so the range is cut by what has been seen of it
-                cut = int(first[int(held * min(0.5, 0.75 * seen / max(seen, total)))])
-                if held >= HELD_PAIRS // 2 and cut > int(first[0]):
-                    most, more = cut, True
-                    parts = [_within(*parts[0], None, most)]
-                    held = len(parts[0][1])
-            if parts:
-                yield self._merged(parts)
-            least = most
+                ranges = list(self._ranges(parts))
+                one = ranges[len(ranges) // 2]
+                if held * len(self._merged(one)[1]) < HELD_PAIRS // 2 * sum(len(n) for _, n in one):  # repeats: as one list they have room again
+                    parts = [self._merged(some) for some in ranges]
+                    held = sum(len(n) for _, n in parts)
+                del ranges, one
+                if held >= HELD_PAIRS // 2:
+                    keys = _sampled([words[0] for words, _ in parts])
+                    # the rest of the task may bring as many again, so the range is cut by what has been seen of it
+                    cut = int(keys[int(len(keys) * min(0.5, 0.75 * seen / max(seen, total)))])
+                    if cut > int(keys[0]):
+                        span[1], more = cut, True
+                        parts = [_within(*part, None, cut) for part in parts]
+                        held = sum(len(n) for _, n in parts)
+            for some in self._ranges(parts):
+                yield self._merged(some)
+            least = span[1]
 
     def result(self) -> tuple[list[np.ndarray], np.ndarray]:
         found = list(self.pieces())
@@ -108,12 +132,23 @@ class Counter:
         return [np.concatenate([f[0][i] for f in found]) for i in range(len(found[0][0]))], np.concatenate([f[1] for f in found])
 
 
+def _sampled(lists: list[np.ndarray]) -> np.ndarray:
+    """Keys in order, one of so many of each list, to cut ranges by; any cut gives exact counts."""
+    return np.sort(np.concatenate([keys[:: max(1, EXPAND_KMERS >> 10)] for keys in lists]))
+
+
 def _within(words: list[np.ndarray], n: np.ndarray, least: int | None, most: int | None) -> tuple[list[np.ndarray], np.ndarray]:
     """The pairs whose first word is from ``least`` on and below ``most``."""
+    *words, n = _inside([*words, n], least, most)
+    return words, n
+
+
+def _inside(columns: list[np.ndarray], least: int | None, most: int | None) -> list[np.ndarray]:
+    """The rows whose first column is from ``least`` on and below ``most``."""
     if least is None and most is None:
-        return words, n
-    ok = (words[0] >= (least or 0)) & (words[0] < most) if most is not None else words[0] >= least
-    return [w[ok] for w in words], n[ok]
+        return columns
+    ok = (columns[0] >= (least or 0)) & (columns[0] < most) if most is not None else columns[0] >= least
+    return [c[ok] for c in columns]
 
 
 def hash_count(words: list[np.ndarray]) -> tuple[list[np.ndarray], np.ndarray]:

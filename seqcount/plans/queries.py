@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc as collector
 from functools import partial, reduce
 
 import numpy as np
@@ -17,7 +18,7 @@ from seqcount.operators import supermers as sm
 from seqcount.operators.prepare import extract_kmers, extract_kmers_native
 from seqcount.operators.tasks import loads, task_sizes
 from seqcount.plans import flagship, sql
-from seqcount.session import new_folder
+from seqcount.session import delete_folder, new_folder, relieve
 from seqcount.sources import fasta, sinks
 from seqcount.sources import reads as src
 from seqcount.sources.sinks import strip_tags
@@ -356,14 +357,24 @@ def _(spark, d):
     + " UNION ALL ".join(f"SELECT '{r}' AS rung, {'(SELECT n FROM h)' if r == 'heavy_tasks' else '0::BIGINT'} AS heavy, * FROM s" for r in flagship.RUNGS),
 )
 def _(spark, d):
-    """Every rung's spectrum, and the heavy tasks that its plan counts by themselves."""
+    """Every rung's spectrum, and the heavy tasks that its plan counts by themselves.
+
+    Text is folded once for all passes, and a rung is counted before the next begins, so
+    the exchange of one alone is on disk.
+    """
+    folder = new_folder(spark, "reads")
+    src.heavy_reads(spark, d).write.parquet(folder)
+    reads = spark.read.schema("read_id long, seq string").parquet(folder)
 
     def of(name):
-        reads = src.heavy_reads(spark, d)
+        collector.collect()  # frames are in cycles, and hold their exchange
+        relieve(spark, 0)
         spec, plan = flagship.rung_plan(reads, K31, name, 16)
-        return flagship.count_kmers(reads, spec, plan=plan, as_spectrum=True).select(F.lit(name).alias("rung"), F.lit(len(plan.heavy)).cast("long").alias("heavy"), "cnt", "n_kmers")
+        return flagship.count_kmers(reads, spec, plan=plan, as_spectrum=True).select(F.lit(name).alias("rung"), F.lit(len(plan.heavy)).cast("long").alias("heavy"), "cnt", "n_kmers").checkpoint()
 
-    return reduce(DataFrame.unionByName, map(of, flagship.RUNGS))
+    found = reduce(DataFrame.unionByName, map(of, flagship.RUNGS))
+    delete_folder(spark, folder)
+    return found
 
 
 @query("tasks_per_worker_same_result", " UNION ALL ".join(f"SELECT {t} AS per_worker, * FROM ({_ONE})" for t in (1, 2, 3)))

@@ -367,9 +367,9 @@ def _(spark, d):
     reads = spark.read.schema("read_id long, seq string").parquet(folder)
 
     def of(name):
-        collector.collect()  # frames are in cycles, and hold their exchange
-        relieve(spark, 0)
         spec, plan = flagship.rung_plan(reads, K31, name, 16)
+        collector.collect()  # frames are in cycles and hold their exchange, and listeners the last query, now that of the sizes
+        relieve(spark, 0)
         return flagship.count_kmers(reads, spec, plan=plan, as_spectrum=True).select(F.lit(name).alias("rung"), F.lit(len(plan.heavy)).cast("long").alias("heavy"), "cnt", "n_kmers").checkpoint()
 
     found = reduce(DataFrame.unionByName, map(of, flagship.RUNGS))
